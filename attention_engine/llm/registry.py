@@ -1,6 +1,7 @@
 """Queries and SQL of the training-data operators."""
 
+from .quality import op8_quality_rules
 from .simhash import op4_simhash_near_dedup
 
-QUERIES = {"op4_simhash_near_dedup": op4_simhash_near_dedup}
+QUERIES = {"op4_simhash_near_dedup": op4_simhash_near_dedup, "op8_quality_rules": op8_quality_rules}
 ORACLES: dict[str, str] = {}
