@@ -1,18 +1,17 @@
-"""Context-tree weighting over the bytes of words.
-
-A word is sent as its bytes and a closing blank, the end of a text as one line feed; both
-follow a blank. Each byte is sent as eight binary decisions. For every context of the last
-0 to ``DEPTH`` bytes (a context stops at the blank before the word) and every decision a
-Krichevsky-Trofimov estimator holds the two counts of the training part, and the
-estimators of all depths are mixed with the weights of context-tree weighting. A context
-that was never seen leaves its weight to the one it extends. Contexts end at the word, so
-a text's code length is the sum over its tokens and a word is coded once, however often
-it occurs.
-
-Everything is a join of tables. A block of texts becomes one row per distinct word with
-the list of its texts, so a hot word has a row per block and not per text; words become
-rows per (context, byte) in the same way. Contexts are dealt out by their last three
+"""Context-tree weighting over the bytes of texts.
+
+A text is sent as its words, lower-cased, each with a closing blank, and a line feed as
+its end. Each byte is sent as eight binary decisions. For every context of the last 0 to
+``DEPTH`` bytes (they reach back over words; a text begins after a blank) and every
+decision a Krichevsky-Trofimov estimator holds the two counts of the training part, and
+the estimators of all depths are mixed with the weights of context-tree weighting. A
+context that was never seen leaves its weight to the one it extends.
+
+Everything is a join of tables. Texts are dealt into blocks; a block asks for each of its
+distinct words and (context, byte) keys once, so what is hot costs a row per block. Keys
+are summed and their code lengths computed where their contexts meet, by their last three
 bytes; what lies above (at most 2**16 contexts of 255 decisions) is summed and sent back.
+The answers then return to the blocks, which are read again from the shared folder.
 
 Defined cases: null or empty text is the end token alone; a null id counts as an empty
 string when the training part is chosen; repeated rows are scored and learnt each; without
@@ -38,8 +37,11 @@ DEPTH = 6
 #: Depth by which contexts are dealt out; those above are few.
 TOP = 3
 END = b"\n"
-#: (context, byte) keys worked on together, and items whose sums are held together.
-RUN, HELD = 120_000, 2_000_000
+#: What stands before a text, so that all contexts are full.
+LEAD = b"\0" * (DEPTH - 1) + b" "
+BLOCK = 10 << 20
+#: (context, byte) keys worked on together, and stream positions worked on together.
+RUN, STEP = 120_000, 1 << 20
 LOG2 = math.log(2)
 
 
@@ -47,77 +49,87 @@ def held_out(doc_id: int | None, folds: int = 7, fold: int = 2) -> bool:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % folds == fold
 
 
-def _block_id(n: int) -> int:
-    return TaskContext.get().partitionId() << 32 | n
+def _starts(sorted_values: np.ndarray) -> np.ndarray:
+    return np.flatnonzero(np.r_[True, sorted_values[1:] != sorted_values[:-1]]) if len(sorted_values) else np.zeros(0, np.int64)
 
 
-def _lists(values: np.ndarray, starts: np.ndarray, kind: pa.DataType) -> pa.Array:
-    return pa.ListArray.from_arrays(pa.array(np.r_[starts, len(values)].astype(np.int32)), pa.array(values, kind))
+def blocked(docs: DataFrame) -> DataFrame:
+    """(block, id, out, text) with words lower-cased and a blank after each, from (id, text)."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for n, table in enumerate(blocks(batches, limit=BLOCK)):
+            ids = one(table["id"])
+            texts = [b" ".join([*t.lower().split(), b""]) for t in byte_list(one(table["text"]))]
+            block = TaskContext.get().partitionId() << 32 | n
+            out = [held_out(i) for i in ids.to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(texts), block)), ids, pa.array(out, pa.bool_()), pa.array(texts, pa.binary())], names=["block", "id", "out", "text"])
 
-def _starts(sorted_values: np.ndarray) -> np.ndarray:
-    return np.flatnonzero(np.r_[True, sorted_values[1:] != sorted_values[:-1]]) if len(sorted_values) else np.zeros(0, np.int64)
+    return docs.mapInArrow(run, "block long, id long, out boolean, text binary")
 
 
-def token_rows(docs: DataFrame) -> DataFrame:
-    """From (id, text): a row per distinct word of a block, and a row (word null) with the block's texts."""
+def _by_block(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, list[bytes]]]:
+    """(block, held out, texts); a block that Spark split when reading comes in parts."""
+    for table in blocks(batches, limit=BLOCK):
+        of = table["block"].to_numpy()
+        for block in np.unique(of):
+            part = table.filter(pa.array(of == block))
+            yield int(block), part["out"].to_numpy(zero_copy_only=False).astype(bool), part["text"].to_pylist()
+
+
+def word_rows(texts: DataFrame) -> DataFrame:
+    """(word, block, n): distinct words of a block with their times in the training part."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for n, table in enumerate(blocks(batches)):
-            ids = table["id"].to_pylist()
-            vocabulary: dict[bytes, int] = {}
-            parts, size = [], np.zeros(len(ids), np.int64)
-            for i, text in enumerate(byte_list(one(table["text"]))):
-                words = text.lower().split()
-                words.append(END)
-                size[i] = len(words)
-                parts.append(intern(words, vocabulary))
-            code = np.sort(np.concatenate(parts) * len(ids) + np.repeat(np.arange(len(ids)), size))
-            first = _starts(code)
-            tf, code = np.diff(np.r_[first, len(code)]), code[first]
-            word, doc = code // len(ids), code % len(ids)
-            out = np.fromiter(map(held_out, ids), bool, len(ids))
-            train = np.bincount(word, tf * ~out[doc], len(vocabulary)).astype(np.int64)
-            at, k = _starts(word), len(vocabulary)
-            rows = [pa.array(list(vocabulary), pa.binary()), pa.array(np.full(k, _block_id(n))), pa.array(train), _lists(doc, at, pa.int32()), _lists(tf, at, pa.int32()), pa.nulls(k, pa.list_(pa.int64())), pa.nulls(k, pa.list_(pa.bool_()))]
-            names = ["word", "block", "train", "items", "times", "ids", "out"]
-            yield pa.RecordBatch.from_arrays(rows, names=names)
-            whole = [pa.nulls(1, pa.binary()), pa.array([_block_id(n)]), pa.nulls(1, pa.int64()), pa.nulls(1, pa.list_(pa.int32())), pa.array([size.tolist()], pa.list_(pa.int32())), pa.array([ids], pa.list_(pa.int64())), pa.array([out.tolist()], pa.list_(pa.bool_()))]
-            yield pa.RecordBatch.from_arrays(whole, names=names)
-
-    return docs.mapInArrow(run, "word binary, block long, train long, items array<int>, times array<int>, ids array<long>, out array<boolean>")
-
-
-def packed(words: list[bytes], depth: int = DEPTH) -> tuple[np.ndarray, np.ndarray]:
-    """Keys (latest context byte highest, the byte itself lowest) of all words, and each key's word."""
-    sent = [w if w == END else w + b" " for w in words]
-    sizes = np.fromiter(map(len, sent), np.int64, len(sent))
-    text = np.frombuffer(b" " + b" ".join(sent), np.uint8).astype(np.int64)
-    of = np.repeat(np.arange(len(sent)), sizes)
-    place = np.arange(len(of)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-    at = np.arange(len(of)) + of + 1
-    key = text[at]
+        for block, out, parts in _by_block(batches):
+            vocabulary: dict[bytes, int] = {END: 0}
+            ids = [intern(t.split(), vocabulary) for t in parts]
+            train = [x for x, o in zip(ids, out, strict=True) if not o]
+            n = np.bincount(np.concatenate(train), minlength=len(vocabulary)) if train else np.zeros(len(vocabulary), np.int64)
+            n[0] += len(train)
+            yield pa.RecordBatch.from_arrays([pa.array(list(vocabulary), pa.binary()), pa.array(np.full(len(n), block)), pa.array(n.astype(np.int64))], names=["word", "block", "n"])
+
+    return texts.mapInArrow(run, "word binary, block long, n long")
+
+
+def stream(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes sent for all texts, each after LEAD, and the places of those that are sent."""
+    data = np.frombuffer(b"".join([x for t in texts for x in (LEAD, t, END)]), np.uint8)
+    sizes = np.fromiter(map(len, texts), np.int64, len(texts)) + len(LEAD) + 1
+    sent = np.ones(len(data), bool)
+    starts = np.cumsum(sizes) - sizes
+    for k in range(len(LEAD)):
+        sent[starts + k] = False
+    return data, np.flatnonzero(sent)
+
+
+def keys_at(data: np.ndarray, at: np.ndarray, depth: int = DEPTH) -> np.ndarray:
+    """The context of each place, latest byte highest, and the byte itself lowest."""
+    key = data[at].astype(np.int64)
     for k in range(1, depth + 1):
-        key |= np.where(place >= k - 1, text[np.maximum(at - k, 0)], 0) << 8 * (depth + 1 - k)
-    return key, of
+        key |= data[at - k].astype(np.int64) << 8 * (depth + 1 - k)
+    return key
 
 
-def key_rows(words: DataFrame) -> DataFrame:
-    """From (word, c): a row per distinct key of a block with its words, and a row (key null) with the words."""
+def key_rows(texts: DataFrame) -> DataFrame:
+    """(key, block, n): distinct keys of a block with their times in the training part."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for n, table in enumerate(blocks(batches, limit=2 << 20)):
-            values, c = table["word"].to_pylist(), table["c"].to_numpy()
-            key, of = packed(values)
+        for block, out, parts in _by_block(batches):
+            keys, counts = [], []
+            for part in (False, True):
+                chosen = [t for t, o in zip(parts, out, strict=True) if o == part]
+                data, at = stream(chosen)
+                key = np.sort(np.concatenate([np.zeros(0, np.int64), *(keys_at(data, at[a : a + STEP]) for a in range(0, len(at), STEP))]))
+                first = _starts(key)
+                keys.append(key[first])
+                counts.append(np.diff(np.r_[first, len(key)]) * (not part))
+            key, n = np.concatenate(keys), np.concatenate(counts)
             order = np.argsort(key, kind="stable")
-            key, of = key[order], of[order]
-            at = _starts(key)
-            k = len(at)
-            names = ["key", "block", "n", "items", "words", "cs"]
-            yield pa.RecordBatch.from_arrays([pa.array(key[at]), pa.array(np.full(k, _block_id(n))), pa.array(np.add.reduceat(c[of], at)), _lists(of, at, pa.int32()), pa.nulls(k, pa.list_(pa.binary())), pa.nulls(k, pa.list_(pa.int64()))], names=names)
-            yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.array([_block_id(n)]), pa.nulls(1, pa.int64()), pa.nulls(1, pa.list_(pa.int32())), pa.array([values], pa.list_(pa.binary())), pa.array([c.tolist()], pa.list_(pa.int64()))], names=names)
+            first = _starts(key[order])
+            if len(first):
+                yield pa.RecordBatch.from_arrays([pa.array(key[order][first]), pa.array(np.full(len(first), block)), pa.array(np.add.reduceat(n[order], first))], names=["key", "block", "n"])
 
-    return words.mapInArrow(run, "key long, block long, n long, items array<int>, words array<binary>, cs array<long>")
+    return texts.mapInArrow(run, "key long, block long, n long")
 
 
 _SMALL = np.array([math.lgamma(k + 0.5) for k in range(256)])
@@ -254,55 +266,8 @@ def key_logs(key: np.ndarray, n: np.ndarray, top: dict[int, Level]) -> np.ndarra
     return total
 
 
-def _gathered(joined: DataFrame, values: list[str], weighted: bool) -> DataFrame:
-    """Sums of ``values`` by (block, item) over rows (block, items, times, values), combined before the shuffle."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, np.ndarray] = {}
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            for block, sums in held.items():
-                some = np.flatnonzero(sums[0])
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), block)), pa.array(some.astype(np.int32)), *(pa.array(s[some]) for s in sums[1:])], names=["block", "item", *values])
-            held.clear()
-
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            block, items = batch.column(0).to_numpy(), batch.column(1)
-            sizes = np.diff(items.offsets.to_numpy())
-            flat = items.values.to_numpy()[items.offsets[0].as_py() : items.offsets[-1].as_py()]
-            times = 1
-            if weighted:
-                times = batch.column(2).values.to_numpy()[batch.column(2).offsets[0].as_py() : batch.column(2).offsets[-1].as_py()]
-            spread = [np.repeat(batch.column(2 + weighted + k).to_numpy(), sizes) * times for k in range(len(values))]
-            owner = np.repeat(block, sizes)
-            order = np.argsort(owner, kind="stable")
-            owner, flat, spread = owner[order], flat[order], [s[order] for s in spread]
-            first = _starts(owner)
-            for a, b in zip(first, np.r_[first[1:], len(owner)], strict=True):
-                key, most = int(owner[a]), int(flat[a:b].max()) + 1
-                sums = held.get(key)
-                if sums is None or sums.shape[1] < most:
-                    wider = np.zeros((1 + len(values), most))
-                    if sums is not None:
-                        wider[:, : sums.shape[1]] = sums
-                    sums = held[key] = wider
-                sums[0, :most] += np.bincount(flat[a:b], minlength=most)
-                for k, s in enumerate(spread, 1):
-                    sums[k, :most] += np.bincount(flat[a:b], s[a:b], most)
-            if sum(s.shape[1] for s in held.values()) > HELD:
-                yield from flush()
-        yield from flush()
-
-    schema = "block long, item int, " + ", ".join(f"{v} double" for v in values)
-    return joined.mapInArrow(run, schema).groupBy("block", "item").agg(*(F.sum(v).alias(v) for v in values))
-
-
-def word_logs(words: DataFrame) -> DataFrame:
-    """(word, c, log_p) from (word, c: times in the training part)."""
-    rows = materialise(key_rows(words), "contexts")
-    keys = materialise(rows.where("key is not null").groupBy("key").agg(F.sum("n").alias("n")), "keys")
+def key_log_table(keys: DataFrame) -> DataFrame:
+    """(k, log_p) for every key of (key, n)."""
     shift = 8 * (DEPTH + 1 - TOP)
     dealt = keys.select("key", "n").repartition(F.shiftright("key", shift)).sortWithinPartitions("key")
     top = keys.sparkSession.sparkContext.broadcast(top_levels(dealt))
@@ -311,29 +276,73 @@ def word_logs(words: DataFrame) -> DataFrame:
         for key, n in _runs(batches, shift):
             yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(key_logs(key, n, top.value))], names=["k", "log_p"])
 
-    logs = dealt.mapInArrow(run, "k long, log_p double")
-    joined = rows.where("key is not null").join(logs, F.col("key") == F.col("k")).select("block", "items", "log_p")
-    sums = _gathered(joined, ["log_p"], False)
-    named = rows.where("key is null").select("block", F.posexplode(F.arrays_zip("words", "cs")).alias("item", "x")).select("block", "item", F.col("x.words").alias("word"), F.col("x.cs").alias("c"))
-    return named.join(sums, ["block", "item"], "left").select("word", "c", "log_p")
+    return dealt.mapInArrow(run, "k long, log_p double")
+
+
+class Table:
+    """Values by 64-bit key, with linear probing over whole arrays."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray) -> None:
+        self.bits = max(4, int(2 * len(keys)).bit_length())
+        self.keys, self.values = np.full(1 << self.bits, -1, np.int64), np.zeros(1 << self.bits)
+        left, slot = np.arange(len(keys)), self._slot(keys)
+        while len(left):
+            free = self.keys[slot] == -1
+            self.keys[slot[free]] = keys[left[free]]
+            self.values[slot[free]] = values[left[free]]
+            again = self.keys[slot] != keys[left]
+            left, slot = left[again], slot[again] + 1 & (1 << self.bits) - 1
+
+    def _slot(self, keys: np.ndarray) -> np.ndarray:
+        return (keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - self.bits)).astype(np.int64)
+
+    def get(self, keys: np.ndarray) -> np.ndarray:
+        slot = self._slot(keys)
+        missed = np.flatnonzero(self.keys[slot] != keys)
+        while len(missed):
+            slot[missed] = slot[missed] + 1 & (1 << self.bits) - 1
+            missed = missed[self.keys[slot[missed]] != keys[missed]]
+        return self.values[slot]
+
+
+def answered(texts: DataFrame, words: DataFrame, keys: DataFrame, total: int, kinds: int) -> DataFrame:
+    """Scores of all texts, from a block's texts and the rows its words and keys have got."""
+
+    def run(table: pa.Table) -> pa.Table:
+        at = [np.flatnonzero(table["kind"].to_numpy() == k) for k in range(3)]
+        text, word, key = (table.take(pa.array(x)) for x in at)
+        vocabulary = {w: i for i, w in enumerate(word["data"].to_pylist())}
+        count = word["n"].to_numpy()
+        base = np.log10((count + 1) / (total + kinds + 1))
+        logs = Table(key["n"].to_numpy(), key["value"].to_numpy())
+        end, rows = vocabulary[END], []
+        for t in text["data"].to_pylist():
+            ids = np.fromiter(map(vocabulary.__getitem__, t.split()), np.int64)
+            data, places = stream([t])
+            score = sum(float(logs.get(keys_at(data, places[a : a + STEP])).sum()) for a in range(0, len(places), STEP))
+            rows.append((len(ids) + 1, int((count[ids] > 0).sum() + (count[end] > 0)), float(base[ids].sum() + base[end]), score))
+        n, known, low, high = zip(*rows, strict=True) if rows else ((),) * 4
+        return pa.table([text["n"], text["out"], pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array([total] * len(n), pa.int64()), pa.array(low, pa.float64()), pa.array(high, pa.float64())], names=["id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+
+    none = F.lit(None)
+    parts = [
+        texts.select("block", F.lit(0).alias("kind"), "out", F.col("id").alias("n"), F.col("text").alias("data"), none.cast("double").alias("value")),
+        words.select(F.explode("blocks").alias("block"), F.lit(1), none.cast("boolean"), "n", "word", none.cast("double")),
+        keys.select(F.explode("blocks").alias("block"), F.lit(2), none.cast("boolean"), F.col("key"), none.cast("binary"), "log_p"),
+    ]
+    return parts[0].union(parts[1]).union(parts[2]).groupBy("block").applyInArrow(run, "id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Base and model scores of every row; the model learns from rows that aren't held out."""
-    spark = docs.sparkSession
-    bound_batches(spark)
-    rows = materialise(token_rows(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))), "tokens")
-    tokens = rows.where("word is not null")
-    words = materialise(tokens.groupBy("word").agg(F.sum("train").alias("c")), "words")
-    total, kinds = words.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.when(F.col("c") > 0, 1))).first()
-    known = word_logs(words).select(F.col("word").alias("w"), F.log10((F.col("c") + 1) / F.lit(float(total + kinds + 1))).alias("base"), (F.col("c") > 0).cast("double").alias("known"), "log_p")
-    joined = tokens.join(known, F.col("word") == F.col("w")).select("block", "items", "times", "base", "known", "log_p")
-    sums = _gathered(joined, ["base", "known", "log_p"], True)
-    texts = rows.where("word is null").select("block", F.posexplode(F.arrays_zip("ids", "out", "times")).alias("item", "x"))
-    return texts.join(sums, ["block", "item"], "left").select(
-        F.col("x.ids").alias(id_col), F.col("x.out").alias("held_out"), F.col("x.times").cast("long").alias("n_tokens"), F.round("known").cast("long").alias("n_known"),
-        F.lit(int(total)).cast("long").alias("train_tokens"), F.col("base").alias("base_score"), F.col("log_p").alias("score"),
-    )
+    bound_batches(docs.sparkSession)
+    texts = materialise(blocked(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))), "texts")
+    words = materialise(word_rows(texts).groupBy("word").agg(F.sum("n").alias("n"), F.collect_list("block").alias("blocks")), "words")
+    total, kinds = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.when(F.col("n") > 0, 1))).first()
+    keys = materialise(key_rows(texts).groupBy("key").agg(F.sum("n").alias("n"), F.collect_list("block").alias("blocks")), "keys")
+    logs = key_log_table(keys)
+    keys = keys.join(logs, F.col("key") == F.col("k")).select("key", "blocks", "log_p")
+    return answered(texts, words, keys, int(total), int(kinds)).withColumnRenamed("id", id_col)
 
 
 def op7_lm_scoring(spark, sf_dir: str) -> DataFrame:

@@ -1,7 +1,8 @@
 """Queries and SQL of the training-data operators."""
 
+from .ctw import op7_lm_scoring
 from .quality import op8_quality_rules
 from .simhash import op4_simhash_near_dedup
 
-QUERIES = {"op4_simhash_near_dedup": op4_simhash_near_dedup, "op8_quality_rules": op8_quality_rules}
+QUERIES = {"op4_simhash_near_dedup": op4_simhash_near_dedup, "op7_lm_scoring": op7_lm_scoring, "op8_quality_rules": op8_quality_rules}
 ORACLES: dict[str, str] = {}
