@@ -7,11 +7,13 @@ decision a Krichevsky-Trofimov estimator holds the two counts of the training pa
 the estimators of all depths are mixed with the weights of context-tree weighting. A
 context that was never seen leaves its weight to the one it extends.
 
-Everything is a join of tables. Texts are dealt into blocks; a block asks for each of its
-distinct words and (context, byte) keys once, so what is hot costs a row per block. Keys
-are summed and their code lengths computed where their contexts meet, by their last three
-bytes; what lies above (at most 2**16 contexts of 255 decisions) is summed and sent back.
-The answers then return to the blocks, which are read again from the shared folder.
+Texts are dealt into blocks. A block asks for each of its distinct words and (context,
+byte) keys once, in packed lists dealt into buckets, so what is hot costs an entry per
+block. Words meet by their hash, keys by the last three bytes of their contexts; there they
+are summed and the code lengths computed. What lies above (at most 2**16 contexts of 255
+decisions) is summed and sent back. The answers return to the blocks, which are read again
+from the shared folder. Buckets follow the number of input partitions, lists are merged as
+they come, and a bucket holds its distinct entries only.
 
 Defined cases: null or empty text is the end token alone; a null id counts as an empty
 string when the training part is chosen; repeated rows are scored and learnt each; without
@@ -27,21 +29,22 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks, bound_batches, byte_list, intern, materialise, one
+from .common import blocks, bound_batches, byte_list, fresh_path, intern, materialise, mix64, one
 
-DEPTH = 6
+DEPTH = 5
 #: Depth by which contexts are dealt out; those above are few.
 TOP = 3
 END = b"\n"
 #: What stands before a text, so that all contexts are full.
 LEAD = b"\0" * (DEPTH - 1) + b" "
-BLOCK = 10 << 20
+BLOCK = 32 << 20
 #: (context, byte) keys worked on together, and stream positions worked on together.
-RUN, STEP = 120_000, 1 << 20
+RUN, STEP = 120_000, 1 << 22
 LOG2 = math.log(2)
 
 
@@ -53,42 +56,33 @@ def _starts(sorted_values: np.ndarray) -> np.ndarray:
     return np.flatnonzero(np.r_[True, sorted_values[1:] != sorted_values[:-1]]) if len(sorted_values) else np.zeros(0, np.int64)
 
 
-def blocked(docs: DataFrame) -> DataFrame:
-    """(block, id, out, text) with words lower-cased and a blank after each, from (id, text)."""
+def _pack(data: bytes) -> bytes:
+    return zstandard.compress(data, 1)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for n, table in enumerate(blocks(batches, limit=BLOCK)):
-            ids = one(table["id"])
-            texts = [b" ".join([*t.lower().split(), b""]) for t in byte_list(one(table["text"]))]
-            block = TaskContext.get().partitionId() << 32 | n
-            out = [held_out(i) for i in ids.to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(texts), block)), ids, pa.array(out, pa.bool_()), pa.array(texts, pa.binary())], names=["block", "id", "out", "text"])
 
-    return docs.mapInArrow(run, "block long, id long, out boolean, text binary")
+def _unpack(data: bytes) -> bytes:
+    return zstandard.decompress(data)
 
 
-def _by_block(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, list[bytes]]]:
-    """(block, held out, texts); a block that Spark split when reading comes in parts."""
-    for table in blocks(batches, limit=BLOCK):
-        of = table["block"].to_numpy()
-        for block in np.unique(of):
-            part = table.filter(pa.array(of == block))
-            yield int(block), part["out"].to_numpy(zero_copy_only=False).astype(bool), part["text"].to_pylist()
+def pack_words(words: list[bytes]) -> bytes:
+    return _pack(b" ".join(words))
 
 
-def word_rows(texts: DataFrame) -> DataFrame:
-    """(word, block, n): distinct words of a block with their times in the training part."""
+def unpack_words(data: bytes) -> list[bytes]:
+    return _unpack(data).split(b" ")
+
+
+def pack_keys(keys: np.ndarray) -> bytes:
+    """Ordered keys by their differences."""
+    return _pack(np.diff(keys, prepend=0).tobytes())
+
+
+def unpack_keys(data: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(_unpack(data), np.int64))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for block, out, parts in _by_block(batches):
-            vocabulary: dict[bytes, int] = {END: 0}
-            ids = [intern(t.split(), vocabulary) for t in parts]
-            train = [x for x, o in zip(ids, out, strict=True) if not o]
-            n = np.bincount(np.concatenate(train), minlength=len(vocabulary)) if train else np.zeros(len(vocabulary), np.int64)
-            n[0] += len(train)
-            yield pa.RecordBatch.from_arrays([pa.array(list(vocabulary), pa.binary()), pa.array(np.full(len(n), block)), pa.array(n.astype(np.int64))], names=["word", "block", "n"])
 
-    return texts.mapInArrow(run, "word binary, block long, n long")
+def pack_values(values: np.ndarray) -> bytes:
+    return _pack(values.tobytes())
 
 
 def stream(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -110,26 +104,135 @@ def keys_at(data: np.ndarray, at: np.ndarray, depth: int = DEPTH) -> np.ndarray:
     return key
 
 
-def key_rows(texts: DataFrame) -> DataFrame:
-    """(key, block, n): distinct keys of a block with their times in the training part."""
+def distinct_keys(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Ordered distinct keys of some texts, with their times."""
+    data, at = stream(texts)
+    key, n = np.zeros(0, np.int64), np.zeros(0, np.int64)
+    for a in range(0, len(at), STEP):
+        more = np.sort(keys_at(data, at[a : a + STEP]))
+        first = _starts(more)
+        key, n = merge_keys(key, n, more[first], np.diff(np.r_[first, len(more)]))
+    return key, n
+
+
+def merge_keys(key: np.ndarray, n: np.ndarray, more: np.ndarray, m: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The union of two ordered lists, with the sums of their times."""
+    both = np.concatenate([key, more])
+    order = np.argsort(both, kind="stable")
+    both, sums = both[order], np.concatenate([n, m])[order]
+    first = _starts(both)
+    return both[first], (np.add.reduceat(sums, first) if len(first) else sums)
+
+
+LISTS = "kind int, block long, bucket int, id long, out boolean, data binary, times binary"
+TEXT, WORDS, KEYS, TABLE = 0, 1, 2, -1
+
+
+def asked(docs: DataFrame, buckets: int) -> DataFrame:
+    """From (id, text): rows of TEXT (words lower-cased, a blank after each) and, by block and bucket, lists of distinct WORDS and KEYS with their times in the training part."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def rows(kind: int, block: int, bucket: list, ids: pa.Array, out: list, data: list, times: list) -> pa.RecordBatch:
+            k = len(data)
+            return pa.RecordBatch.from_arrays([pa.array([kind] * k, pa.int32()), pa.array([block] * k), pa.array(bucket, pa.int32()), ids, pa.array(out, pa.bool_()), pa.array(data, pa.binary()), pa.array(times, pa.binary())], names=["kind", "block", "bucket", "id", "out", "data", "times"])
+
+        for number, table in enumerate(blocks(batches, limit=BLOCK)):
+            block, ids = TaskContext.get().partitionId() << 32 | number, one(table["id"])
+            out = [held_out(i) for i in ids.to_pylist()]
+            texts = [b" ".join([*t.lower().split(), b""]) for t in byte_list(one(table["text"]))]
+            for a in range(0, len(texts), 1000):
+                part = texts[a : a + 1000]
+                yield rows(TEXT, block, [None] * len(part), ids.slice(a, 1000), out[a : a + 1000], part, [None] * len(part))
+            vocabulary: dict[bytes, int] = {END: 0}
+            train = [np.zeros(1, np.int64)]
+            for t, o in zip(texts, out, strict=True):
+                got = intern(t.split(), vocabulary)
+                if not o:
+                    train.append(got.astype(np.int32))
+            n = np.bincount(np.concatenate(train), minlength=len(vocabulary))
+            n[0] = len(train) - 1
+            split: dict[int, tuple[list, list]] = {}
+            for w, c in zip(vocabulary, n.tolist(), strict=True):
+                words, times = split.setdefault(zlib.crc32(w) % buckets, ([], []))
+                words.append(w)
+                times.append(c)
+            del vocabulary, train
+            none = pa.nulls(len(split), pa.int64())
+            yield rows(WORDS, block, list(split), none, [None] * len(split), [pack_words(w) for w, _ in split.values()], [pack_values(np.array(c, np.int64)) for _, c in split.values()])
+            del split
+            key, n = distinct_keys([t for t, o in zip(texts, out, strict=True) if not o])
+            other, m = distinct_keys([t for t, o in zip(texts, out, strict=True) if o])
+            key, n = merge_keys(key, n, other, 0 * m)
+            bucket = (mix64(key >> 8 * (DEPTH + 1 - TOP)) % np.uint64(buckets)).astype(np.int64)
+            found = np.unique(bucket).tolist()
+            parts = [bucket == b for b in found]
+            yield rows(KEYS, block, found, pa.nulls(len(found), pa.int64()), [None] * len(found), [pack_keys(key[p]) for p in parts], [pack_values(n[p]) for p in parts])
+
+    return docs.mapInArrow(run, LISTS)
+
+
+def _dealt(lists: DataFrame, buckets: int) -> DataFrame:
+    return lists.select("bucket", "kind", "block", "data", "times").repartition(buckets, "bucket").sortWithinPartitions("bucket", "kind")
+
+
+def _lists(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
+    for batch in batches:
+        yield from zip(*(c.to_pylist() for c in batch.columns), strict=True)
+
+
+def merged_words(lists: DataFrame, buckets: int) -> DataFrame:
+    """(bucket, data, times, n, kinds): all words of a bucket with their times."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def done(bucket: int, held: dict) -> pa.RecordBatch:
+            n = np.fromiter(held.values(), np.int64, len(held))
+            return pa.RecordBatch.from_pylist([{"bucket": bucket, "data": pack_words(list(held)), "times": pack_values(n), "n": int(n.sum()), "kinds": int((n > 0).sum())}], schema=pa.schema([("bucket", pa.int32()), ("data", pa.binary()), ("times", pa.binary()), ("n", pa.int64()), ("kinds", pa.int64())]))
+
+        now, held = None, {}
+        for bucket, _, _, data, times in _lists(batches):
+            if bucket != now:
+                if held:
+                    yield done(now, held)
+                now, held = bucket, {}
+            for w, c in zip(unpack_words(data), np.frombuffer(_unpack(times), np.int64).tolist(), strict=True):
+                held[w] = held.get(w, 0) + c
+        if held:
+            yield done(now, held)
+
+    return _dealt(lists, buckets).mapInArrow(run, "bucket int, data binary, times binary, n long, kinds long")
+
+
+def merged_keys(lists: DataFrame, buckets: int) -> DataFrame:
+    """(bucket, data, times): all keys of a bucket with their times."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for block, out, parts in _by_block(batches):
-            keys, counts = [], []
-            for part in (False, True):
-                chosen = [t for t, o in zip(parts, out, strict=True) if o == part]
-                data, at = stream(chosen)
-                key = np.sort(np.concatenate([np.zeros(0, np.int64), *(keys_at(data, at[a : a + STEP]) for a in range(0, len(at), STEP))]))
-                first = _starts(key)
-                keys.append(key[first])
-                counts.append(np.diff(np.r_[first, len(key)]) * (not part))
-            key, n = np.concatenate(keys), np.concatenate(counts)
-            order = np.argsort(key, kind="stable")
-            first = _starts(key[order])
-            if len(first):
-                yield pa.RecordBatch.from_arrays([pa.array(key[order][first]), pa.array(np.full(len(first), block)), pa.array(np.add.reduceat(n[order], first))], names=["key", "block", "n"])
-
-    return texts.mapInArrow(run, "key long, block long, n long")
+        empty = np.zeros(0, np.int64)
+        now, key, n = None, empty, empty
+        waiting: list[tuple[np.ndarray, np.ndarray]] = []
+
+        def done() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([pack_keys(key)], pa.binary()), pa.array([pack_values(n)], pa.binary())], names=["bucket", "data", "times"])
+
+        def fold() -> None:
+            nonlocal key, n
+            if waiting:
+                key, n = merge_keys(key, n, *merge_keys(np.concatenate([k for k, _ in waiting]), np.concatenate([m for _, m in waiting]), empty, empty))
+                waiting.clear()
+
+        for bucket, _, _, data, times in _lists(batches):
+            if bucket != now:
+                fold()
+                if len(key):
+                    yield done()
+                now, key, n = bucket, empty, empty
+            waiting.append((unpack_keys(data), np.frombuffer(_unpack(times), np.int64)))
+            if sum(len(k) for k, _ in waiting) > max(1 << 20, len(key)):
+                fold()
+        fold()
+        if len(key):
+            yield done()
+
+    return _dealt(lists, buckets).mapInArrow(run, "bucket int, data binary, times binary")
 
 
 _SMALL = np.array([math.lgamma(k + 0.5) for k in range(256)])
@@ -207,31 +310,26 @@ def levels(key: np.ndarray, n: np.ndarray, low: int = TOP, depth: int = DEPTH) -
     return out
 
 
-def _runs(batches: Iterator[pa.RecordBatch], prefix: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(key, n) from ordered batches, cut only where the context's first bytes change."""
-    keys, ns, size = [], [], 0
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(bucket, keys, times) of merged keys, cut only where the context's first bytes change."""
+    prefix = 8 * (DEPTH + 1 - TOP)
     for batch in batches:
-        if not batch.num_rows:
-            continue
-        keys.append(batch.column(0).to_numpy())
-        ns.append(batch.column(1).to_numpy())
-        size += batch.num_rows
-        if size >= RUN:
-            key, n = np.concatenate(keys), np.concatenate(ns)
-            cut = int(np.searchsorted(key >> prefix, key[-1] >> prefix))
-            if cut:
-                yield key[:cut], n[:cut]
-            keys, ns, size = [key[cut:]], [n[cut:]], len(key) - cut
-    if size:
-        yield np.concatenate(keys), np.concatenate(ns)
+        for bucket, data, times in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            key, n = unpack_keys(data), np.frombuffer(_unpack(times), np.int64)
+            a = 0
+            while a < len(key):
+                b = len(key)
+                if b - a > RUN:  # the last key of the run decides where its context ends
+                    b = int(np.searchsorted(key, ((key[a + RUN] >> prefix) + 1) << prefix))
+                yield bucket, key[a:b], n[a:b]
+                a = b
 
 
 def top_levels(rows: DataFrame) -> dict[int, Level]:
     """The levels above TOP, from the sums of what lies below them."""
-    shift = 8 * (DEPTH + 1 - TOP)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for key, n in _runs(batches, shift):
+        for _, key, n in _runs(batches):
             low = levels(key, n)[TOP]
             parent = low.parents()
             order = np.argsort(parent, kind="stable")
@@ -267,16 +365,39 @@ def key_logs(key: np.ndarray, n: np.ndarray, top: dict[int, Level]) -> np.ndarra
 
 
 def key_log_table(keys: DataFrame) -> DataFrame:
-    """(k, log_p) for every key of (key, n)."""
-    shift = 8 * (DEPTH + 1 - TOP)
-    dealt = keys.select("key", "n").repartition(F.shiftright("key", shift)).sortWithinPartitions("key")
-    top = keys.sparkSession.sparkContext.broadcast(top_levels(dealt))
+    """(kind, bucket, data, times): the keys' code lengths in the place of their times."""
+    top = keys.sparkSession.sparkContext.broadcast(top_levels(keys.select("bucket", "data", "times")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for key, n in _runs(batches, shift):
-            yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(key_logs(key, n, top.value))], names=["k", "log_p"])
+        for bucket, key, n in _runs(batches):
+            yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([pack_keys(key)], pa.binary()), pa.array([pack_values(key_logs(key, n, top.value))], pa.binary())], names=["bucket", "data", "times"])
 
-    return dealt.mapInArrow(run, "k long, log_p double")
+    return keys.select("bucket", "data", "times").mapInArrow(run, "bucket int, data binary, times binary")
+
+
+def answers(lists: DataFrame, tables: DataFrame, buckets: int, kind: int) -> DataFrame:
+    """(kind, block, data, times): the blocks' lists with the values that the tables hold."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, table, parts = None, None, []
+        for bucket, which, block, data, times in _lists(batches):
+            if bucket != now:
+                now, table, parts = bucket, None, []
+            if which == TABLE:
+                parts.append((unpack_words(data), np.frombuffer(_unpack(times), np.int64).tolist()) if kind == WORDS else (unpack_keys(data), np.frombuffer(_unpack(times))))
+                continue
+            if table is None:
+                table = {w: c for p in parts for w, c in zip(*p, strict=True)} if kind == WORDS else Table(*(np.concatenate(x) for x in zip(*parts, strict=True)))
+                parts = []
+            if kind == WORDS:
+                got = np.fromiter(map(table.__getitem__, unpack_words(data)), np.int64)
+            else:
+                got = table.get(unpack_keys(data))
+            yield pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([block]), pa.array([data], pa.binary()), pa.array([pack_values(got)], pa.binary())], names=["kind", "block", "data", "times"])
+
+    told = tables.select("bucket", F.lit(TABLE).alias("kind"), F.lit(None).cast("long").alias("block"), "data", "times")
+    both = told.union(lists.select("bucket", "kind", "block", "data", "times"))
+    return _dealt(both, buckets).mapInArrow(run, "kind int, block long, data binary, times binary")
 
 
 class Table:
@@ -305,44 +426,49 @@ class Table:
         return self.values[slot]
 
 
-def answered(texts: DataFrame, words: DataFrame, keys: DataFrame, total: int, kinds: int) -> DataFrame:
-    """Scores of all texts, from a block's texts and the rows its words and keys have got."""
+def answered(texts: DataFrame, got: list[DataFrame], total: int, kinds: int) -> DataFrame:
+    """Scores of all texts, from a block's texts and the answers to its lists."""
 
     def run(table: pa.Table) -> pa.Table:
-        at = [np.flatnonzero(table["kind"].to_numpy() == k) for k in range(3)]
-        text, word, key = (table.take(pa.array(x)) for x in at)
-        vocabulary = {w: i for i, w in enumerate(word["data"].to_pylist())}
-        count = word["n"].to_numpy()
+        kind = table["kind"].to_numpy()
+        text, words, keys = (table.filter(pa.array(kind == k)) for k in (TEXT, WORDS, KEYS))
+        del table
+        vocabulary = {w: i for i, w in enumerate(w for x in words["data"].to_pylist() for w in unpack_words(x))}
+        count = np.concatenate([np.frombuffer(_unpack(x), np.int64) for x in words["times"].to_pylist()])
         base = np.log10((count + 1) / (total + kinds + 1))
-        logs = Table(key["n"].to_numpy(), key["value"].to_numpy())
+        logs = Table(np.concatenate([unpack_keys(x) for x in keys["data"].to_pylist()]), np.concatenate([np.frombuffer(_unpack(x)) for x in keys["times"].to_pylist()]))
         end, rows = vocabulary[END], []
-        for t in text["data"].to_pylist():
-            ids = np.fromiter(map(vocabulary.__getitem__, t.split()), np.int64)
-            data, places = stream([t])
-            score = sum(float(logs.get(keys_at(data, places[a : a + STEP])).sum()) for a in range(0, len(places), STEP))
-            rows.append((len(ids) + 1, int((count[ids] > 0).sum() + (count[end] > 0)), float(base[ids].sum() + base[end]), score))
+        for batch in text.to_batches():
+            for t in batch.column("data"):
+                t = t.as_py()
+                ids = np.fromiter(map(vocabulary.__getitem__, t.split()), np.int64)
+                data, places = stream([t])
+                score = sum(float(logs.get(keys_at(data, places[a : a + STEP])).sum()) for a in range(0, len(places), STEP))
+                rows.append((len(ids) + 1, int((count[ids] > 0).sum() + (count[end] > 0)), float(base[ids].sum() + base[end]), score))
         n, known, low, high = zip(*rows, strict=True) if rows else ((),) * 4
-        return pa.table([text["n"], text["out"], pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array([total] * len(n), pa.int64()), pa.array(low, pa.float64()), pa.array(high, pa.float64())], names=["id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+        return pa.table([text["id"], text["out"], pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array([total] * len(n), pa.int64()), pa.array(low, pa.float64()), pa.array(high, pa.float64())], names=["id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
-    none = F.lit(None)
-    parts = [
-        texts.select("block", F.lit(0).alias("kind"), "out", F.col("id").alias("n"), F.col("text").alias("data"), none.cast("double").alias("value")),
-        words.select(F.explode("blocks").alias("block"), F.lit(1), none.cast("boolean"), "n", "word", none.cast("double")),
-        keys.select(F.explode("blocks").alias("block"), F.lit(2), none.cast("boolean"), F.col("key"), none.cast("binary"), "log_p"),
-    ]
-    return parts[0].union(parts[1]).union(parts[2]).groupBy("block").applyInArrow(run, "id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    rows = texts.select("block", "kind", "id", "out", "data", F.lit(None).cast("binary").alias("times"))
+    for part in got:
+        rows = rows.union(part.select("block", "kind", F.lit(None).cast("long"), F.lit(None).cast("boolean"), "data", "times"))
+    return rows.groupBy("block").applyInArrow(run, "id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Base and model scores of every row; the model learns from rows that aren't held out."""
-    bound_batches(docs.sparkSession)
-    texts = materialise(blocked(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))), "texts")
-    words = materialise(word_rows(texts).groupBy("word").agg(F.sum("n").alias("n"), F.collect_list("block").alias("blocks")), "words")
-    total, kinds = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.when(F.col("n") > 0, 1))).first()
-    keys = materialise(key_rows(texts).groupBy("key").agg(F.sum("n").alias("n"), F.collect_list("block").alias("blocks")), "keys")
-    logs = key_log_table(keys)
-    keys = keys.join(logs, F.col("key") == F.col("k")).select("key", "blocks", "log_p")
-    return answered(texts, words, keys, int(total), int(kinds)).withColumnRenamed("id", id_col)
+    spark = docs.sparkSession
+    bound_batches(spark)
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+    buckets = max(8, 2 * rows.rdd.getNumPartitions())
+    path = fresh_path(spark, "lm")
+    asked(rows, buckets).write.option("compression", "zstd").partitionBy("kind").parquet(path)
+    all_rows = spark.read.schema(LISTS).parquet(path)
+    texts, words, keys = (all_rows.where(F.col("kind") == k) for k in (TEXT, WORDS, KEYS))
+    known = materialise(merged_words(words, buckets), "words")
+    total, kinds = known.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("kinds"), F.lit(0))).first()
+    logs = key_log_table(materialise(merged_keys(keys, buckets), "keys"))
+    got = [answers(words, known, buckets, WORDS), answers(keys, logs, buckets, KEYS)]
+    return answered(texts, got, int(total), int(kinds)).withColumnRenamed("id", id_col)
 
 
 def op7_lm_scoring(spark, sf_dir: str) -> DataFrame:
