@@ -86,7 +86,7 @@ class _Forest:
 
     def edges(self) -> tuple[np.ndarray, np.ndarray]:
         nodes = list(self.up)
-        return np.array(nodes, np.int64), np.array([self.find(x) for x in nodes], np.int64)
+        return np.array(nodes, np.uint64).view(np.int64), np.array([self.find(x) for x in nodes], np.uint64).view(np.int64)
 
 
 def link_small(keys: np.ndarray, fps: np.ndarray, radius: int, forest: _Forest) -> None:
@@ -134,7 +134,7 @@ def links(distinct: DataFrame, radius: int = 3) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forest = _Forest()
-        rest_k, rest_f = np.zeros(0, np.int64), [np.zeros(0, np.int64)]
+        rest_k, rest_f = np.zeros(0, np.int64), [np.zeros(0, np.uint64)]
 
         def flush(k: np.ndarray, f: np.ndarray) -> None:
             starts = np.flatnonzero(np.r_[True, k[1:] != k[:-1]]) if len(k) else np.zeros(0, np.int64)
@@ -145,7 +145,7 @@ def links(distinct: DataFrame, radius: int = 3) -> DataFrame:
             link_small(k[little], f[little], radius, forest)
 
         for batch in batches:
-            k, f = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            k, f = batch.column(0).to_numpy(), batch.column(1).to_numpy().view(np.uint64)  # of negative numbers numpy counts the bits of the amount
             if not len(k):
                 continue
             if len(rest_k) and k[-1] == rest_k[0]:  # one bucket goes on through the whole batch
