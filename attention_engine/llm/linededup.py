@@ -10,8 +10,12 @@ included. The join:
   - where postings meet, lengths, positions, and bit maps that bound the symmetric
     difference from below discard pairs; groups are walked in order of length, pairs are
     not emitted before they pass;
-  - the pairs left are verified on the words themselves, fetched for those lines only.
-Equal sets are one entry of the join, with their first place, so copies don't multiply.
+  - of the pairs left, a line keeps per word its first ``MOST`` earlier partners and the one
+    whose bit map is nearest; these are verified on the words themselves, fetched for those
+    lines only. A line for which none holds, and which had more, is a query: such lines are
+    compared, in blocks of ``QUERIES``, with every line, so nothing is lost.
+To remove a line one earlier partner is enough, so large groups of near copies cost a few
+pairs a line. Equal sets are one entry of the join, with their first place.
 
 Defined cases: lines without a word stay; null or empty text has one such line; a null id
 comes before all others; lines of repeated rows (equal id and line number) are not later
@@ -38,6 +42,7 @@ BITS = 25
 FIRST = -(1 << 63)
 #: Lines of fewer words can only match equal sets.
 LEAST = 4
+MOST, QUERIES = 3, 20_000
 
 
 def word_hashes(words: list[bytes]) -> np.ndarray:
@@ -74,54 +79,73 @@ def word_counts(docs: DataFrame) -> DataFrame:
 
 
 class Lines:
-    """The lines of a block that have a word: places, word sets in order of word number, signatures."""
+    """The distinct word sets of a block's lines: first places, signatures, words."""
 
     def __init__(self, docs: np.ndarray, texts: list[bytes], chosen: list | None = None) -> None:
         self.vocabulary: dict[bytes, int] = {}
-        parts, doc, line, size = [], [], [], []
-        for d, t in enumerate(texts):
+        seen: dict[bytes, int] = {}
+        self.words, places, size = [], [], []
+        for at, (d, t) in enumerate(zip(docs.tolist(), texts, strict=True)):
+            keep = None if chosen is None else chosen[at]
             for k, x in enumerate(t.lower().split(b"\n")):
-                if chosen is not None and k not in chosen[d]:
+                words = set(x.split())
+                if not words or (keep is not None and k not in keep):
                     continue
-                words = x.split()
-                if words:
-                    parts.append(intern(words, self.vocabulary))
-                    doc.append(d)
-                    line.append(k)
+                sig, place = signature_of(words), (d, k)
+                i = seen.setdefault(sig, len(places))
+                if i == len(places):
+                    self.words.append(list(words))
+                    places.append(place)
                     size.append(len(words))
-        self.row, self.line = np.array(doc, np.int64), np.array(line, np.int64)
-        self.doc = docs[self.row]
-        ids = np.concatenate(parts) if parts else np.zeros(0, np.int64)
-        v = max(1, len(self.vocabulary))
-        code = np.unique(np.repeat(np.arange(len(size)), size) * v + ids)
-        self.of, self.ids = code // v, code % v
-        self.hashes = word_hashes(list(self.vocabulary))
-        self.n = np.bincount(self.of, minlength=len(size))
+                elif place < places[i]:
+                    places[i] = place
+        self.doc, self.line = (np.array([x[k] for x in places], np.int64) for k in (0, 1))
+        self.a, self.b = np.frombuffer(b"".join(seen), np.int64).reshape(-1, 2).T
+        self.n = np.array(size, np.int64)
         self.starts = np.cumsum(self.n) - self.n
-        mixed = [mix64(self.hashes), mix64(self.hashes ^ np.uint64(0x5851F42D4C957F2D))]
-        self.a, self.b = (np.add.reduceat(m[self.ids], self.starts).view(np.int64) if len(size) else np.zeros(0, np.int64) for m in mixed)
+
+    def number(self) -> None:
+        """Numbers of the words, line by line, and their hashes."""
+        self.ids = np.concatenate([intern(w, self.vocabulary) for w in self.words]) if self.words else np.zeros(0, np.int64)
+        self.of = np.repeat(np.arange(len(self.n)), self.n)
+        self.hashes = word_hashes(list(self.vocabulary))
 
     def bitmaps(self) -> tuple[np.ndarray, np.ndarray]:
         """128 bits per line; a word toggles one of them."""
-        if not len(self.n):
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
         spot = self.hashes[self.ids] & np.uint64(127)
         bit = np.uint64(1) << (spot & np.uint64(63))
         low = np.where(spot < 64, bit, np.uint64(0))
         return tuple(np.bitwise_xor.reduceat(x, self.starts).view(np.int64) for x in (low, low ^ bit))
 
 
+def signature_of(words: set) -> bytes:
+    return xxhash.xxh3_128_digest(b" ".join(sorted(words)))
+
+
 def occurrences(rows: DataFrame) -> DataFrame:
     """(doc, version, line, a, b) of all lines with a word, from (id, version, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in blocks(batches):
-            lines = Lines(table["doc"].to_numpy(), byte_list(one(table["text"])))
-            yield pa.RecordBatch.from_arrays([pa.array(lines.doc), pa.array(table["version"].to_numpy()[lines.row]), pa.array(lines.line), pa.array(lines.a), pa.array(lines.b)], names=["doc", "version", "line", "a", "b"])
+            lines, sigs, count = [], [], []
+            for t in byte_list(one(table["text"])):
+                before = len(lines)
+                for k, x in enumerate(t.lower().split(b"\n")):
+                    words = set(x.split())
+                    if words:
+                        lines.append(k)
+                        sigs.append(signature_of(words))
+                count.append(len(lines) - before)
+            a, b = np.frombuffer(b"".join(sigs), np.int64).reshape(-1, 2).T
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(table["doc"].to_numpy(), count)), pa.array(np.repeat(table["version"].to_numpy(), count)), pa.array(lines, pa.int64()), pa.array(np.ascontiguousarray(a)), pa.array(np.ascontiguousarray(b))], names=["doc", "version", "line", "a", "b"])
 
     return rows.mapInArrow(run, "doc long, version long, line long, a long, b long")
 
 
+def prefix_size(n: np.ndarray) -> np.ndarray:
+    return n - -(-NUM * n // DEN) + 1
+
+
 def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.ndarray) -> DataFrame:
     """A row per prefix word of every distinct line of a block."""
     told = rows.sparkSession.sparkContext.broadcast((common, twice))
@@ -132,39 +156,36 @@ def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.n
             lines = Lines(table["doc"].to_numpy(), byte_list(one(table["text"])))
             if not len(lines.n):
                 continue
+            lines.number()
             h = lines.hashes
             at = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
             often = np.where(known[at] == h, count[at], 0) if len(known) else np.zeros(len(h), np.int64)
+            word_at = np.lexsort((h, often))
             rank = np.empty(len(h), np.int64)
-            rank[np.lexsort((h, often))] = np.arange(len(h))
+            rank[word_at] = np.arange(len(h))
             code = np.sort(lines.of * len(h) + rank[lines.ids])
-            word_at = np.empty(len(h), np.int64)
-            word_at[rank] = np.arange(len(h))
             of, word = code // len(h), word_at[code % len(h)]
-            order = np.lexsort((lines.line, lines.doc, lines.b, lines.a))
-            new = np.r_[True, (lines.a[order][1:] != lines.a[order][:-1]) | (lines.b[order][1:] != lines.b[order][:-1])]
-            first = np.zeros(len(lines.n), bool)
-            first[order[new]] = True
             pos = np.arange(len(of)) - lines.starts[of]
-            prefix = lines.n - -(-NUM * lines.n // DEN) + 1
-            keep = first[of] & (pos < prefix[of]) & (lines.n[of] >= LEAST)
+            keep = (pos < prefix_size(lines.n)[of]) & (lines.n[of] >= LEAST)
             keep[keep] = held(table_of, slots(h[word[keep]]))
             of, word, pos = of[keep], word[keep], pos[keep]
             x0, x1 = lines.bitmaps()
-            columns = [h[word].view(np.int64), lines.n[of], lines.a[of], lines.b[of], lines.doc[of], lines.line[of], pos, x0[of], x1[of]]
+            columns = [h[word].view(np.int64), lines.n[of] << 32 | pos, lines.a[of], lines.b[of], lines.doc[of], lines.line[of], x0[of], x1[of]]
             for a in range(0, len(of), 50_000):
-                yield pa.RecordBatch.from_arrays([pa.array(c[a : a + 50_000]) for c in columns], names=["h", "n", "a", "b", "doc", "line", "pos", "x0", "x1"])
+                yield pa.RecordBatch.from_arrays([pa.array(c[a : a + 50_000]) for c in columns], names=["h", "np", "a", "b", "doc", "line", "x0", "x1"])
 
-    return rows.mapInArrow(run, "h long, n long, a long, b long, doc long, line long, pos long, x0 long, x1 long")
+    return rows.mapInArrow(run, "h long, np long, a long, b long, doc long, line long, x0 long, x1 long")
 
 
 def meet(c: list[np.ndarray]) -> list[np.ndarray]:
-    """Candidate pairs among postings ordered by (word, length, signature, place)."""
-    h, n, a, b = c[:4]
+    """Candidates (a1, b1, doc1, line1 of the later line; a2, b2, doc2, line2; partners the later line had) among postings ordered by word, length, signature, place."""
+    h, np_, a, b = c[:4]
     new = np.r_[True, (h[1:] != h[:-1]) | (a[1:] != a[:-1]) | (b[1:] != b[:-1])] if len(h) else np.zeros(0, bool)
-    h, n, a, b, doc, line, pos, x0, x1 = (x[new] for x in c)
+    h, np_, a, b, doc, line, x0, x1 = (x[new] for x in c)
+    n, pos = np_ >> 32, np_ & 0xFFFFFFFF
     x0, x1 = x0.view(np.uint64), x1.view(np.uint64)  # of negative numbers numpy counts the bits of the amount
-    at, out = np.arange(len(h)), []
+    at, later, earlier = np.arange(len(h)), [], []
+    partners, best, nearest = np.zeros(len(h), np.int64), np.full(len(h), 1 << 30), np.full(len(h), -1)
     step = 0
     while True:
         step += 1
@@ -174,16 +195,26 @@ def meet(c: list[np.ndarray]) -> list[np.ndarray]:
             break
         to = at + step
         need = -(-NUM * (n[at] + n[to]) // (NUM + DEN))
-        room = 1 + np.minimum(n[at] - pos[at], n[to] - pos[to]) - 1
+        room = np.minimum(n[at] - pos[at], n[to] - pos[to])
         apart = np.bitwise_count(x0[at] ^ x0[to]).astype(np.int64) + np.bitwise_count(x1[at] ^ x1[to])
         ok = (room >= need) & (apart <= n[at] + n[to] - 2 * need)
-        i, j = at[ok], to[ok]
-        if len(i):
-            out.append([x[k] for k in (i, j) for x in (a, b, doc, line)])
-    return [np.concatenate(x) for x in zip(*out, strict=True)] if out else [np.zeros(0, np.int64)] * 8
+        if not ok.any():
+            continue
+        i, j, apart = at[ok], to[ok], apart[ok]
+        forward = (doc[i] < doc[j]) | ((doc[i] == doc[j]) & (line[i] < line[j]))
+        for late, early, d in ((j[forward], i[forward], apart[forward]), (i[~forward], j[~forward], apart[~forward])):
+            few = partners[late] < MOST
+            later.append(late[few])
+            earlier.append(early[few])
+            partners[late] += 1
+            closer = d < best[late]
+            best[late[closer]], nearest[late[closer]] = d[closer], early[closer]
+    some = np.flatnonzero(partners > MOST)
+    late, early = np.concatenate([some, *later]), np.concatenate([nearest[some], *earlier])
+    return [x[k] for k in (late, early) for x in (a, b, doc, line)] + [partners[late]]
 
 
-PAIR = ["a1", "b1", "doc1", "line1", "a2", "b2", "doc2", "line2"]
+PAIR = ["a1", "b1", "doc1", "line1", "a2", "b2", "doc2", "line2", "partners"]
 
 
 def candidates(posted: DataFrame) -> DataFrame:
@@ -203,11 +234,10 @@ def candidates(posted: DataFrame) -> DataFrame:
         if rest:
             yield pa.RecordBatch.from_arrays([pa.array(x) for x in meet([np.concatenate(x) for x in zip(*rest, strict=True)])], names=PAIR)
 
-    dealt = posted.repartition("h").sortWithinPartitions("h", "n", "a", "b", "doc", "line")
+    dealt = posted.repartition("h").sortWithinPartitions("h", "np", "a", "b", "doc", "line")
     found = dealt.mapInArrow(run, ", ".join(f"{x} long" for x in PAIR))
-    swap = (F.col("a1") > F.col("a2")) | ((F.col("a1") == F.col("a2")) & (F.col("b1") > F.col("b2")))
-    turned = found.select(*[F.when(swap, F.col(PAIR[(k + 4) % 8])).otherwise(F.col(x)).alias(x) for k, x in enumerate(PAIR)])
-    return turned.groupBy("a1", "b1", "a2", "b2").agg(F.min(F.struct("doc1", "line1")).alias("p1"), F.min(F.struct("doc2", "line2")).alias("p2"))
+    first, second = F.min(F.struct("doc1", "line1")), F.min(F.struct("doc2", "line2"))
+    return found.groupBy("a1", "b1", "a2", "b2").agg(first.alias("p1"), second.alias("p2"), F.max("partners").alias("partners"))
 
 
 def _place(doc: np.ndarray, line: np.ndarray) -> np.ndarray:
@@ -241,37 +271,82 @@ def word_sets(rows: DataFrame, tables: tuple[np.ndarray, np.ndarray]) -> DataFra
             texts = byte_list(one(table["text"]))
             chosen = [set(np.flatnonzero(held(lines_of, slots(_place(np.full(t.count(b"\n") + 1, d), np.arange(t.count(b"\n") + 1))))).tolist()) for d, t in zip(doc.tolist(), texts, strict=True)]
             lines = Lines(doc, texts, chosen)
-            words = np.array(list(lines.vocabulary), object)
-            yield pa.RecordBatch.from_arrays([pa.array(lines.a), pa.array(lines.b), pa.ListArray.from_arrays(pa.array(np.r_[lines.starts, len(lines.ids)].astype(np.int32)), pa.array(words[lines.ids], pa.binary()))], names=["a", "b", "words"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(lines.a)), pa.array(np.ascontiguousarray(lines.b)), pa.array(lines.words, pa.list_(pa.binary()))], names=["a", "b", "words"])
 
     return rows.mapInArrow(run, "a long, b long, words array<binary>").dropDuplicates(["a", "b"])
 
 
-def similar(rows: DataFrame) -> DataFrame:
-    """Verified pairs of distinct word sets, each with its first place: (a1, b1, p1, a2, b2, p2)."""
+def partners_of(rows: DataFrame) -> DataFrame:
+    """(a, b, p): for every distinct word set that has an earlier partner, the place of one."""
     spark = rows.sparkSession
     counts = materialise(word_counts(rows), "words")
     total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     often = counts.where(F.col("n") >= F.lit(max(2.0, total * RARE))).toPandas().astype({"h": np.int64, "n": np.int64})
     h = often["h"].to_numpy().view(np.uint64)
     order = np.argsort(h)
+    common = (h[order], often["n"].to_numpy()[order])
     twice = bit_table(counts.where("n > 1").select(F.shiftrightunsigned("h", 64 - BITS).alias("slot")))
-    pairs = materialise(candidates(postings(rows, (h[order], often["n"].to_numpy()[order]), twice)), "pairs")
+    pairs = materialise(candidates(postings(rows, common, twice)), "pairs")
     places = pairs.select("p1.*").toDF("doc", "line").union(pairs.select("p2.*").toDF("doc", "line"))
     sets = materialise(word_sets(rows, wanted(places)), "sets")
     one_, two = (sets.select(*[F.col(c).alias(f"{c}_{k}") for c in sets.columns]) for k in (1, 2))
     both = pairs.join(one_, (F.col("a1") == F.col("a_1")) & (F.col("b1") == F.col("b_1"))).join(two, (F.col("a2") == F.col("a_2")) & (F.col("b2") == F.col("b_2")))
     shared = F.size(F.array_intersect("words_1", "words_2"))
-    return both.where((NUM + DEN) * shared >= NUM * (F.size("words_1") + F.size("words_2"))).select("a1", "b1", "p1", "a2", "b2", "p2")
+    holds = (NUM + DEN) * shared >= NUM * (F.size("words_1") + F.size("words_2"))
+    told = both.select(F.col("a1").alias("a"), F.col("b1").alias("b"), F.when(holds, F.col("p2")).alias("p"), "p1", "partners")
+    told = materialise(told.groupBy("a", "b").agg(F.min("p").alias("p"), F.min("p1").alias("own"), F.max("partners").alias("partners")), "told")
+    found = told.where("p is not null").select("a", "b", "p")
+    open_ = told.where((F.col("p").isNull()) & (F.col("partners") > MOST)).select("a", "b", "own")
+    left = open_.count()
+    if left:
+        for block in range(-(-left // QUERIES)):
+            some = open_.where(F.pmod(F.hash("a", "b"), F.lit(-(-left // QUERIES))) == block)
+            asked = some.join(sets, ["a", "b"]).select("a", "b", "own.*", "words").toPandas()
+            found = found.union(answers(rows, asked, common))
+    return found
+
+
+def answers(rows: DataFrame, asked, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """(a, b, p) for those of the asked lines that have an earlier partner among all lines."""
+    sets = [frozenset(w) for w in asked["words"]]
+    keys = list(zip(asked["a"].tolist(), asked["b"].tolist(), asked.iloc[:, 2].tolist(), asked.iloc[:, 3].tolist(), strict=True))
+    known, count = common
+    at: dict[bytes, list[int]] = {}
+    for q, words in enumerate(sets):
+        words = list(words)
+        h = word_hashes(words)
+        k = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
+        often = np.where(known[k] == h, count[k], 0) if len(known) else np.zeros(len(h), np.int64)
+        for i in np.lexsort((h, often))[: int(prefix_size(np.array(len(words))))]:
+            at.setdefault(words[i], []).append(q)
+    told = rows.sparkSession.sparkContext.broadcast((sets, keys, at))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sets, keys, at = told.value
+        listed = frozenset(at)
+        best: dict[int, tuple] = {}
+        for table in blocks(batches):
+            for d, t in zip(table["doc"].to_pylist(), byte_list(one(table["text"])), strict=True):
+                for k, x in enumerate(t.lower().split(b"\n")):
+                    words = set(x.split())
+                    for q in {q for w in listed & words for q in at[w]}:
+                        place = (d, k)
+                        if place < keys[q][2:] and place < best.get(q, keys[q][2:]):
+                            shared = len(sets[q] & words)
+                            if (NUM + DEN) * shared >= NUM * (len(sets[q]) + len(words)):
+                                best[q] = place
+        if best:
+            yield pa.RecordBatch.from_arrays([pa.array([keys[q][i] for q in best], pa.int64()) for i in (0, 1)] + [pa.array([p[i] for p in best.values()], pa.int64()) for i in (0, 1)], names=["a", "b", "doc", "line"])
+
+    got = rows.mapInArrow(run, "a long, b long, doc long, line long")
+    return got.groupBy("a", "b").agg(F.min(F.struct(F.col("doc").alias("doc2"), F.col("line").alias("line2"))).alias("p"))
 
 
 def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc, version, removed: ordered line numbers) of texts that lose a line."""
     bound_batches(docs.sparkSession)
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(FIRST)).alias("doc"), F.xxhash64(F.col(text_col).cast("string")).alias("version"), F.col(text_col).cast("string").alias("text"))
-    pairs = materialise(similar(rows), "similar")
-    near = pairs.select("a1", "b1", "p2").toDF("a", "b", "p").union(pairs.select("a2", "b2", "p1").toDF("a", "b", "p"))
-    near = near.select("a", "b", F.col("p.*")).toDF("a", "b", "doc", "line").groupBy("a", "b").agg(F.min(F.struct("doc", "line")).alias("near"))
+    near = materialise(partners_of(rows), "partners").groupBy("a", "b").agg(F.min(F.struct(F.col("p.doc2").alias("doc"), F.col("p.line2").alias("line"))).alias("near"))
     found = materialise(occurrences(rows), "lines")
     first = found.groupBy("a", "b").agg(F.min(F.struct("doc", "line")).alias("first")).join(near, ["a", "b"], "left")
     first = first.select(F.col("a").alias("a0"), F.col("b").alias("b0"), F.least("first", "near").alias("since"))
