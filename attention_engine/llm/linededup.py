@@ -43,6 +43,8 @@ FIRST = -(1 << 63)
 #: Lines of fewer words can only match equal sets.
 LEAST = 4
 MOST, QUERIES = 3, 20_000
+#: Bytes of text whose words are held at once.
+PART = 6 << 20
 
 
 def word_hashes(words: list[bytes]) -> np.ndarray:
@@ -152,11 +154,12 @@ def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.n
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         (known, count), table_of = told.value
-        for table in blocks(batches):
+        for table in blocks(batches, limit=PART):
             lines = Lines(table["doc"].to_numpy(), byte_list(one(table["text"])))
             if not len(lines.n):
                 continue
             lines.number()
+            lines.words = []
             h = lines.hashes
             at = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
             often = np.where(known[at] == h, count[at], 0) if len(known) else np.zeros(len(h), np.int64)
@@ -264,7 +267,7 @@ def word_sets(rows: DataFrame, tables: tuple[np.ndarray, np.ndarray]) -> DataFra
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         texts_of, lines_of = told.value
-        for table in blocks(batches):
+        for table in blocks(batches, limit=PART):
             doc = table["doc"].to_numpy()
             hit = held(texts_of, slots(mix64(doc)))
             table, doc = table.filter(pa.array(hit)), doc[hit]
@@ -325,7 +328,7 @@ def answers(rows: DataFrame, asked, common: tuple[np.ndarray, np.ndarray]) -> Da
         sets, keys, at = told.value
         listed = frozenset(at)
         best: dict[int, tuple] = {}
-        for table in blocks(batches):
+        for table in blocks(batches, limit=PART):
             for d, t in zip(table["doc"].to_pylist(), byte_list(one(table["text"])), strict=True):
                 for k, x in enumerate(t.lower().split(b"\n")):
                     words = set(x.split())
