@@ -11,6 +11,7 @@ from ..operators.feedback import Facet, facetize, update_actions, update_feedbac
 from ..operators.highlights import anchors, greedy_highlights, list_prefix
 from ..operators.matching import match_points, matched
 from ..operators.zones import attention_zones, discover_outlines
+from .keep import keep
 
 
 @dataclass(frozen=True)
@@ -52,25 +53,24 @@ def run_iteration(state: State, t_c: int, trace: DataFrame, points: DataFrame, s
     found = None
     if p.feedback in ("implicit", "both"):
         mined = trace.where(F.col("t_ms") > state.t_last) if p.since == "last" and state.t_last else trace
-        zones = attention_zones(discover_outlines(mined, t_c, p.g, p.eps, p.min_pts, p.every_ms, p.segments, p.clustering), p.recurrence)
-        found = matched(match_points(points, zones, p.matching), p.multiplicity)
+        zones = keep(attention_zones(discover_outlines(mined, t_c, p.g, p.eps, p.min_pts, p.every_ms, p.segments, p.clustering), p.recurrence))
+        found = keep(matched(match_points(points, zones, p.matching), p.multiplicity))
         vector = update_feedback(vector, found, facets, p.delta, p.normalise)
     if p.feedback in ("explicit", "both"):
         acts = trace.where((F.col("t_ms") <= t_c) & (F.col("t_ms") > (state.t_last if p.since == "last" else -1)))
         vector = update_actions(vector, acts, points, facets, p.action_weights, p.normalise)
+    vector = keep(vector)
     unseen = found if p.search == "unseen" else None
-    starts = anchors(points, vector, spec, unseen)
+    starts = keep(anchors(points, vector, spec, unseen))
     prefix = list_prefix(points, spec, starts, p.depth, unseen)
     return greedy_highlights(prefix, p.k, p.time_limit_ms, p.max_scans, p.metric, p.swap), State(vector, t_c)
 
 
-def explore(trace: DataFrame, points: DataFrame, t_cs: list[int], spec: list[Facet], params: Params = Params(), keep=None) -> tuple[DataFrame, DataFrame]:
-    """(highlights, vectors) of several iterations, with ``iter``. ``keep`` writes a vector and reads it again, to cut the plan."""
+def explore(trace: DataFrame, points: DataFrame, t_cs: list[int], spec: list[Facet], params: Params = Params()) -> tuple[DataFrame, DataFrame]:
+    """(highlights, vectors) of several iterations, with ``iter``; each iteration starts from written state."""
     state, chosen, log = State(), None, None
     for i, t_c in enumerate(t_cs):
         rows, state = run_iteration(state, t_c, trace, points, spec, params)
-        if keep is not None:
-            state = State(keep(state.vector), state.t_last)
         rows, vector = rows.withColumn("iter", F.lit(i)), state.vector.withColumn("iter", F.lit(i))
         chosen = rows if chosen is None else chosen.unionByName(rows)
         log = vector if log is None else log.unionByName(vector)

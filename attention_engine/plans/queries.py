@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -18,6 +16,7 @@ from ..operators.trace import densify_trace, segment_trace, speed, thin_trace, v
 from ..operators.zones import attention_zones, merge_zones, outlines
 from ..sources import tables as T
 from . import workloads as W
+from .keep import keep
 from .oracles import GREEDY, SHRINK, chain, dist
 from .pipeline import Params, explore, run_iteration
 
@@ -36,17 +35,6 @@ def query(name: str, sql: str | None = None):
     return add
 
 
-def keep(df: DataFrame) -> DataFrame:
-    """A result that several steps read, written once to the folder all executors share."""
-    spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        return df.cache()
-    path = f"{base.rstrip('/')}/kept-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def r(name: str, digits: int = 6, alias: str | None = None):
     return F.round(name, digits).alias(alias or name)
 
@@ -539,7 +527,7 @@ def _(s, d):
 def _prefix(s, d, depth: int = 4096) -> DataFrame:
     points, found = T.points_part(s, d), keep(seen(s, d))
     v = keep(feedback.update_feedback(None, found, feedback.facetize(points, T.PART_SPEC)))
-    return highlights.list_prefix(points, T.PART_SPEC, highlights.anchors(points, v, T.PART_SPEC, found), depth, found)
+    return highlights.list_prefix(points, T.PART_SPEC, keep(highlights.anchors(points, v, T.PART_SPEC, found)), depth, found)
 
 
 @query("anchor_point", "SELECT session_id, anchor, round(sim_f, 9) AS sim_f FROM anch")
@@ -693,7 +681,7 @@ query("iteration_both")(_feedback_kind("both"))
 
 @query("explore_iterations")
 def _(s, d):
-    rows, _ = explore(T.trace_view(s, d).where("session_id < 4"), T.points_part(s, d), [T.T_C // 3, 2 * T.T_C // 3, T.T_C], T.PART_SPEC, PARAMS, keep)
+    rows, _ = explore(T.trace_view(s, d).where("session_id < 4"), T.points_part(s, d), [T.T_C // 3, 2 * T.T_C // 3, T.T_C], T.PART_SPEC, PARAMS)
     return rows
 
 
