@@ -131,7 +131,7 @@ def best_fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", so
     shards = max(1, -(-int(total) // shard_pieces))
     places = F.when(F.col("words") > 0, F.sequence(F.lit(0).cast("long"), F.floor((F.col("words") - 1) / capacity)))
     pieces = rows.select("id", "source", "cluster", "words", F.explode_outer(places).alias("k")).select(
-        "id", "source", "cluster", (F.col("k") * capacity).alias("first_word"), F.coalesce(F.least(F.lit(capacity), F.col("words") - F.col("k") * capacity), F.lit(0)).alias("n_words"),
+        "id", "source", "cluster", F.coalesce(F.col("k") * capacity, F.lit(0)).alias("first_word"), F.when(F.col("k").isNull(), 0).otherwise(F.least(F.lit(capacity), F.col("words") - F.col("k") * capacity)).alias("n_words"),
         F.pmod(F.xxhash64("id", "cluster", "k"), F.lit(shards)).alias("shard"),
     )
 
