@@ -70,11 +70,9 @@ def drift_guard(root: np.ndarray, ids: np.ndarray, value: np.ndarray, most: floa
 
 
 def density_clusters(trace: DataFrame, eps: float = 20, min_pts: int = 5, eps_t: float | None = None, strategy: str = "local", metric: str = "l2", delta_mean: float | None = None, value_col: str = "t_ms") -> DataFrame:
-    """Adds cluster_id (null: noise) and role. local: one group per slice; grid: joins of tiles, for slices of any size; sql: the same closure as a recursive query, for small data."""
+    """Adds cluster_id (null: noise) and role. local: one group per slice; grid: joins of tiles, for slices of any size."""
     if strategy == "grid":
         return grid_clusters(trace, eps, min_pts, eps_t)
-    if strategy == "sql":
-        return sql_clusters(trace, eps, min_pts, eps_t)
     if strategy != "local":
         raise ValueError(f"unknown strategy {strategy!r}")
 
@@ -141,31 +139,6 @@ def grid_clusters(trace: DataFrame, eps: float, min_pts: int, eps_t: float | Non
     return trace.join(found, [*key, "sample_id"], "left").withColumn("role", F.coalesce("role", F.lit("noise"))).select(*trace.columns, "cluster_id", "role")
 
 
-def sql_clusters(trace: DataFrame, eps: float, min_pts: int, eps_t: float | None = None, depth: int = 60) -> DataFrame:
-    """The closure as a recursive query: labels walk along links as long as they fall. For small data; ``depth`` bounds the longest way inside a cluster."""
-    key, tag = ["session_id", "seg"], uuid.uuid4().hex
-    pairs = neighbour_pairs(trace, eps, eps_t)
-    cores = pairs.groupBy(*key, "i").agg(F.count("*").alias("n")).where(F.col("n") >= min_pts).select(*key, "i")
-    links = pairs.join(cores, [*key, "i"], "left_semi").join(cores.withColumnRenamed("i", "j"), [*key, "j"], "left_semi").select(*key, "i", "j")
-    _kept(links, "links").createOrReplaceTempView(f"links_{tag}")
-    named = trace.sparkSession.sql(f"""
-        WITH RECURSIVE walk(session_id, seg, i, label, step) MAX RECURSION LEVEL {depth + 1} AS (
-            SELECT session_id, seg, i, min(j), 0 FROM links_{tag} GROUP BY session_id, seg, i
-            UNION ALL
-            SELECT session_id, seg, i, label, step FROM (
-                SELECT l.session_id, l.seg, l.i, min(w.label) AS label, max(w.step) + 1 AS step
-                FROM walk w JOIN links_{tag} l ON w.session_id = l.session_id AND w.seg = l.seg AND w.i = l.j
-                WHERE w.step < {depth} GROUP BY l.session_id, l.seg, l.i)
-        )
-        SELECT session_id, seg, i, min(label) AS cluster_id FROM walk GROUP BY session_id, seg, i
-    """)
-    named = _kept(named, "named")
-    edge = pairs.join(named.select(*key, F.col("i").alias("j"), "cluster_id"), [*key, "j"]).join(named.select(*key, "i"), [*key, "i"], "left_anti")
-    border = edge.groupBy(*key, "i").agg(F.min_by("cluster_id", F.struct("d2", "j")).alias("cluster_id"))
-    found = named.select(*key, "i", "cluster_id", F.lit("core").alias("role")).unionByName(border.select(*key, "i", "cluster_id", F.lit("border").alias("role"))).withColumnRenamed("i", "sample_id")
-    return trace.join(found, [*key, "sample_id"], "left").withColumn("role", F.coalesce("role", F.lit("noise"))).select(*trace.columns, "cluster_id", "role")
-
-
 def cluster_stats(clusters: DataFrame) -> DataFrame:
     """Size, centre, extent and time span of each cluster."""
     return clusters.where("cluster_id is not null").groupBy("session_id", "seg", "cluster_id").agg(

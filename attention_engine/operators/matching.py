@@ -27,7 +27,7 @@ def _small(zones: DataFrame) -> DataFrame:
 
 
 def match_points(points: DataFrame, zones: DataFrame, strategy: str = "quadtree", closed: bool = False, capacity: int = 64, max_depth: int = 10, bounds: Bounds = SCREEN, index: tuple[DataFrame, DataFrame] | None = None, view: ViewPort | None = None, accept_full_cells: bool = False) -> DataFrame:
-    """(session_id, zone_id, point_id). ``points`` carry screen x, y (pushdown: lat, lon)."""
+    """(session_id, zone_id, point_id). ``points`` carry screen x, y (pushdown: lat, lon, and x, y or else those projected)."""
     x, y = F.col("x"), F.col("y")
     shape = zones.select("session_id", "zone_id", F.col("edges").alias("z_edges"), F.col("bbox").alias("z_box"))
     out = ["session_id", "zone_id", "point_id"]
@@ -48,7 +48,8 @@ def match_points(points: DataFrame, zones: DataFrame, strategy: str = "quadtree"
             return points.select("point_id").limit(0).select(F.lit(0).cast("long").alias("session_id"), F.lit("").alias("zone_id"), "point_id")
         slack = 1e-9
         near = points.where(F.col("lon").between(view.lon(boxes.x0) - slack, view.lon(boxes.x1) + slack) & F.col("lat").between(view.lat(boxes.y0) - slack, view.lat(boxes.y1) + slack))
-        return to_screen(near.select("point_id", "lat", "lon"), view).join(_small(shape), in_bbox(x, y, F.col("z_box")) & contains(x, y, F.col("z_edges"), closed)).select(out)
+        placed = near.select("point_id", "x", "y") if {"x", "y"} <= set(points.columns) else to_screen(near.select("point_id", "lat", "lon"), view)
+        return placed.join(_small(shape), in_bbox(x, y, F.col("z_box")) & contains(x, y, F.col("z_edges"), closed)).select(out)
     raise ValueError(f"unknown strategy {strategy!r}; one of {STRATEGIES}")
 
 
