@@ -7,6 +7,8 @@ included. The join:
     then the others (at most 1/RARE, so they may travel) by count;
   - a line of n words posts itself under the first n - ceil(t n) + 1 of them, leaving out
     words that occur once in the corpus (a bit table of fixed size knows most of those);
+  - postings travel packed, by ranges of the word's hash (buckets, of bounded size but for
+    one very common word, whose distinct lines meet in one place);
   - where postings meet, lengths, positions, and bit maps that bound the symmetric
     difference from below discard pairs; groups are walked in order of length, pairs are
     not emitted before they pass;
@@ -31,6 +33,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -45,6 +48,8 @@ LEAST = 4
 MOST, QUERIES = 3, 20_000
 #: Bytes of text whose words are held at once.
 PART = 6 << 20
+#: Postings packed at once, postings of one packed row, and postings a bucket is planned for.
+CHUNK, PACKED, BUCKET = 400_000, 2048, 4_000_000
 
 
 def word_hashes(words: list[bytes]) -> np.ndarray:
@@ -148,12 +153,46 @@ def prefix_size(n: np.ndarray) -> np.ndarray:
     return n - -(-NUM * n // DEN) + 1
 
 
-def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.ndarray) -> DataFrame:
-    """A row per prefix word of every distinct line of a block."""
+def packed(columns: list[np.ndarray], buckets: int) -> Iterator[pa.RecordBatch]:
+    """Postings as rows of up to PACKED of one bucket: hashes and signatures as they are, the rest by byte planes, compressed."""
+    order = np.argsort(columns[0])
+    hashed = np.stack([columns[k][order] for k in (0, 2, 3)])
+    n = len(order)
+    planes = np.ascontiguousarray(np.stack([columns[k][order] for k in (1, 4, 5, 6, 7)]).view(np.uint8).reshape(5, n, 8).transpose(0, 2, 1))
+    bucket = ((hashed[0].view(np.uint64) >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)
+    order = np.argsort(bucket, kind="stable")  # hashes were in order as signed numbers
+    if n and (np.diff(order) != 1).any():
+        hashed, planes, bucket = hashed[:, order], planes[:, :, order], bucket[order]
+    first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if n else np.zeros(0, np.int64)
+    press = zstandard.ZstdCompressor(level=1).compress
+    rows: list[tuple] = []
+    for a, b in zip(first.tolist(), [*first[1:].tolist(), n], strict=True):
+        for lo in range(a, b, PACKED):
+            hi = min(lo + PACKED, b)
+            rows.append((int(bucket[lo]), hashed[:, lo:hi].tobytes(), press(planes[:, :, lo:hi].tobytes())))
+            if len(rows) == 256:
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*rows, strict=True)], names=["bucket", "hashed", "rest"])
+                rows = []
+    if rows:
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*rows, strict=True)], names=["bucket", "hashed", "rest"])
+
+
+def unpacked(hashed: bytes, rest: bytes, expand: zstandard.ZstdDecompressor) -> list[np.ndarray]:
+    """Columns h, np, a, b, doc, line, x0, x1 of a packed row."""
+    h, a, b = np.frombuffer(hashed, np.int64).reshape(3, -1)
+    n = len(h)
+    planes = np.frombuffer(expand.decompress(rest), np.uint8).reshape(5, 8, n)
+    np_, doc, line, x0, x1 = np.ascontiguousarray(planes.transpose(0, 2, 1)).view(np.int64).reshape(5, n)
+    return [h, np_, a, b, doc, line, x0, x1]
+
+
+def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.ndarray, buckets: int) -> DataFrame:
+    """A posting per prefix word of every distinct line of a block, packed by ranges of the word's hash."""
     told = rows.sparkSession.sparkContext.broadcast((common, twice))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         (known, count), table_of = told.value
+        ready, size = [], 0
         for table in blocks(batches, limit=PART):
             lines = Lines(table["doc"].to_numpy(), byte_list(one(table["text"])))
             if not len(lines.n):
@@ -173,18 +212,29 @@ def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.n
             keep[keep] = held(table_of, slots(h[word[keep]]))
             of, word, pos = of[keep], word[keep], pos[keep]
             x0, x1 = lines.bitmaps()
-            columns = [h[word].view(np.int64), lines.n[of] << 32 | pos, lines.a[of], lines.b[of], lines.doc[of], lines.line[of], x0[of], x1[of]]
-            for a in range(0, len(of), 50_000):
-                yield pa.RecordBatch.from_arrays([pa.array(c[a : a + 50_000]) for c in columns], names=["h", "np", "a", "b", "doc", "line", "x0", "x1"])
+            ready.append([h[word].view(np.int64), lines.n[of] << 32 | pos, lines.a[of], lines.b[of], lines.doc[of], lines.line[of], x0[of], x1[of]])
+            size += len(of)
+            if size >= CHUNK:
+                yield from packed([np.concatenate(x) for x in zip(*ready, strict=True)], buckets)
+                ready, size = [], 0
+        if size:
+            yield from packed([np.concatenate(x) for x in zip(*ready, strict=True)], buckets)
 
-    return rows.mapInArrow(run, "h long, np long, a long, b long, doc long, line long, x0 long, x1 long")
+    return rows.mapInArrow(run, "bucket long, hashed binary, rest binary")
+
+
+def distinct(c: list[np.ndarray]) -> list[np.ndarray]:
+    """Postings by word, length, position, signature; of equal ones that with the first place."""
+    h, np_, a, b, doc, line = c[:6]
+    order = np.lexsort((line, doc, b, a, np_, h))
+    h, a, b = h[order], a[order], b[order]
+    order = order[np.r_[True, (h[1:] != h[:-1]) | (a[1:] != a[:-1]) | (b[1:] != b[:-1])]] if len(h) else order
+    return [x[order] for x in c]
 
 
 def meet(c: list[np.ndarray]) -> list[np.ndarray]:
-    """Candidates (a1, b1, doc1, line1 of the later line; a2, b2, doc2, line2; partners the later line had) among postings ordered by word, length, signature, place."""
-    h, np_, a, b = c[:4]
-    new = np.r_[True, (h[1:] != h[:-1]) | (a[1:] != a[:-1]) | (b[1:] != b[:-1])] if len(h) else np.zeros(0, bool)
-    h, np_, a, b, doc, line, x0, x1 = (x[new] for x in c)
+    """Candidates (a1, b1, doc1, line1 of the later line; a2, b2, doc2, line2; partners the later line had) among postings as ``distinct`` gives them."""
+    h, np_, a, b, doc, line, x0, x1 = c
     n, pos = np_ >> 32, np_ & 0xFFFFFFFF
     x0, x1 = x0.view(np.uint64), x1.view(np.uint64)  # of negative numbers numpy counts the bits of the amount
     at, later, earlier = np.arange(len(h)), [], []
@@ -222,22 +272,28 @@ PAIR = ["a1", "b1", "doc1", "line1", "a2", "b2", "doc2", "line2", "partners"]
 
 def candidates(posted: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest: list[list[np.ndarray]] = []
+        expand = zstandard.ZstdDecompressor()
+        now, parts, size, limit = None, [], 0, CHUNK
+
+        def whole() -> list[np.ndarray]:
+            return distinct([np.concatenate(x) for x in zip(*parts, strict=True)])
+
         for batch in batches:
-            c = [x.to_numpy() for x in batch.columns]
-            if not len(c[0]):
-                continue
-            if rest and c[0][-1] == rest[0][0][0]:
-                rest.append(c)
-                continue
-            cut = int(np.searchsorted(c[0], c[0][-1]))
-            whole = [np.concatenate(x) for x in zip(*rest, [x[:cut] for x in c], strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in meet(whole)], names=PAIR)
-            rest = [[x[cut:] for x in c]]
-        if rest:
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in meet([np.concatenate(x) for x in zip(*rest, strict=True)])], names=PAIR)
-
-    dealt = posted.repartition("h").sortWithinPartitions("h", "np", "a", "b", "doc", "line")
+            for bucket, hashed, rest in zip(*(x.to_pylist() for x in batch.columns), strict=True):
+                if parts and bucket != now:
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in meet(whole())], names=PAIR)
+                    parts, size, limit = [], 0, CHUNK
+                now = bucket
+                parts.append(unpacked(hashed, rest, expand))
+                size += len(parts[-1][0])
+                if size >= limit:  # copies of one line take room once
+                    parts = [whole()]
+                    size = len(parts[0][0])
+                    limit = max(CHUNK, 2 * size)
+        if parts:
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in meet(whole())], names=PAIR)
+
+    dealt = posted.repartition("bucket").sortWithinPartitions("bucket")
     found = dealt.mapInArrow(run, ", ".join(f"{x} long" for x in PAIR))
     first, second = F.min(F.struct("doc1", "line1")), F.min(F.struct("doc2", "line2"))
     return found.groupBy("a1", "b1", "a2", "b2").agg(first.alias("p1"), second.alias("p2"), F.max("partners").alias("partners"))
@@ -289,7 +345,8 @@ def partners_of(rows: DataFrame) -> DataFrame:
     order = np.argsort(h)
     common = (h[order], often["n"].to_numpy()[order])
     twice = bit_table(counts.where("n > 1").select(F.shiftrightunsigned("h", 64 - BITS).alias("slot")))
-    pairs = materialise(candidates(postings(rows, common, twice)), "pairs")
+    buckets = max(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), -(-int(total) // BUCKET))
+    pairs = materialise(candidates(postings(rows, common, twice, buckets)), "pairs")
     places = pairs.select("p1.*").toDF("doc", "line").union(pairs.select("p2.*").toDF("doc", "line"))
     sets = materialise(word_sets(rows, wanted(places)), "sets")
     one_, two = (sets.select(*[F.col(c).alias(f"{c}_{k}") for c in sets.columns]) for k in (1, 2))
