@@ -155,15 +155,17 @@ def prefix_size(n: np.ndarray) -> np.ndarray:
 
 def packed(columns: list[np.ndarray], buckets: int) -> Iterator[pa.RecordBatch]:
     """Postings as rows of up to PACKED of one bucket: hashes and signatures as they are, the rest by byte planes, compressed."""
+    n = len(columns[0])
+    if not n:
+        return
     order = np.argsort(columns[0])
     hashed = np.stack([columns[k][order] for k in (0, 2, 3)])
-    n = len(order)
     planes = np.ascontiguousarray(np.stack([columns[k][order] for k in (1, 4, 5, 6, 7)]).view(np.uint8).reshape(5, n, 8).transpose(0, 2, 1))
     bucket = ((hashed[0].view(np.uint64) >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)
     order = np.argsort(bucket, kind="stable")  # hashes were in order as signed numbers
-    if n and (np.diff(order) != 1).any():
+    if (np.diff(order) != 1).any():
         hashed, planes, bucket = hashed[:, order], planes[:, :, order], bucket[order]
-    first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if n else np.zeros(0, np.int64)
+    first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]])
     press = zstandard.ZstdCompressor(level=1).compress
     rows: list[tuple] = []
     for a, b in zip(first.tolist(), [*first[1:].tolist(), n], strict=True):

@@ -6,6 +6,7 @@ import zlib
 import numpy as np
 import pytest
 import xxhash
+import zstandard
 from pyspark.sql import functions as F
 
 from attention_engine.llm import ctw, decontaminate, langid, linededup, packing, quality, secrets, simhash, urlrules, warc
@@ -91,6 +92,22 @@ def test_line_dedup(docs, empty):
     assert linededup.line_report(empty).count() == 0 and linededup.deduplicated(empty).count() == 0
 
 
+def test_packed_postings_come_back_by_bucket():
+    rng = np.random.default_rng(3)
+    n, buckets = 3 * linededup.PACKED, 5
+    c = [rng.integers(-(1 << 63), 1 << 63, n, np.int64) for _ in range(8)]
+    c[0][: linededup.PACKED + 1] = -7
+    expand, got, at = zstandard.ZstdDecompressor(), [], {}
+    for batch in linededup.packed(c, buckets):
+        for bucket, hashed, rest in zip(*(x.to_pylist() for x in batch.columns), strict=True):
+            assert 0 <= bucket < buckets
+            part = linededup.unpacked(hashed, rest, expand)
+            assert len(part[0]) <= linededup.PACKED and all(at.setdefault(h, bucket) == bucket for h in part[0].tolist())
+            got += zip(*(x.tolist() for x in part), strict=True)
+    assert sorted(got) == sorted(zip(*(x.tolist() for x in c), strict=True))
+    assert list(linededup.packed([x[:0] for x in c], buckets)) == []
+
+
 def test_meeting_keeps_a_few_partners_and_counts_all():
     m = 40
     rows = [np.full(m, 5), np.full(m, 30 << 32), np.arange(m), np.arange(m), np.arange(m), np.zeros(m, int), np.zeros(m, int), np.zeros(m, int)]
