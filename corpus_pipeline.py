@@ -15,9 +15,9 @@ from pyspark.sql import functions as F
 from attention_engine.llm.common import materialise
 from attention_engine.llm.decontaminate import contamination
 from attention_engine.llm.linededup import deduplicated
+from attention_engine.llm.nearcopies import near_copies
 from attention_engine.llm.packing import best_fit
 from attention_engine.llm.quality import quality
-from attention_engine.llm.simhash import near_duplicates
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
@@ -36,8 +36,8 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document that names its component, by shingles of five words; rows without an id stay, and all rows of the id that stays."""
-    gone = near_duplicates(docs, shingle=5).where(F.col("component_id") < F.col("doc_id")).select(F.col("doc_id").alias("gone")).distinct()
+    """The document that names its component of near copies (Jaccard 0.8 on shingles of five words); rows without an id stay, and all rows of the id that stays."""
+    gone = near_copies(docs).where(F.col("component_id") < F.col("doc_id")).select(F.col("doc_id").alias("gone")).distinct()
     return docs.join(gone, docs.doc_id == gone.gone, "left_anti")
 
 
@@ -55,7 +55,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES: list[tuple[str, Stage]] = [
     ("quality rules", keep_good),
     ("line dedup", drop_repeated_lines),
-    ("SimHash near-dedup", keep_one_of_near_copies),
+    ("near-dedup", keep_one_of_near_copies),
     ("benchmark decontamination", drop_contaminated),
     ("best-fit packing", pack),
 ]

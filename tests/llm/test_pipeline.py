@@ -4,7 +4,8 @@ import sys
 from pathlib import Path
 
 import corpus_pipeline
-from attention_engine.llm import quality
+import numpy as np
+from attention_engine.llm import nearcopies, quality
 
 sys.path.insert(0, str(Path(__file__).parent))
 from test_operators import WORD, fold, prose  # noqa: E402
@@ -38,3 +39,38 @@ def test_stages(spark, tmp_path):
     for _, stage in corpus_pipeline.STAGES[:-1]:
         out = stage(spark, out, str(tmp_path))
         assert out.columns == docs.columns
+
+
+def test_near_copies_of_080_to_095_go(spark):
+    rng = np.random.default_rng(5)
+    texts = [" ".join(f"w{x}" for x in rng.integers(0, 5000, n)) for n in (3, 40, 90, 200, 400, 900)] + ["", "  ", "w1 w2"]
+    for base in texts[1:6]:
+        for share in (0.004, 0.01, 0.02, 0.03, 0.04):
+            words = base.split()
+            for k in rng.choice(len(words), max(1, int(share * len(words))), replace=False):
+                words[k] = f"new{rng.integers(0, 10**6)}"
+            texts.append(" ".join(words).upper())
+    sets = [frozenset(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))) if (w := t.lower().split()) else frozenset() for t in texts]
+    like = lambda a, b: not (a or b) or 5 * len(a & b) >= 4 * len(a | b)
+    root = list(range(len(texts)))
+    for _ in texts:
+        root = [min(root[j] for j in range(len(texts)) if like(sets[i], sets[j])) for i in range(len(texts))]
+    assert sum(0.8 <= len(a & b) / len(a | b) < 0.95 for i, a in enumerate(sets) for b in sets[:i] if a and b) >= 12
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    left = corpus_pipeline.keep_one_of_near_copies(spark, docs.repartition(3), "")
+    assert {r.doc_id for r in left.collect()} == set(root)
+    assert nearcopies.near_copies(docs.limit(0)).count() == 0
+
+
+def test_groups_are_compared_set_by_set():
+    rng = np.random.default_rng(6)
+    sets = []
+    for _ in range(30):
+        base = rng.integers(0, 400, 60)
+        sets += [np.unique(np.where(rng.random(60) < p, rng.integers(0, 400, 60), base)) for p in (0, 0.03, 0.06, 0.1, 0.2)]
+    root = nearcopies.compare(np.array([len(x) for x in sets]), sets)
+    near = np.array([[5 * len(a & b) >= 4 * len(a | b) for b in map(set, sets)] for a in map(set, sets)])
+    want = list(range(len(sets)))
+    for _ in range(10):
+        want = [min(want[j] for j in np.flatnonzero(row)) for row in near]
+    assert root.tolist() == want and 30 < len(set(want)) < len(sets)
