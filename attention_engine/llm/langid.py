@@ -45,7 +45,7 @@ def page_rows(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
     """(id, text, markup, declared, suffix, host, domain)."""
     host = F.nullif(host_of(F.col(url_col).cast("string")), F.lit(""))
     html = F.col(html_col).cast("string")
-    declared = F.nullif(F.lower(F.regexp_extract(F.substring(F.coalesce(html, F.lit("")), 1, 4096), DECLARED, 1)), F.lit(""))
+    declared = F.nullif(F.lower(F.regexp_extract(F.coalesce(html, F.lit("")), DECLARED, 1)), F.lit(""))
     return pages.select(F.col(id_col).cast("long").alias("id"), html.alias("text"), F.lit(True).alias("markup"), declared.alias("declared"), F.substring_index(host, ".", -1).alias("suffix"), host.alias("host"), F.substring_index(host, ".", -2).alias("domain"))
 
 

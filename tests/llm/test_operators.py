@@ -243,3 +243,9 @@ def test_language_evidence(spark, empty):
     got = {r.id: r.lang for r in langid.identify(langid.page_rows(pages), docs.select("text", "lang")).collect()}
     assert got[1] == "de" and got[2] == "en" and got[3] == "de" and len(got) == 4
     assert langid.visible(b"<script>x<y</script>a<b>c</b><!-- d -->") == b" a c  "
+
+
+def test_declared_language_after_a_long_preamble(spark):
+    late = "<!-- " + "licence " * 1000 + "--><html class=x lang='de'><p>x"
+    pages = spark.createDataFrame([(1, "http://y.com/", late)], "page_id long, url string, html string")
+    assert [r.declared for r in langid.page_rows(pages).collect()] == ["de"]
