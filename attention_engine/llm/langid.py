@@ -7,8 +7,8 @@ The posterior of a language is proportional to the product of
     label of the address, given the language, smoothed, and
   - the prior of the host, smoothed towards its domain and that towards all rows.
 Models come from all labelled texts; the tables of declared languages, suffixes, hosts and
-domains are grouped counts of the languages that text alone would choose. Languages with
-at least 1/64 of the labelled n-grams are told apart, so there are at most 64.
+domains are grouped counts of the languages that text alone would choose. Every
+labelled language is a class of its own, however small its share.
 
 Defined cases: null or empty text gives no text evidence, and a missing declaration,
 address or host none either, so at worst the answer is the overall prior; repeated rows are
@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import blocks, bound_batches, byte_list, intern, materialise, one
-from .quality import framed, train
+from .quality import framed, junctions, language_counts, train
 from .urlrules import host_of
 
 TEMPER = 0.1
@@ -69,8 +69,11 @@ def text_evidence(rows: DataFrame, models: dict, languages: list[str]) -> DataFr
             logs = np.zeros((len(n), len(languages)))
             if len(vocabulary) and languages:
                 codes, _, starts = framed(list(vocabulary))
+                lead = junctions(list(vocabulary), ids, doc)
                 for k, model in enumerate(told.value):
-                    logs[:, k] = np.bincount(doc, np.add.reduceat(model.score(codes), starts)[ids], len(n))
+                    inside = model.score(codes)
+                    inside[starts] = 0.0
+                    logs[:, k] = np.bincount(doc, np.add.reduceat(inside, starts)[ids] + model.score(lead), len(n))
             best = [languages[k] if some else None for k, some in zip(logs.argmax(axis=1), n > 0, strict=True)] if languages else [None] * len(n)
             arrays = [one(table[c]) for c in ("id", "markup", "declared", "suffix", "host", "domain")]
             yield pa.RecordBatch.from_arrays([*arrays, pa.array(logs.tolist(), pa.list_(pa.float64())), pa.array(best, pa.string())], names=["id", "markup", "declared", "suffix", "host", "domain", "logs", "text_lang"])
@@ -91,8 +94,8 @@ def _total(counts: Column) -> Column:
 def identify(rows: DataFrame, labelled: DataFrame) -> DataFrame:
     """(id, markup, lang, confidence, text_lang, declared) for page_rows or text_rows; labelled: (text, lang)."""
     bound_batches(rows.sparkSession)
-    models = train(labelled)
-    languages = sorted(x for x in models if x is not None)
+    counts, languages = language_counts(labelled.where(F.col("lang").isNotNull()))
+    models = train(counts, languages)
     rows = materialise(text_evidence(rows, models, languages), "evidence")
     if not languages:
         return rows.select("id", "markup", F.lit(None).cast("string").alias("lang"), F.lit(None).cast("double").alias("confidence"), "text_lang", "declared")

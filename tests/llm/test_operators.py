@@ -249,3 +249,19 @@ def test_declared_language_after_a_long_preamble(spark):
     late = "<!-- " + "licence " * 1000 + "--><html class=x lang='de'><p>x"
     pages = spark.createDataFrame([(1, "http://y.com/", late)], "page_id long, url string, html string")
     assert [r.declared for r in langid.page_rows(pages).collect()] == ["de"]
+
+
+def test_small_language_has_its_own_model_and_class(spark, monkeypatch):
+    rows = [(i, "the cat and the dog sat on the mat with the hat " * 5, "en") for i in range(100)] + [(900, "kissa ja koira istuvat matolla hatun kanssa", "fi")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    pages = spark.createDataFrame([(1, None, "<html lang=fi><p>koira ja kissa istuvat</p>"), (2, None, "<html lang=en><p>the dog and the cat</p>")], "page_id long, url string, html string")
+    assert {r.id: r.lang for r in langid.identify(langid.page_rows(pages), docs.select("text", "lang")).collect()} == {1: "fi", 2: "en"}
+    more = docs.union(spark.createDataFrame([(901, "sine nomine", None), (902, "", "none")], docs.schema))
+    counts, languages = quality.language_counts(more.select("text", "lang"))
+    assert languages == ["en", "fi", None]
+    want = sorted((r.doc_id, r.log_ppl) for r in quality.quality(more).collect() if r.log_ppl is not None)
+    monkeypatch.setattr(quality, "MODELS", 1)
+    got = quality.quality(more).collect()
+    assert len(got) == more.count() and sorted((r.doc_id, r.log_ppl) for r in got if r.log_ppl is not None) == want
+    alone = {r.doc_id: r.log_ppl for r in quality.quality(docs.where("lang = 'fi'")).collect()}
+    assert abs(alone[900] - dict(want)[900]) < 1e-9
