@@ -265,3 +265,15 @@ def test_small_language_has_its_own_model_and_class(spark, monkeypatch):
     assert len(got) == more.count() and sorted((r.doc_id, r.log_ppl) for r in got if r.log_ppl is not None) == want
     alone = {r.doc_id: r.log_ppl for r in quality.quality(docs.where("lang = 'fi'")).collect()}
     assert abs(alone[900] - dict(want)[900]) < 1e-9
+
+
+def test_bands_reject_labelled_junk(spark):
+    rows = quality.quality(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).where("not base_failed").join(spark.read.parquet("/root/testdata/sf0.01/labels.parquet"), "doc_id")
+    share = {r.quality: r.kept for r in rows.groupBy("quality").agg(F.avg(F.col("kept").cast("int")).alias("kept")).collect()}
+    assert share[0] < 0.3 and share[1] > 0.95
+
+
+def test_ngrams_reach_over_words():
+    words = [b"ab", b"cd"]
+    lead = quality.junctions(words, np.array([0, 1, 1, 0]), np.array([0, 0, 1, 1]))
+    assert [int(x).to_bytes(3, "big") for x in lead] == [b"  a", b"b c", b"  c", b"d a"]
