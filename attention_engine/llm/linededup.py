@@ -3,10 +3,11 @@
 A line is the set of its lower-cased words. A line is removed if an earlier line, by
 (id, line number), has a Jaccard similarity of at least ``NUM / DEN`` with it, equal sets
 included. The join:
-  - words are ordered by rarity: those below a share of ``RARE`` of all words first, by hash,
-    then the others (at most 1/RARE, so they may travel) by count;
+  - words are 48-bit hashes, made for a whole block of text at once, and ordered by rarity:
+    those below a share of ``RARE`` of all words first, by hash, then the others (at most
+    1/RARE, so they may travel) by count;
   - a line of n words posts itself under the first n - ceil(t n) + 1 of them, leaving out
-    words that occur once in the corpus (a bit table of fixed size knows most of those);
+    words of one line only (a bit table of fixed size knows most of those);
   - postings travel packed, by ranges of the word's hash (buckets, of bounded size but for
     one very common word, whose distinct lines meet in one place);
   - where postings meet, lengths, positions, and bit maps that bound the symmetric
@@ -14,8 +15,8 @@ included. The join:
     not emitted before they pass;
   - of the pairs left, a line keeps per word its first ``MOST`` earlier partners and the one
     whose bit map is nearest; these are verified on the words themselves, fetched for those
-    lines only. A line for which none holds, and which had more, is a query: such lines are
-    compared, in blocks of ``QUERIES``, with every line, so nothing is lost.
+    lines only. Lines for which none holds, and which had more, meet once more under their
+    prefix words, this time with the words of every line there, and are verified in place.
 To remove a line one earlier partner is enough, so large groups of near copies cost a few
 pairs a line. Equal sets are one entry of the join, with their first place.
 
@@ -27,17 +28,19 @@ id and text are read, other columns pass through ``deduplicated`` untouched.
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-import xxhash
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
-from .common import blocks, bound_batches, byte_list, intern, materialise, mix64, one
+from .common import blocks, bound_batches, byte_list, fresh_path, materialise, mix64, one
+from .hashing import BITS as PLACE
+from .hashing import LOW, words_by_part
 
 NUM, DEN = 4, 5
 RARE = 1 / 200_000
@@ -45,19 +48,16 @@ BITS = 25
 FIRST = -(1 << 63)
 #: Lines of fewer words can only match equal sets.
 LEAST = 4
-MOST, QUERIES = 3, 20_000
-#: Bytes of text whose words are held at once.
-PART = 6 << 20
+MOST = 3
+#: Bytes of text whose words are held at once, and lines, whose number has to fit beside a hash.
+PART, ROWS = 12 << 20, 1 << 16
 #: Postings packed at once, postings of one packed row, and postings a bucket is planned for.
 CHUNK, PACKED, BUCKET = 400_000, 2048, 4_000_000
 
 
-def word_hashes(words: list[bytes]) -> np.ndarray:
-    return np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
-
-
 def slots(h: np.ndarray) -> np.ndarray:
-    return (h >> np.uint64(64 - BITS)).astype(np.int64)
+    """Places of 48-bit hashes in a bit table."""
+    return (h >> np.uint64(48 - BITS)).astype(np.int64)
 
 
 def bit_table(rows: DataFrame) -> np.ndarray:
@@ -72,99 +72,140 @@ def held(table: np.ndarray, slot: np.ndarray) -> np.ndarray:
     return (table[slot >> 3] >> (slot & 7).astype(np.uint8) & 1).astype(bool)
 
 
-def word_counts(docs: DataFrame) -> DataFrame:
-    """(h, n) over all words of (text)."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in blocks(batches):
-            n = Counter()
-            for t in byte_list(one(table["text"])):
-                n.update(t.lower().split())
-            yield pa.RecordBatch.from_arrays([pa.array(word_hashes(list(n)).view(np.int64)), pa.array(list(n.values()), pa.int64())], names=["h", "n"])
-
-    return docs.select("text").mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
-
-
 class Lines:
-    """The distinct word sets of a block's lines: first places, signatures, words."""
-
-    def __init__(self, docs: np.ndarray, texts: list[bytes], chosen: list | None = None) -> None:
-        self.vocabulary: dict[bytes, int] = {}
-        seen: dict[bytes, int] = {}
-        self.words, places, size = [], [], []
-        for at, (d, t) in enumerate(zip(docs.tolist(), texts, strict=True)):
-            keep = None if chosen is None else chosen[at]
-            for k, x in enumerate(t.lower().split(b"\n")):
-                words = set(x.split())
-                if not words or (keep is not None and k not in keep):
-                    continue
-                sig, place = signature_of(words), (d, k)
-                i = seen.setdefault(sig, len(places))
-                if i == len(places):
-                    self.words.append(list(words))
-                    places.append(place)
-                    size.append(len(words))
-                elif place < places[i]:
-                    places[i] = place
-        self.doc, self.line = (np.array([x[k] for x in places], np.int64) for k in (0, 1))
-        self.a, self.b = np.frombuffer(b"".join(seen), np.int64).reshape(-1, 2).T
-        self.n = np.array(size, np.int64)
+    """Lines with a word: places, signatures, sizes, and the ordered distinct hashes of each."""
+
+    def __init__(self, doc: np.ndarray, line: np.ndarray, text: np.ndarray, words: np.ndarray, count: np.ndarray) -> None:
+        self.doc, self.line, self.text = doc, line, text
+        key = np.sort(np.repeat(np.arange(len(count), dtype=np.uint64) << PLACE, count) | words)
+        new = np.ones(len(key), bool)
+        np.not_equal(key[1:], key[:-1], out=new[1:])
+        key = key[new]
+        self.of, self.hashes = (key >> PLACE).astype(np.int64), key & LOW
+        self.n = np.bincount(self.of, minlength=len(count))
         self.starts = np.cumsum(self.n) - self.n
-
-    def number(self) -> None:
-        """Numbers of the words, line by line, and their hashes."""
-        self.ids = np.concatenate([intern(w, self.vocabulary) for w in self.words]) if self.words else np.zeros(0, np.int64)
-        self.of = np.repeat(np.arange(len(self.n)), self.n)
-        self.hashes = word_hashes(list(self.vocabulary))
+        sums = (np.add.reduceat(mix64(self.hashes + np.uint64(x)), self.starts) for x in (1, 1 << 50))
+        self.a, self.b = (mix64(x + self.n.astype(np.uint64)).view(np.int64) for x in sums)
+
+    def distinct(self) -> "Lines":
+        """One line per word set: that of the first place."""
+        order = np.lexsort((self.line, self.doc, self.b, self.a))
+        a, b = self.a[order], self.b[order]
+        keep = np.zeros(len(a), bool)
+        keep[order[np.r_[True, (a[1:] != a[:-1]) | (b[1:] != b[:-1])]]] = True
+        return self.only(keep)
+
+    def only(self, keep: np.ndarray) -> "Lines":
+        out, words = object.__new__(Lines), keep[self.of]
+        out.doc, out.line, out.text, out.a, out.b, out.n = (x[keep] for x in (self.doc, self.line, self.text, self.a, self.b, self.n))
+        out.hashes, out.of = self.hashes[words], (np.cumsum(keep) - 1)[self.of[words]]
+        out.starts = np.cumsum(out.n) - out.n
+        return out
 
     def bitmaps(self) -> tuple[np.ndarray, np.ndarray]:
         """128 bits per line; a word toggles one of them."""
-        spot = self.hashes[self.ids] & np.uint64(127)
+        spot = self.hashes & np.uint64(127)
         bit = np.uint64(1) << (spot & np.uint64(63))
         low = np.where(spot < 64, bit, np.uint64(0))
         return tuple(np.bitwise_xor.reduceat(x, self.starts).view(np.int64) for x in (low, low ^ bit))
 
+    def packed_words(self) -> pa.Array:
+        ends = np.r_[0, np.cumsum(self.n)].astype(np.int32) * 8
+        return pa.Array.from_buffers(pa.binary(), len(self.n), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(self.hashes))])
+
+
+def lines_of(table: pa.Table) -> Iterator[Lines]:
+    """The lines of a block of (doc, text), at most ROWS at once."""
+    h, count, lines = words_by_part(byte_list(one(table["text"])), True)
+    text = np.repeat(np.arange(len(lines)), lines)
+    number = np.arange(len(text)) - (np.cumsum(lines) - lines)[text]
+    doc, some = table["doc"].to_numpy(), np.flatnonzero(count)
+    ends = np.cumsum(count)
+    for lo in range(0, len(some), ROWS):
+        at = some[lo : lo + ROWS]
+        yield Lines(doc[text[at]], number[at], text[at], h[ends[at[0]] - count[at[0]] : ends[at[-1]]], count[at])
+
 
-def signature_of(words: set) -> bytes:
-    return xxhash.xxh3_128_digest(b" ".join(sorted(words)))
+COUNT, PLACED = 0, 1
+SURVEY = "doc long, version long, line long, a long, b long, kind int"
 
 
-def occurrences(rows: DataFrame) -> DataFrame:
-    """(doc, version, line, a, b) of all lines with a word, from (id, version, text)."""
+def survey(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """From (doc, version, text): (h, n), in how many sets of lines each word is (a set counts once a block); (doc, version, line, a, b) of every line with a word."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in blocks(batches):
-            lines, sigs, count = [], [], []
-            for t in byte_list(one(table["text"])):
-                before = len(lines)
-                for k, x in enumerate(t.lower().split(b"\n")):
-                    words = set(x.split())
-                    if words:
-                        lines.append(k)
-                        sigs.append(signature_of(words))
-                count.append(len(lines) - before)
-            a, b = np.frombuffer(b"".join(sigs), np.int64).reshape(-1, 2).T
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(table["doc"].to_numpy(), count)), pa.array(np.repeat(table["version"].to_numpy(), count)), pa.array(lines, pa.int64()), pa.array(np.ascontiguousarray(a)), pa.array(np.ascontiguousarray(b))], names=["doc", "version", "line", "a", "b"])
-
-    return rows.mapInArrow(run, "doc long, version long, line long, a long, b long")
+        names = ["doc", "version", "line", "a", "b", "kind"]
+        for table in blocks(batches, limit=PART):
+            version = table["version"].to_numpy()
+            for lines in lines_of(table):
+                yield pa.RecordBatch.from_arrays([*map(pa.array, (lines.doc, version[lines.text], lines.line, lines.a, lines.b)), pa.array(np.full(len(lines.n), PLACED, np.int32))], names=names)
+                h = np.sort(lines.distinct().hashes)
+                at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+                none = pa.nulls(len(at), pa.int64())
+                yield pa.RecordBatch.from_arrays([none, none, none, pa.array(h[at].view(np.int64)), pa.array(np.diff(np.r_[at, len(h)])), pa.array(np.full(len(at), COUNT, np.int32))], names=names)
+
+    path = fresh_path(rows.sparkSession, "survey")
+    rows.mapInArrow(run, SURVEY).write.partitionBy("kind").parquet(path)
+    told = rows.sparkSession.read.schema(SURVEY).parquet(path)
+    counts = told.where(F.col("kind") == COUNT).groupBy(F.col("a").alias("h")).agg(F.sum("b").alias("n"))
+    return counts, told.where(F.col("kind") == PLACED).drop("kind")
 
 
 def prefix_size(n: np.ndarray) -> np.ndarray:
     return n - -(-NUM * n // DEN) + 1
 
 
+class Common:
+    """Ranks of the words that aren't rare, by count; a lookup starts where the hash's upper bits say."""
+
+    UPPER = 20
+
+    def __init__(self, h: np.ndarray, n: np.ndarray) -> None:
+        rank = np.empty(len(h), np.int64)
+        rank[np.lexsort((h, n))] = np.arange(len(h))
+        order = np.argsort(h)
+        self.h, self.rank = np.r_[h[order], LOW + np.uint64(1)], np.r_[rank[order], -1]
+        self.first = np.searchsorted(self.h[:-1], np.arange(1 << self.UPPER, dtype=np.uint64) << np.uint64(48 - self.UPPER))
+
+    def ranks(self, h: np.ndarray) -> np.ndarray:
+        """The rank of each hash, -1 for rare ones."""
+        at = self.first[(h >> np.uint64(48 - self.UPPER)).astype(np.int64)]
+        low = np.flatnonzero(self.h[at] < h)
+        while len(low):
+            at[low] += 1
+            low = low[self.h[at[low]] < h[low]]
+        return np.where(self.h[at] == h, self.rank[at], -1)
+
+
+def prefixes(lines: Lines, common: Common) -> tuple[np.ndarray, np.ndarray]:
+    """Which of the lines' words are in the prefix, and the place of each of those in its line, both by word."""
+    rank = common.ranks(lines.hashes)
+    rare = rank < 0
+    before = np.cumsum(rare) - rare
+    pos = before - before[lines.starts][lines.of]
+    rare_words = np.bincount(lines.of, rare, len(lines.n)).astype(np.int64)
+    size = prefix_size(lines.n)
+    rest = np.flatnonzero(~rare & (rare_words < size)[lines.of])
+    if len(rest):
+        of = lines.of[rest]
+        rest = rest[np.argsort(of << 32 | rank[rest])]
+        first = np.flatnonzero(np.r_[True, of[1:] != of[:-1]])
+        pos[rest] = np.arange(len(rest)) - np.repeat(first, np.diff(np.r_[first, len(rest)])) + rare_words[of]
+    keep = (pos < size[lines.of]) & (lines.n >= LEAST)[lines.of]
+    keep &= rare | (rare_words < size)[lines.of]
+    return keep, pos
+
+
 def packed(columns: list[np.ndarray], buckets: int) -> Iterator[pa.RecordBatch]:
-    """Postings as rows of up to PACKED of one bucket: hashes and signatures as they are, the rest by byte planes, compressed."""
+    """Postings as rows of up to PACKED of one bucket: signatures as they are, the rest by byte planes, compressed."""
     n = len(columns[0])
     if not n:
         return
     order = np.argsort(columns[0])
-    hashed = np.stack([columns[k][order] for k in (0, 2, 3)])
-    planes = np.ascontiguousarray(np.stack([columns[k][order] for k in (1, 4, 5, 6, 7)]).view(np.uint8).reshape(5, n, 8).transpose(0, 2, 1))
-    bucket = ((hashed[0].view(np.uint64) >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)
-    order = np.argsort(bucket, kind="stable")  # hashes were in order as signed numbers
-    if (np.diff(order) != 1).any():
-        hashed, planes, bucket = hashed[:, order], planes[:, :, order], bucket[order]
+    h = columns[0][order]
+    hashed = np.stack([columns[k][order] for k in (2, 3)])
+    planes = np.ascontiguousarray(np.stack([columns[k][order] for k in (0, 1, 4, 5, 6, 7)]).view(np.uint8).reshape(6, n, 8).transpose(0, 2, 1))
+    bucket = bucket_of(h, buckets)
     first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]])
     press = zstandard.ZstdCompressor(level=1).compress
     rows: list[tuple] = []
@@ -179,46 +220,38 @@ def packed(columns: list[np.ndarray], buckets: int) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*rows, strict=True)], names=["bucket", "hashed", "rest"])
 
 
+def bucket_of(h: np.ndarray, buckets: int) -> np.ndarray:
+    """Ranges of 48-bit hashes."""
+    return (h.astype(np.uint64) >> np.uint64(16)) * np.uint64(buckets) >> np.uint64(32)
+
+
 def unpacked(hashed: bytes, rest: bytes, expand: zstandard.ZstdDecompressor) -> list[np.ndarray]:
     """Columns h, np, a, b, doc, line, x0, x1 of a packed row."""
-    h, a, b = np.frombuffer(hashed, np.int64).reshape(3, -1)
-    n = len(h)
-    planes = np.frombuffer(expand.decompress(rest), np.uint8).reshape(5, 8, n)
-    np_, doc, line, x0, x1 = np.ascontiguousarray(planes.transpose(0, 2, 1)).view(np.int64).reshape(5, n)
+    a, b = np.frombuffer(hashed, np.int64).reshape(2, -1)
+    n = len(a)
+    planes = np.frombuffer(expand.decompress(rest), np.uint8).reshape(6, 8, n)
+    h, np_, doc, line, x0, x1 = np.ascontiguousarray(planes.transpose(0, 2, 1)).view(np.int64).reshape(6, n)
     return [h, np_, a, b, doc, line, x0, x1]
 
 
-def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.ndarray, buckets: int) -> DataFrame:
+def postings(rows: DataFrame, common: Common, twice: np.ndarray, buckets: int) -> DataFrame:
     """A posting per prefix word of every distinct line of a block, packed by ranges of the word's hash."""
     told = rows.sparkSession.sparkContext.broadcast((common, twice))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        (known, count), table_of = told.value
+        known, table_of = told.value
         ready, size = [], 0
         for table in blocks(batches, limit=PART):
-            lines = Lines(table["doc"].to_numpy(), byte_list(one(table["text"])))
-            if not len(lines.n):
-                continue
-            lines.number()
-            lines.words = []
-            h = lines.hashes
-            at = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
-            often = np.where(known[at] == h, count[at], 0) if len(known) else np.zeros(len(h), np.int64)
-            word_at = np.lexsort((h, often))
-            rank = np.empty(len(h), np.int64)
-            rank[word_at] = np.arange(len(h))
-            code = np.sort(lines.of * len(h) + rank[lines.ids])
-            of, word = code // len(h), word_at[code % len(h)]
-            pos = np.arange(len(of)) - lines.starts[of]
-            keep = (pos < prefix_size(lines.n)[of]) & (lines.n[of] >= LEAST)
-            keep[keep] = held(table_of, slots(h[word[keep]]))
-            of, word, pos = of[keep], word[keep], pos[keep]
-            x0, x1 = lines.bitmaps()
-            ready.append([h[word].view(np.int64), lines.n[of] << 32 | pos, lines.a[of], lines.b[of], lines.doc[of], lines.line[of], x0[of], x1[of]])
-            size += len(of)
-            if size >= CHUNK:
-                yield from packed([np.concatenate(x) for x in zip(*ready, strict=True)], buckets)
-                ready, size = [], 0
+            for lines in lines_of(table):
+                lines = lines.distinct()
+                keep, pos = prefixes(lines, known)
+                keep[keep] = held(table_of, slots(lines.hashes[keep]))
+                of, x0, x1 = lines.of[keep], *lines.bitmaps()
+                ready.append([lines.hashes[keep].view(np.int64), lines.n[of] << 32 | pos[keep], lines.a[of], lines.b[of], lines.doc[of], lines.line[of], x0[of], x1[of]])
+                size += len(of)
+                if size >= CHUNK:
+                    yield from packed([np.concatenate(x) for x in zip(*ready, strict=True)], buckets)
+                    ready, size = [], 0
         if size:
             yield from packed([np.concatenate(x) for x in zip(*ready, strict=True)], buckets)
 
@@ -226,12 +259,27 @@ def postings(rows: DataFrame, common: tuple[np.ndarray, np.ndarray], twice: np.n
 
 
 def distinct(c: list[np.ndarray]) -> list[np.ndarray]:
-    """Postings by word, length, position, signature; of equal ones that with the first place."""
+    """Postings by word, length, signature; of equal ones that with the first place."""
     h, np_, a, b, doc, line = c[:6]
-    order = np.lexsort((line, doc, b, a, np_, h))
-    h, a, b = h[order], a[order], b[order]
-    order = order[np.r_[True, (h[1:] != h[:-1]) | (a[1:] != a[:-1]) | (b[1:] != b[:-1])]] if len(h) else order
-    return [x[order] for x in c]
+    coarse = h.astype(np.uint64) << np.uint64(16) | np.minimum(np_ >> 32, 0xFFFF).astype(np.uint64)
+    order = np.lexsort((a, coarse))
+    coarse, a, b = coarse[order], a[order], b[order]
+    new = np.ones(len(h), bool)
+    new[1:] = (coarse[1:] != coarse[:-1]) | (a[1:] != a[:-1]) | (b[1:] != b[:-1])
+    if not new.all():
+        group = np.cumsum(new)
+        again = np.flatnonzero(~new | np.r_[~new[1:], False])
+        mine = order[again]
+        again = again[np.lexsort((line[mine], doc[mine], group[again]))]
+        first = np.flatnonzero(np.r_[True, group[again][1:] != group[again][:-1]])
+        chosen = order.copy()
+        chosen[np.flatnonzero(new)[group[again[first]] - 1]] = order[again[first]]
+        order = chosen[new]
+    out = [x[order] for x in c]
+    if (out[1] >> 32 >= 0xFFFF).any():  # lengths beyond what the order knows
+        order = np.lexsort((out[1], out[0]))
+        out = [x[order] for x in out]
+    return out
 
 
 def meet(c: list[np.ndarray]) -> list[np.ndarray]:
@@ -302,7 +350,15 @@ def candidates(posted: DataFrame) -> DataFrame:
 
 
 def _place(doc: np.ndarray, line: np.ndarray) -> np.ndarray:
-    return mix64(mix64(doc.astype(np.uint64)) + line.astype(np.uint64))
+    return mix64(mix64(doc.astype(np.uint64)) + line.astype(np.uint64)) >> np.uint64(16)
+
+
+def _text(doc: np.ndarray) -> np.ndarray:
+    return mix64(doc.astype(np.uint64)) >> np.uint64(16)
+
+
+def _sig(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return mix64(a.view(np.uint64) ^ mix64(b.view(np.uint64))) >> np.uint64(16)
 
 
 def wanted(places: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -311,7 +367,7 @@ def wanted(places: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             doc, line = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            for kind, h in enumerate((mix64(doc), _place(doc, line))):
+            for kind, h in enumerate((_text(doc), _place(doc, line))):
                 s = np.unique(slots(h))
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), kind, np.int32)), pa.array(s)], names=["kind", "slot"])
 
@@ -320,87 +376,148 @@ def wanted(places: DataFrame) -> tuple[np.ndarray, np.ndarray]:
 
 
 def word_sets(rows: DataFrame, tables: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(a, b, words) of at least the wanted lines."""
+    """(a, b, words: ordered hashes) of at least the wanted lines."""
     told = rows.sparkSession.sparkContext.broadcast(tables)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        texts_of, lines_of = told.value
+        texts_of, lines_of_ = told.value
         for table in blocks(batches, limit=PART):
-            doc = table["doc"].to_numpy()
-            hit = held(texts_of, slots(mix64(doc)))
-            table, doc = table.filter(pa.array(hit)), doc[hit]
-            texts = byte_list(one(table["text"]))
-            chosen = [set(np.flatnonzero(held(lines_of, slots(_place(np.full(t.count(b"\n") + 1, d), np.arange(t.count(b"\n") + 1))))).tolist()) for d, t in zip(doc.tolist(), texts, strict=True)]
-            lines = Lines(doc, texts, chosen)
-            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(lines.a)), pa.array(np.ascontiguousarray(lines.b)), pa.array(lines.words, pa.list_(pa.binary()))], names=["a", "b", "words"])
+            table = table.filter(pa.array(held(texts_of, slots(_text(table["doc"].to_numpy()))))).combine_chunks()
+            if not table.num_rows:
+                continue
+            for lines in lines_of(table):
+                lines = lines.only(held(lines_of_, slots(_place(lines.doc, lines.line))))
+                if len(lines.n):
+                    lines = lines.distinct()
+                    yield pa.RecordBatch.from_arrays([pa.array(lines.a), pa.array(lines.b), lines.packed_words()], names=["a", "b", "words"])
+
+    return rows.mapInArrow(run, "a long, b long, words binary").dropDuplicates(["a", "b"])
+
+
+def binary_values(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """All 64-bit values of a column of packed lists, and how many each has."""
+    ends = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1]
+    return np.frombuffer(column.buffers()[2] or b"", np.uint8)[ends[0] : ends[-1]].view(np.uint64), np.diff(ends) // 8
+
+
+def shared_words(left: pa.Array, right: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """How many words each pair shares, and the sizes of both sides."""
+    (x, n), (y, m) = binary_values(left), binary_values(right)
+    rows = np.arange(len(n), dtype=np.uint64) << PLACE
+    key = np.sort(np.concatenate([np.repeat(rows, n) | x, np.repeat(rows, m) | y]))
+    return np.bincount((key[1:][key[1:] == key[:-1]] >> PLACE).astype(np.int64), minlength=len(n)), n, m
+
+
+def verified(both: DataFrame) -> DataFrame:
+    """Pairs (a, b, doc1, line1, doc2, line2, partners, w1, w2) with ``holds`` in the place of words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                common, n, m = shared_words(batch.column("w1"), batch.column("w2"))
+                yield pa.RecordBatch.from_arrays([*batch.columns[:7], pa.array((NUM + DEN) * common >= NUM * (n + m))], names=[*batch.schema.names[:7], "holds"])
 
-    return rows.mapInArrow(run, "a long, b long, words array<binary>").dropDuplicates(["a", "b"])
+    return both.mapInArrow(run, "a long, b long, doc1 long, line1 long, doc2 long, line2 long, partners long, holds boolean")
 
 
-def partners_of(rows: DataFrame) -> DataFrame:
+def partners_of(rows: DataFrame, counts: DataFrame) -> DataFrame:
     """(a, b, p): for every distinct word set that has an earlier partner, the place of one."""
     spark = rows.sparkSession
-    counts = materialise(word_counts(rows), "words")
+    counts = materialise(counts, "words")
     total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     often = counts.where(F.col("n") >= F.lit(max(2.0, total * RARE))).toPandas().astype({"h": np.int64, "n": np.int64})
-    h = often["h"].to_numpy().view(np.uint64)
-    order = np.argsort(h)
-    common = (h[order], often["n"].to_numpy()[order])
-    twice = bit_table(counts.where("n > 1").select(F.shiftrightunsigned("h", 64 - BITS).alias("slot")))
+    common = Common(often["h"].to_numpy().view(np.uint64), often["n"].to_numpy())
+    twice = bit_table(counts.where("n > 1").select(F.shiftright("h", 48 - BITS).alias("slot")))
     buckets = max(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), -(-int(total) // BUCKET))
     pairs = materialise(candidates(postings(rows, common, twice, buckets)), "pairs")
     places = pairs.select("p1.*").toDF("doc", "line").union(pairs.select("p2.*").toDF("doc", "line"))
     sets = materialise(word_sets(rows, wanted(places)), "sets")
-    one_, two = (sets.select(*[F.col(c).alias(f"{c}_{k}") for c in sets.columns]) for k in (1, 2))
-    both = pairs.join(one_, (F.col("a1") == F.col("a_1")) & (F.col("b1") == F.col("b_1"))).join(two, (F.col("a2") == F.col("a_2")) & (F.col("b2") == F.col("b_2")))
-    shared = F.size(F.array_intersect("words_1", "words_2"))
-    holds = (NUM + DEN) * shared >= NUM * (F.size("words_1") + F.size("words_2"))
-    told = both.select(F.col("a1").alias("a"), F.col("b1").alias("b"), F.when(holds, F.col("p2")).alias("p"), "p1", "partners")
-    told = materialise(told.groupBy("a", "b").agg(F.min("p").alias("p"), F.min("p1").alias("own"), F.max("partners").alias("partners")), "told")
+    one_, two = (sets.select(F.col("a").alias(f"s{k}"), F.col("b").alias(f"t{k}"), F.col("words").alias(f"w{k}")) for k in (1, 2))
+    both = pairs.join(one_, (F.col("a1") == F.col("s1")) & (F.col("b1") == F.col("t1"))).join(two, (F.col("a2") == F.col("s2")) & (F.col("b2") == F.col("t2")))
+    told = verified(both.select(F.col("a1").alias("a"), F.col("b1").alias("b"), "p1.doc1", "p1.line1", "p2.doc2", "p2.line2", "partners", "w1", "w2"))
+    told = told.groupBy("a", "b").agg(F.min(F.when(F.col("holds"), F.struct("doc2", "line2"))).alias("p"), F.min(F.struct("doc1", "line1")).alias("own"), F.max("partners").alias("partners"))
+    told = materialise(told, "told")
     found = told.where("p is not null").select("a", "b", "p")
-    open_ = told.where((F.col("p").isNull()) & (F.col("partners") > MOST)).select("a", "b", "own")
-    left = open_.count()
-    if left:
-        for block in range(-(-left // QUERIES)):
-            some = open_.where(F.pmod(F.hash("a", "b"), F.lit(-(-left // QUERIES))) == block)
-            asked = some.join(sets, ["a", "b"]).select("a", "b", "own.*", "words").toPandas()
-            found = found.union(answers(rows, asked, common))
-    return found
-
-
-def answers(rows: DataFrame, asked, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(a, b, p) for those of the asked lines that have an earlier partner among all lines."""
-    sets = [frozenset(w) for w in asked["words"]]
-    keys = list(zip(asked["a"].tolist(), asked["b"].tolist(), asked.iloc[:, 2].tolist(), asked.iloc[:, 3].tolist(), strict=True))
-    known, count = common
-    at: dict[bytes, list[int]] = {}
-    for q, words in enumerate(sets):
-        words = list(words)
-        h = word_hashes(words)
-        k = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
-        often = np.where(known[k] == h, count[k], 0) if len(known) else np.zeros(len(h), np.int64)
-        for i in np.lexsort((h, often))[: int(prefix_size(np.array(len(words))))]:
-            at.setdefault(words[i], []).append(q)
-    told = rows.sparkSession.sparkContext.broadcast((sets, keys, at))
+    open_ = told.where((F.col("p").isNull()) & (F.col("partners") > MOST)).select("a", "b")
+    if open_.isEmpty():
+        return found
+    return found.union(answers(rows, open_.join(sets, ["a", "b"]), common))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sets, keys, at = told.value
-        listed = frozenset(at)
-        best: dict[int, tuple] = {}
+
+def answers(rows: DataFrame, asked: DataFrame, common: Common) -> DataFrame:
+    """(a, b, p): the earliest partner among all lines of at least the asked sets (a, b, words) that have one."""
+    spark = rows.sparkSession
+    told = spark.sparkContext.broadcast(common)
+
+    def marks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                words, n = binary_values(batch.column("words"))
+                zero = np.zeros(len(n), np.int64)
+                lines = Lines(zero, zero, zero, words, n)
+                keep, _ = prefixes(lines, told.value)
+                sig = _sig(batch.column("a").to_numpy(), batch.column("b").to_numpy())
+                for kind, h in enumerate((lines.hashes[keep], sig)):
+                    s = np.unique(slots(h))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), kind, np.int32)), pa.array(s)], names=["kind", "slot"])
+
+    bits = materialise(asked.mapInArrow(marks, "kind int, slot long").distinct(), "asked")
+    tables = spark.sparkContext.broadcast((bit_table(bits.where("kind = 0")), bit_table(bits.where("kind = 1"))))
+
+    def post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words_of, _ = tables.value
         for table in blocks(batches, limit=PART):
-            for d, t in zip(table["doc"].to_pylist(), byte_list(one(table["text"])), strict=True):
-                for k, x in enumerate(t.lower().split(b"\n")):
-                    words = set(x.split())
-                    for q in {q for w in listed & words for q in at[w]}:
-                        place = (d, k)
-                        if place < keys[q][2:] and place < best.get(q, keys[q][2:]):
-                            shared = len(sets[q] & words)
-                            if (NUM + DEN) * shared >= NUM * (len(sets[q]) + len(words)):
-                                best[q] = place
-        if best:
-            yield pa.RecordBatch.from_arrays([pa.array([keys[q][i] for q in best], pa.int64()) for i in (0, 1)] + [pa.array([p[i] for p in best.values()], pa.int64()) for i in (0, 1)], names=["a", "b", "doc", "line"])
-
-    got = rows.mapInArrow(run, "a long, b long, doc long, line long")
+            for lines in lines_of(table):
+                lines = lines.distinct()
+                keep, _ = prefixes(lines, told.value)
+                keep[keep] = held(words_of, slots(lines.hashes[keep]))
+                of = lines.of[keep]
+                packed_words = lines.packed_words()
+                for at in range(0, len(of), 20_000):
+                    part = of[at : at + 20_000]
+                    yield pa.RecordBatch.from_arrays([pa.array(lines.hashes[keep][at : at + 20_000].view(np.int64)), *(pa.array(x[part]) for x in (lines.a, lines.b, lines.doc, lines.line)), packed_words.take(pa.array(part))], names=["h", "a", "b", "doc", "line", "words"])
+
+    def solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sigs_of = tables.value[1]
+
+        def done(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+            table = pa.Table.from_batches(parts).combine_chunks()
+            a, b, doc, line = (one(table[c]).to_numpy() for c in ("a", "b", "doc", "line"))
+            words, n = binary_values(one(table["words"]))
+            of, order = np.repeat(np.arange(len(n)), n), np.argsort(words, kind="stable")
+            words, of = words[order], of[order]
+            rank = np.empty(len(n), np.int64)
+            rank[np.lexsort((line, doc))] = np.arange(len(n))
+            who, p = [], []
+            for q in np.flatnonzero(held(sigs_of, slots(_sig(a, b)))).tolist():
+                mine = words[of == q]
+                lo, hi = np.searchsorted(words, mine, "left"), np.searchsorted(words, mine, "right")
+                many = hi - lo
+                at = np.repeat(lo - (np.cumsum(many) - many), many) + np.arange(many.sum())
+                common_ = np.bincount(of[at], minlength=len(n))
+                earlier = (doc < doc[q]) | ((doc == doc[q]) & (line < line[q]))
+                hit = np.flatnonzero(earlier & ((NUM + DEN) * common_ >= NUM * (n + n[q])))
+                if len(hit):
+                    who.append(q)
+                    p.append(int(hit[np.argmin(rank[hit])]))
+            return pa.RecordBatch.from_arrays([pa.array(x) for x in (a[who], b[who], doc[p], line[p])], names=["a", "b", "doc", "line"])
+
+        now, parts = None, []
+        for batch in batches:
+            h = batch.column("h").to_numpy()
+            cuts = [0, *(np.flatnonzero(h[1:] != h[:-1]) + 1).tolist(), len(h)]
+            for lo, hi in zip(cuts, cuts[1:], strict=False):
+                if hi > lo:
+                    if parts and h[lo] != now:
+                        yield done(parts)
+                        parts = []
+                    now = h[lo]
+                    parts.append(batch.slice(lo, hi - lo))
+        if parts:
+            yield done(parts)
+
+    met = rows.mapInArrow(post, "h long, a long, b long, doc long, line long, words binary").repartition("h").sortWithinPartitions("h")
+    got = met.mapInArrow(solve, "a long, b long, doc long, line long")
     return got.groupBy("a", "b").agg(F.min(F.struct(F.col("doc").alias("doc2"), F.col("line").alias("line2"))).alias("p"))
 
 
@@ -408,10 +525,12 @@ def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     """(doc, version, removed: ordered line numbers) of texts that lose a line."""
     bound_batches(docs.sparkSession)
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(FIRST)).alias("doc"), F.xxhash64(F.col(text_col).cast("string")).alias("version"), F.col(text_col).cast("string").alias("text"))
-    near = materialise(partners_of(rows), "partners").groupBy("a", "b").agg(F.min(F.struct(F.col("p.doc2").alias("doc"), F.col("p.line2").alias("line"))).alias("near"))
-    found = materialise(occurrences(rows), "lines")
-    first = found.groupBy("a", "b").agg(F.min(F.struct("doc", "line")).alias("first")).join(near, ["a", "b"], "left")
-    first = first.select(F.col("a").alias("a0"), F.col("b").alias("b0"), F.least("first", "near").alias("since"))
+    counts, found = survey(rows)
+    near = partners_of(rows, counts).groupBy("a", "b").agg(F.min(F.struct(F.col("p.doc2").alias("doc"), F.col("p.line2").alias("line"))).alias("near"))
+    first = found.groupBy("a", "b").agg(F.min(F.struct("doc", "line")).alias("first"), F.count("*").alias("times")).join(near, ["a", "b"], "left")
+    first = first.where((F.col("times") > 1) | F.col("near").isNotNull())
+    # written, so that the join below deals both sides anew and splits a line that is everywhere
+    first = materialise(first.select(F.col("a").alias("a0"), F.col("b").alias("b0"), F.least("first", "near").alias("since")), "firsts")
     late = found.join(first, (F.col("a") == F.col("a0")) & (F.col("b") == F.col("b0"))).where(F.struct("doc", "line") > F.col("since"))
     return late.groupBy("doc", "version").agg(F.array_sort(F.collect_set("line")).alias("removed"))
 
@@ -422,10 +541,22 @@ def _with_removals(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return keyed.join(gone, (F.col("__doc") == F.col("doc")) & (F.col("__version") == F.col("version")), "left")
 
 
+@F.pandas_udf(StringType())
+def without_lines(text: pd.Series, removed: pd.Series) -> pd.Series:
+    """A text without the lines of the given numbers (null: no text)."""
+    out = []
+    for t, gone in zip(text, removed, strict=True):
+        if t is not None and gone is not None:
+            gone = set(gone.tolist())
+            t = "\n".join([x for k, x in enumerate(t.split("\n")) if k not in gone])
+        out.append(t)
+    return pd.Series(out, dtype=object)
+
+
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` without later matching lines; all columns stay."""
     inner = docs.select(F.struct("*").alias("__row"), F.col(id_col).alias("__id"), F.col(text_col).cast("string").alias("__text"))
-    left = F.array_join(F.filter(F.split("__text", "\n", -1), lambda x, i: ~F.array_contains("removed", i.cast("long"))), "\n")
+    left = without_lines(F.when(F.col("removed").isNotNull(), F.col("__text")), F.col("removed"))
     text = F.when(F.col("removed").isNull(), F.col("__text")).otherwise(left)
     out = _with_removals(inner, "__id", "__text")
     return out.select(*[(text if c == text_col else F.col("__row")[c]).alias(c) for c in docs.columns])

@@ -92,11 +92,45 @@ def test_line_dedup(docs, empty):
     assert linededup.line_report(empty).count() == 0 and linededup.deduplicated(empty).count() == 0
 
 
+def families(seed, groups, size, words, changed):
+    """Lines of which those of a group differ in a few words, beside lines of their own."""
+    rng = np.random.default_rng(seed)
+    out = []
+    for g in range(groups):
+        base = rng.integers(0, 400, words)
+        for _ in range(size):
+            line = base.copy()
+            line[rng.integers(0, words, rng.integers(0, changed + 1))] = rng.integers(400, 4000, 1)
+            out.append(" ".join(f"w{x}" for x in line))
+    return [out[i] for i in rng.permutation(len(out))]
+
+
+@pytest.mark.parametrize("most", [1, 3])
+def test_line_dedup_against_brute_force(spark, monkeypatch, most):
+    """Lines around the limit; with one partner a word kept, many are answered in the second meeting."""
+    monkeypatch.setattr(linededup, "MOST", most)
+    lines = families(5, 12, 14, 24, 7)
+    texts = ["\n".join(lines[k : k + 7]) for k in range(0, len(lines), 7)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    order = [(d, k, frozenset(x.split())) for d, t in enumerate(texts) for k, x in enumerate(t.split("\n"))]
+    want = {(d, k) for at, (d, k, w) in enumerate(order) if any(5 * len(v & w) >= 4 * len(v | w) for _, _, v in order[:at])}
+    got = {(r.doc_id, int(k)) for r in linededup.line_report(docs).collect() for k in r.removed.split(",") if k}
+    assert got == want and 20 < len(want) < len(order) - 20
+
+
+def test_word_hashes_follow_words():
+    texts = ["Ab\x0bCD  e\u00c9\n\nab".encode(), b"", b" ", b"x" * 200_000 + b" cd\r\tAB", b"y" * 70_000 + b" " + b"z " * 40_000]
+    h, n, parts = linededup.words_by_part(texts, True)
+    words = [w for t in texts for w in t.lower().split()]
+    assert parts.tolist() == [t.count(b"\n") + 1 for t in texts] and n.tolist() == [len(x.split()) for t in texts for x in t.split(b"\n")]
+    assert len(h) == len(words) and len(set(zip(words, h.tolist(), strict=True))) == len(set(words)) == len(set(h.tolist()))
+
+
 def test_packed_postings_come_back_by_bucket():
     rng = np.random.default_rng(3)
     n, buckets = 3 * linededup.PACKED, 5
-    c = [rng.integers(-(1 << 63), 1 << 63, n, np.int64) for _ in range(8)]
-    c[0][: linededup.PACKED + 1] = -7
+    c = [rng.integers(0, 1 << 48, n, np.int64), *(rng.integers(-(1 << 63), 1 << 63, n, np.int64) for _ in range(7))]
+    c[0][: linededup.PACKED + 1] = 7
     expand, got, at = zstandard.ZstdDecompressor(), [], {}
     for batch in linededup.packed(c, buckets):
         for bucket, hashed, rest in zip(*(x.to_pylist() for x in batch.columns), strict=True):
