@@ -2,9 +2,10 @@
 
 Fingerprints within ``radius`` bits agree on at least one of ``radius + 1`` disjoint
 bit bands, so every link is found inside a (band, value) bucket and nothing else has
-to meet. Inside a bucket numpy compares tiles by exclusive-or and bit counts; tiles
-are cut from fingerprints ordered by population count, and a pair of tiles whose
-counts differ by more than the radius is skipped. A bucket gives stars, not pairs.
+to meet. Rows are ordered by bucket and population count and cut into tiles, which may hold
+several small buckets or a part of a large one; numpy compares tile with tile by exclusive-or
+and bit counts, and a pair of tiles of one bucket whose counts differ by more than the radius
+is skipped. What a task finds leaves it as stars, not pairs.
 
 Defined cases: null or empty text has fingerprint zero and links like any other;
 repeated rows share a fingerprint and hence a component; null ids take part but never
@@ -22,13 +23,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bound_batches, byte_list, materialise
+from .common import bound_batches, byte_list, materialise, one
 from .components import connected_components
 
 SEED = 42
 ROWS = 1 << 14
-SMALL = 48
-TILE = 2048
+#: Rows of a tile, and rows whose tiles are made together.
+TILE, GROUPED = 64, 200_000
 
 
 def fingerprint(text: bytes, shingle: int = 3) -> int:
@@ -89,41 +90,63 @@ class _Forest:
         return np.array(nodes, np.uint64).view(np.int64), np.array([self.find(x) for x in nodes], np.uint64).view(np.int64)
 
 
-def link_small(keys: np.ndarray, fps: np.ndarray, radius: int, forest: _Forest) -> None:
-    """All buckets of a batch at once: each row meets the next one, the one after, and so on."""
-    at = np.arange(len(keys))
-    for step in range(1, SMALL):
-        at = at[at + step < len(keys)]
-        at = at[keys[at] == keys[at + step]]
-        if not len(at):
-            return
-        near = at[np.bitwise_count(fps[at] ^ fps[at + step]) <= radius]
-        for i in near.tolist():
-            forest.join(int(fps[i]), int(fps[i + step]))
+def tiled_pairs(keys: np.ndarray, fps: np.ndarray, radius: int, tally: dict | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Places (i, j) of fingerprints of equal key within ``radius`` bits, from rows ordered by key and population count.
 
-
-def link_tiled(fps: np.ndarray, radius: int, forest: _Forest) -> None:
-    """One large bucket: tiles of reached fingerprints against tiles of those not yet reached."""
+    Rows are cut into tiles; a tile meets itself and the later ones that go on with the key it
+    ends with, unless the counts of the key's rows differ beyond the radius between the two.
+    ``tally`` counts tile pairs met and skipped.
+    """
+    n, size = len(keys), TILE
+    if not n:
+        return
+    fill = -n % size
+    tiles = np.concatenate([fps, np.zeros(fill, np.uint64)]).reshape(-1, size)
+    names = np.concatenate([keys, np.full(fill, keys[-1])]).reshape(-1, size)
     pops = np.bitwise_count(fps).astype(np.int64)
-    order = np.argsort(pops, kind="stable")
-    fps, pops = fps[order], pops[order]
-    left = np.arange(len(fps))
-    while len(left):
-        seed, left = int(fps[left[0]]), left[1:]
-        wave = np.array([seed], fps.dtype)
-        while len(wave) and len(left):
-            wave = wave[np.argsort(np.bitwise_count(wave), kind="stable")]
-            hit = np.zeros(len(left), bool)
-            for a in range(0, len(wave), 64):
-                rows = wave[a : a + 64]
-                low, high = int(np.bitwise_count(rows[0])) - radius, int(np.bitwise_count(rows[-1])) + radius
-                lo, hi = np.searchsorted(pops[left], low, "left"), np.searchsorted(pops[left], high, "right")
-                for b in range(lo, hi, TILE):
-                    stop = min(b + TILE, hi)
-                    hit[b:stop] |= (np.bitwise_count(rows[:, None] ^ fps[left[b:stop]][None, :]) <= radius).any(axis=0)
-            wave, left = fps[left[hit]], left[~hit]
-            for x in wave.tolist():
-                forest.join(seed, x)
+    low, high = pops[::size], pops[np.minimum(np.arange(size - 1, n + fill, size), n - 1)]
+    upper = np.triu(np.ones((size, size), bool), 1)
+    tally = {} if tally is None else tally
+    at = np.arange(len(tiles))
+    for step in range(len(tiles)):
+        if step:
+            at = at[at + step < len(tiles)]
+            at = at[names[at, -1] == names[at + step, 0]]
+        if not len(at):
+            return
+        near = at[low[at + step] - high[at] <= radius] if step else at
+        tally["met"], tally["skipped"] = tally.get("met", 0) + len(near), tally.get("skipped", 0) + len(at) - len(near)
+        for a in range(0, len(near), 64):
+            g = near[a : a + 64]
+            close = np.bitwise_count(tiles[g][:, :, None] ^ tiles[g + step][:, None, :]) <= radius
+            close &= names[g][:, :, None] == names[g + step][:, None, :]
+            if not step:
+                close &= upper
+            of, i, j = np.nonzero(close)
+            i, j = g[of] * size + i, (g[of] + step) * size + j
+            real = j < n
+            if real.any():
+                yield i[real], j[real]
+
+
+def whole_groups(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.Table]:
+    """Tables of ``rows`` rows or more that end where the first column, by which the rows are ordered, changes."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        key = batch.column(0).to_numpy()
+        if size >= rows:
+            last = held[-1].column(0)[-1].as_py()
+            cut = int(np.argmax(key != last)) if key[-1] != last else len(key)
+            if cut < len(key):
+                yield pa.Table.from_batches([*held, batch.slice(0, cut)]).combine_chunks()
+                held, size, batch = [], 0, batch.slice(cut)
+        held.append(batch)
+        size += batch.num_rows
+    if held:
+        yield pa.Table.from_batches(held).combine_chunks()
 
 
 def links(distinct: DataFrame, radius: int = 3) -> DataFrame:
@@ -134,34 +157,16 @@ def links(distinct: DataFrame, radius: int = 3) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forest = _Forest()
-        rest_k, rest_f = np.zeros(0, np.int64), [np.zeros(0, np.uint64)]
-
-        def flush(k: np.ndarray, f: np.ndarray) -> None:
-            starts = np.flatnonzero(np.r_[True, k[1:] != k[:-1]]) if len(k) else np.zeros(0, np.int64)
-            sizes = np.diff(np.r_[starts, len(k)])
-            for s, n in zip(starts[sizes > SMALL].tolist(), sizes[sizes > SMALL].tolist(), strict=True):
-                link_tiled(f[s : s + n], radius, forest)
-            little = np.repeat(sizes <= SMALL, sizes)
-            link_small(k[little], f[little], radius, forest)
-
-        for batch in batches:
-            k, f = batch.column(0).to_numpy(), batch.column(1).to_numpy().view(np.uint64)  # of negative numbers numpy counts the bits of the amount
-            if not len(k):
-                continue
-            if len(rest_k) and k[-1] == rest_k[0]:  # one bucket goes on through the whole batch
-                rest_f.append(f)
-                continue
-            cut = int(np.searchsorted(k, k[-1]))
-            held = np.concatenate(rest_f)
-            flush(np.concatenate([np.full(len(held), rest_k[0] if len(rest_k) else 0), k[:cut]]), np.concatenate([held, f[:cut]]))
-            rest_k, rest_f = k[-1:], [f[cut:]]
-        held = np.concatenate(rest_f)
-        flush(np.full(len(held), rest_k[0] if len(rest_k) else 0), held)
+        for table in whole_groups(batches, GROUPED):
+            fps = one(table["fp"]).to_numpy().view(np.uint64)  # of negative numbers numpy counts the bits of the amount
+            for i, j in tiled_pairs(one(table["key"]).to_numpy(), fps, radius):
+                for a, b in zip(fps[i].tolist(), fps[j].tolist(), strict=True):
+                    forest.join(a, b)
         u, v = forest.edges()
         yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
 
     n = distinct.select(F.explode(keys).alias("key"), "fp")
-    return n.repartition(F.col("key")).sortWithinPartitions("key", "fp").mapInArrow(run, "u long, v long")
+    return n.repartition(F.col("key")).sortWithinPartitions("key", F.bit_count("fp")).mapInArrow(run, "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, radius: int = 3) -> DataFrame:

@@ -63,20 +63,19 @@ def test_simhash(docs, empty):
     assert simhash.near_duplicates(empty).count() == 0
 
 
-def test_tiles_link_fingerprints_whose_top_bit_differs():
+@pytest.mark.parametrize("buckets", [1, 400])
+def test_tiles_find_all_pairs_of_a_bucket(buckets):
+    """One bucket of many tiles, and many buckets in a tile; top bits differ; tile pairs far apart in population are skipped."""
     rng = np.random.default_rng(3)
-    fps = rng.integers(0, 1 << 63, 300, dtype=np.uint64)
-    fps = np.unique(np.concatenate([fps, fps ^ np.uint64(1 << 63), fps[:50] ^ np.uint64(7)]))
-    forest = simhash._Forest()
-    simhash.link_tiled(fps, 3, forest)
-    small = simhash._Forest()
-    for i in range(len(fps)):
-        for j in range(i):
-            if (int(fps[i]) ^ int(fps[j])).bit_count() <= 3:
-                small.join(int(fps[i]), int(fps[j]))
-    group = lambda f: {x: f.find(x) for x in map(int, fps)}
-    a, b = group(forest), group(small)
-    assert len(set(a.values())) == len(set(b.values())) and all((a[x] == a[y]) == (b[x] == b[y]) for x in list(a)[:60] for y in a)
+    wide = [rng.integers(0, 1 << 63, 300, dtype=np.uint64) & np.uint64(sum(1 << int(b) for b in rng.integers(0, 63, k))) for k in (3, 20, 60)]
+    fps = np.concatenate([*wide, wide[2] ^ np.uint64(1 << 63), wide[2][:90] ^ np.uint64(7)])
+    keys = rng.integers(0, buckets, len(fps))
+    order = np.lexsort((np.bitwise_count(fps), keys))
+    keys, fps, tally = keys[order], fps[order], {}
+    got = {(i, j) for a, b in simhash.tiled_pairs(keys, fps, 3, tally) for i, j in zip(a.tolist(), b.tolist(), strict=True)}
+    want = {(i, j) for j in range(len(fps)) for i in range(j) if keys[i] == keys[j] and (int(fps[i]) ^ int(fps[j])).bit_count() <= 3}
+    assert got == want and len(want) > 50 and (tally["skipped"] > 50) == (buckets == 1)
+    assert list(simhash.tiled_pairs(keys[:0], fps[:0], 3)) == []
 
 
 def test_line_dedup(docs, empty):

@@ -62,15 +62,22 @@ def test_near_copies_of_080_to_095_go(spark):
     assert nearcopies.near_copies(docs.limit(0)).count() == 0
 
 
-def test_groups_are_compared_set_by_set():
+def test_near_copies_against_brute_force(spark):
+    """Families around the limit, passages that many texts share, copies, and texts of a few words."""
     rng = np.random.default_rng(6)
-    sets = []
-    for _ in range(30):
-        base = rng.integers(0, 400, 60)
-        sets += [np.unique(np.where(rng.random(60) < p, rng.integers(0, 400, 60), base)) for p in (0, 0.03, 0.06, 0.1, 0.2)]
-    root = nearcopies.compare(np.array([len(x) for x in sets]), sets)
-    near = np.array([[5 * len(a & b) >= 4 * len(a | b) for b in map(set, sets)] for a in map(set, sets)])
-    want = list(range(len(sets)))
-    for _ in range(10):
-        want = [min(want[j] for j in np.flatnonzero(row)) for row in near]
-    assert root.tolist() == want and 30 < len(set(want)) < len(sets)
+    texts = ["", "one", "ONE", "one two three", "Three two one"]
+    passage = [f"p{k}" for k in range(40)]
+    for _ in range(40):
+        base = rng.integers(0, 9000, 80)
+        for p in (0, 0.01, 0.02, 0.03, 0.05, 0.08):
+            texts.append(" ".join(f"w{x}" for x in np.where(rng.random(80) < p, rng.integers(0, 9000, 80), base)))
+    texts += [" ".join([*passage, *(f"q{x}" for x in rng.integers(0, 9000, 12))]) for _ in range(60)]
+    texts += texts[5:20]
+    sets = [frozenset(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))) if (w := t.lower().split()) else frozenset() for t in texts]
+    near = [[j for j, b in enumerate(sets) if a == b or 5 * len(a & b) >= 4 * len(a | b)] for a in sets]
+    want = list(range(len(texts)))
+    while (nxt := [min(want[j] for j in row) for row in near]) != want:
+        want = nxt
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(5)
+    got = {r.doc_id: r.component_id for r in nearcopies.near_copies(docs).collect()}
+    assert [got[i] for i in range(len(texts))] == want and 60 < len(set(want)) < len(texts) - 60
