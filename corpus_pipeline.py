@@ -3,6 +3,11 @@
 ``run`` applies the stages to ``documents``. Each stage's result is written to the shared
 folder and read again as the next one's input. All but the last return the columns of
 ``documents``; the last returns a row per packed piece.
+
+Defined cases: null or empty texts have no words and fail a base rule, so they leave with the
+first stage; a null id is a value of its own where ids decide, except that near copies never
+remove a row without an id; repeated rows are judged alike and stay or go together, and are
+packed each; an empty table gives an empty result; columns beside those named pass through.
 """
 
 from __future__ import annotations
@@ -22,7 +27,6 @@ from attention_engine.llm.quality import quality
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 
-
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules keep; of a repeated id all rows must be kept."""
     bad = quality(docs).where(~F.col("kept")).select(F.col("doc_id").alias("bad")).distinct()
@@ -55,7 +59,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES: list[tuple[str, Stage]] = [
     ("quality rules", keep_good),
     ("line dedup", drop_repeated_lines),
-    ("near-dedup", keep_one_of_near_copies),
+    ("SimHash near-dedup", keep_one_of_near_copies),
     ("benchmark decontamination", drop_contaminated),
     ("best-fit packing", pack),
 ]
