@@ -16,7 +16,7 @@ included. The join:
   - of the pairs left, a line keeps per word its first ``MOST`` earlier partners and the one
     whose bit map is nearest; these are verified on the words themselves, fetched for those
     lines only. Lines for which none holds, and which had more, meet once more under their
-    prefix words, this time with the words of every line there, and are verified in place.
+    prefix words, and all their earlier partners that pass the same tests are verified.
 To remove a line one earlier partner is enough, so large groups of near copies cost a few
 pairs a line. Equal sets are one entry of the join, with their first place.
 
@@ -48,7 +48,7 @@ BITS = 25
 FIRST = -(1 << 63)
 #: Lines of fewer words can only match equal sets.
 LEAST = 4
-MOST = 3
+MOST = 8
 #: Bytes of text whose words are held at once, and lines, whose number has to fit beside a hash.
 PART, ROWS = 12 << 20, 1 << 16
 #: Postings packed at once, postings of one packed row, and postings a bucket is planned for.
@@ -127,28 +127,62 @@ def lines_of(table: pa.Table) -> Iterator[Lines]:
 
 
 COUNT, PLACED = 0, 1
-SURVEY = "doc long, version long, line long, a long, b long, kind int"
+SURVEY = "doc long, version long, line long, a long, b long, body binary, kind int"
+#: Least and most ranges into which a block's words are dealt for counting.
+RANGES = (64, 4096)
 
 
 def survey(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """From (doc, version, text): (h, n), in how many sets of lines each word is (a set counts once a block); (doc, version, line, a, b) of every line with a word."""
+    """From (doc, version, text): (h, n) of words in two sets or more, and a row (null, n) with the sum of all counts of a range (a set of a line counts once a block); (doc, version, line, a, b) of every line with a word."""
+    names = ["doc", "version", "line", "a", "b", "body", "kind"]
+
+    bits = min(max(RANGES[0], int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))), RANGES[1]).bit_length()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["doc", "version", "line", "a", "b", "kind"]
+        press = zstandard.ZstdCompressor(level=1).compress
         for table in blocks(batches, limit=PART):
             version = table["version"].to_numpy()
             for lines in lines_of(table):
-                yield pa.RecordBatch.from_arrays([*map(pa.array, (lines.doc, version[lines.text], lines.line, lines.a, lines.b)), pa.array(np.full(len(lines.n), PLACED, np.int32))], names=names)
+                k = len(lines.n)
+                yield pa.RecordBatch.from_arrays([*map(pa.array, (lines.doc, version[lines.text], lines.line, lines.a, lines.b)), pa.nulls(k, pa.binary()), pa.array(np.full(k, PLACED, np.int32))], names=names)
                 h = np.sort(lines.distinct().hashes)
                 at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-                none = pa.nulls(len(at), pa.int64())
-                yield pa.RecordBatch.from_arrays([none, none, none, pa.array(h[at].view(np.int64)), pa.array(np.diff(np.r_[at, len(h)])), pa.array(np.full(len(at), COUNT, np.int32))], names=names)
+                n, h = np.diff(np.r_[at, len(h)]), h[at]
+                cuts = np.searchsorted(h, np.arange((1 << bits) + 1, dtype=np.uint64) << np.uint64(48 - bits))
+                some = np.flatnonzero(np.diff(cuts))
+                bodies = [press(np.stack([np.diff(h[cuts[r] : cuts[r + 1]].view(np.int64), prepend=0), n[cuts[r] : cuts[r + 1]]]).view(np.uint8).reshape(-1, 8).T.tobytes()) for r in some.tolist()]
+                none = pa.nulls(len(some), pa.int64())
+                yield pa.RecordBatch.from_arrays([none, none, none, pa.array(some), none, pa.array(bodies, pa.binary()), pa.array(np.full(len(some), COUNT, np.int32))], names=names)
+
+    def summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        expand, now, parts = zstandard.ZstdDecompressor(), None, []
+
+        def done() -> pa.RecordBatch:
+            h, n = (np.concatenate(x) for x in zip(*parts, strict=True))
+            order = np.argsort(h)
+            h, n = h[order], n[order]
+            at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+            n, h = np.add.reduceat(n, at), h[at]
+            more = n > 1
+            return pa.RecordBatch.from_arrays([pa.array([None, *h[more].tolist()], pa.int64()), pa.array(np.r_[n.sum(), n[more]])], names=["h", "n"])
+
+        for batch in batches:
+            for r, body in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if r != now and parts:
+                    yield done()
+                    parts = []
+                now = r
+                raw = np.frombuffer(expand.decompress(body), np.uint8).reshape(8, -1).T
+                steps, n = np.ascontiguousarray(raw).view(np.int64).reshape(2, -1)
+                parts.append((np.cumsum(steps), n))
+        if parts:
+            yield done()
 
     path = fresh_path(rows.sparkSession, "survey")
     rows.mapInArrow(run, SURVEY).write.partitionBy("kind").parquet(path)
     told = rows.sparkSession.read.schema(SURVEY).parquet(path)
-    counts = told.where(F.col("kind") == COUNT).groupBy(F.col("a").alias("h")).agg(F.sum("b").alias("n"))
-    return counts, told.where(F.col("kind") == PLACED).drop("kind")
+    dealt = told.where(F.col("kind") == COUNT).select("a", "body").repartition("a").sortWithinPartitions("a")
+    return dealt.mapInArrow(summed, "h long, n long"), told.where(F.col("kind") == PLACED).drop("kind", "body")
 
 
 def prefix_size(n: np.ndarray) -> np.ndarray:
@@ -282,8 +316,8 @@ def distinct(c: list[np.ndarray]) -> list[np.ndarray]:
     return out
 
 
-def meet(c: list[np.ndarray]) -> list[np.ndarray]:
-    """Candidates (a1, b1, doc1, line1 of the later line; a2, b2, doc2, line2; partners the later line had) among postings as ``distinct`` gives them."""
+def meet(c: list[np.ndarray], asked: np.ndarray | None = None) -> list[np.ndarray]:
+    """Candidates (a1, b1, doc1, line1 of the later line; a2, b2, doc2, line2; partners the later line had) among postings as ``distinct`` gives them; all those of the asked lines, or a few of every line."""
     h, np_, a, b, doc, line, x0, x1 = c
     n, pos = np_ >> 32, np_ & 0xFFFFFFFF
     x0, x1 = x0.view(np.uint64), x1.view(np.uint64)  # of negative numbers numpy counts the bits of the amount
@@ -296,23 +330,24 @@ def meet(c: list[np.ndarray]) -> list[np.ndarray]:
         at = at[(h[at] == h[at + step]) & (DEN * n[at] >= NUM * n[at + step])]
         if not len(at):
             break
-        to = at + step
-        need = -(-NUM * (n[at] + n[to]) // (NUM + DEN))
-        room = np.minimum(n[at] - pos[at], n[to] - pos[to])
-        apart = np.bitwise_count(x0[at] ^ x0[to]).astype(np.int64) + np.bitwise_count(x1[at] ^ x1[to])
-        ok = (room >= need) & (apart <= n[at] + n[to] - 2 * need)
+        of = at if asked is None else at[asked[at] | asked[at + step]]
+        to = of + step
+        need = -(-NUM * (n[of] + n[to]) // (NUM + DEN))
+        room = np.minimum(n[of] - pos[of], n[to] - pos[to])
+        apart = np.bitwise_count(x0[of] ^ x0[to]).astype(np.int64) + np.bitwise_count(x1[of] ^ x1[to])
+        ok = (room >= need) & (apart <= n[of] + n[to] - 2 * need)
         if not ok.any():
             continue
-        i, j, apart = at[ok], to[ok], apart[ok]
+        i, j, apart = of[ok], to[ok], apart[ok]
         forward = (doc[i] < doc[j]) | ((doc[i] == doc[j]) & (line[i] < line[j]))
         for late, early, d in ((j[forward], i[forward], apart[forward]), (i[~forward], j[~forward], apart[~forward])):
-            few = partners[late] < MOST
+            few = partners[late] < MOST if asked is None else asked[late]
             later.append(late[few])
             earlier.append(early[few])
             partners[late] += 1
             closer = d < best[late]
             best[late[closer]], nearest[late[closer]] = d[closer], early[closer]
-    some = np.flatnonzero(partners > MOST)
+    some = np.flatnonzero(partners > MOST) if asked is None else np.zeros(0, np.int64)
     late, early = np.concatenate([some, *later]), np.concatenate([nearest[some], *earlier])
     return [x[k] for k in (late, early) for x in (a, b, doc, line)] + [partners[late]]
 
@@ -320,7 +355,14 @@ def meet(c: list[np.ndarray]) -> list[np.ndarray]:
 PAIR = ["a1", "b1", "doc1", "line1", "a2", "b2", "doc2", "line2", "partners"]
 
 
-def candidates(posted: DataFrame) -> DataFrame:
+def candidates(posted: DataFrame, asked: np.ndarray | None = None) -> DataFrame:
+    """Pairs of postings that pass; ``asked``: a bit table of the signatures whose partners are all wanted."""
+    told = posted.sparkSession.sparkContext.broadcast(asked)
+
+    def met(c: list[np.ndarray]) -> pa.RecordBatch:
+        which = None if told.value is None else held(told.value, slots(_sig(c[2], c[3])))
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in meet(c, which)], names=PAIR)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         expand = zstandard.ZstdDecompressor()
         now, parts, size, limit = None, [], 0, CHUNK
@@ -331,7 +373,7 @@ def candidates(posted: DataFrame) -> DataFrame:
         for batch in batches:
             for bucket, hashed, rest in zip(*(x.to_pylist() for x in batch.columns), strict=True):
                 if parts and bucket != now:
-                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in meet(whole())], names=PAIR)
+                    yield met(whole())
                     parts, size, limit = [], 0, CHUNK
                 now = bucket
                 parts.append(unpacked(hashed, rest, expand))
@@ -341,7 +383,7 @@ def candidates(posted: DataFrame) -> DataFrame:
                     size = len(parts[0][0])
                     limit = max(CHUNK, 2 * size)
         if parts:
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in meet(whole())], names=PAIR)
+            yield met(whole())
 
     dealt = posted.repartition("bucket").sortWithinPartitions("bucket")
     found = dealt.mapInArrow(run, ", ".join(f"{x} long" for x in PAIR))
@@ -424,32 +466,38 @@ def partners_of(rows: DataFrame, counts: DataFrame) -> DataFrame:
     """(a, b, p): for every distinct word set that has an earlier partner, the place of one."""
     spark = rows.sparkSession
     counts = materialise(counts, "words")
-    total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    total = counts.where("h is null").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    counts = counts.where("h is not null")
     often = counts.where(F.col("n") >= F.lit(max(2.0, total * RARE))).toPandas().astype({"h": np.int64, "n": np.int64})
     common = Common(often["h"].to_numpy().view(np.uint64), often["n"].to_numpy())
-    twice = bit_table(counts.where("n > 1").select(F.shiftright("h", 48 - BITS).alias("slot")))
+    twice = bit_table(counts.select(F.shiftright("h", 48 - BITS).alias("slot")))
     buckets = max(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), -(-int(total) // BUCKET))
-    pairs = materialise(candidates(postings(rows, common, twice, buckets)), "pairs")
+    told = materialise(answered(rows, candidates(postings(rows, common, twice, buckets))), "told")
+    found = told.where("p is not null").select("a", "b", "p")
+    open_ = told.where((F.col("p").isNull()) & (F.col("partners") > MOST)).select("a", "b", "own.*")
+    if open_.isEmpty():
+        return found
+    words_of, sigs_of = asked_tables(open_.join(word_sets(rows, wanted(open_.select("doc1", "line1"))), ["a", "b"]), common)
+    again = answered(rows, candidates(postings(rows, common, words_of, buckets), sigs_of))
+    return found.unionByName(again.where("p is not null").select("a", "b", "p"))
+
+
+def answered(rows: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(a, b, p: the first partner that holds or null, own: the place, partners) of the later lines of candidate pairs."""
+    pairs = materialise(pairs, "pairs")
     places = pairs.select("p1.*").toDF("doc", "line").union(pairs.select("p2.*").toDF("doc", "line"))
     sets = materialise(word_sets(rows, wanted(places)), "sets")
     one_, two = (sets.select(F.col("a").alias(f"s{k}"), F.col("b").alias(f"t{k}"), F.col("words").alias(f"w{k}")) for k in (1, 2))
     both = pairs.join(one_, (F.col("a1") == F.col("s1")) & (F.col("b1") == F.col("t1"))).join(two, (F.col("a2") == F.col("s2")) & (F.col("b2") == F.col("t2")))
     told = verified(both.select(F.col("a1").alias("a"), F.col("b1").alias("b"), "p1.doc1", "p1.line1", "p2.doc2", "p2.line2", "partners", "w1", "w2"))
-    told = told.groupBy("a", "b").agg(F.min(F.when(F.col("holds"), F.struct("doc2", "line2"))).alias("p"), F.min(F.struct("doc1", "line1")).alias("own"), F.max("partners").alias("partners"))
-    told = materialise(told, "told")
-    found = told.where("p is not null").select("a", "b", "p")
-    open_ = told.where((F.col("p").isNull()) & (F.col("partners") > MOST)).select("a", "b")
-    if open_.isEmpty():
-        return found
-    return found.union(answers(rows, open_.join(sets, ["a", "b"]), common))
+    return told.groupBy("a", "b").agg(F.min(F.when(F.col("holds"), F.struct("doc2", "line2"))).alias("p"), F.min(F.struct("doc1", "line1")).alias("own"), F.max("partners").alias("partners"))
 
 
-def answers(rows: DataFrame, asked: DataFrame, common: Common) -> DataFrame:
-    """(a, b, p): the earliest partner among all lines of at least the asked sets (a, b, words) that have one."""
-    spark = rows.sparkSession
-    told = spark.sparkContext.broadcast(common)
+def asked_tables(asked: DataFrame, common: Common) -> tuple[np.ndarray, np.ndarray]:
+    """Bit tables of the prefix words and of the signatures of (a, b, words)."""
+    told = asked.sparkSession.sparkContext.broadcast(common)
 
-    def marks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
                 words, n = binary_values(batch.column("words"))
@@ -461,64 +509,8 @@ def answers(rows: DataFrame, asked: DataFrame, common: Common) -> DataFrame:
                     s = np.unique(slots(h))
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), kind, np.int32)), pa.array(s)], names=["kind", "slot"])
 
-    bits = materialise(asked.mapInArrow(marks, "kind int, slot long").distinct(), "asked")
-    tables = spark.sparkContext.broadcast((bit_table(bits.where("kind = 0")), bit_table(bits.where("kind = 1"))))
-
-    def post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words_of, _ = tables.value
-        for table in blocks(batches, limit=PART):
-            for lines in lines_of(table):
-                lines = lines.distinct()
-                keep, _ = prefixes(lines, told.value)
-                keep[keep] = held(words_of, slots(lines.hashes[keep]))
-                of = lines.of[keep]
-                packed_words = lines.packed_words()
-                for at in range(0, len(of), 20_000):
-                    part = of[at : at + 20_000]
-                    yield pa.RecordBatch.from_arrays([pa.array(lines.hashes[keep][at : at + 20_000].view(np.int64)), *(pa.array(x[part]) for x in (lines.a, lines.b, lines.doc, lines.line)), packed_words.take(pa.array(part))], names=["h", "a", "b", "doc", "line", "words"])
-
-    def solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sigs_of = tables.value[1]
-
-        def done(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
-            table = pa.Table.from_batches(parts).combine_chunks()
-            a, b, doc, line = (one(table[c]).to_numpy() for c in ("a", "b", "doc", "line"))
-            words, n = binary_values(one(table["words"]))
-            of, order = np.repeat(np.arange(len(n)), n), np.argsort(words, kind="stable")
-            words, of = words[order], of[order]
-            rank = np.empty(len(n), np.int64)
-            rank[np.lexsort((line, doc))] = np.arange(len(n))
-            who, p = [], []
-            for q in np.flatnonzero(held(sigs_of, slots(_sig(a, b)))).tolist():
-                mine = words[of == q]
-                lo, hi = np.searchsorted(words, mine, "left"), np.searchsorted(words, mine, "right")
-                many = hi - lo
-                at = np.repeat(lo - (np.cumsum(many) - many), many) + np.arange(many.sum())
-                common_ = np.bincount(of[at], minlength=len(n))
-                earlier = (doc < doc[q]) | ((doc == doc[q]) & (line < line[q]))
-                hit = np.flatnonzero(earlier & ((NUM + DEN) * common_ >= NUM * (n + n[q])))
-                if len(hit):
-                    who.append(q)
-                    p.append(int(hit[np.argmin(rank[hit])]))
-            return pa.RecordBatch.from_arrays([pa.array(x) for x in (a[who], b[who], doc[p], line[p])], names=["a", "b", "doc", "line"])
-
-        now, parts = None, []
-        for batch in batches:
-            h = batch.column("h").to_numpy()
-            cuts = [0, *(np.flatnonzero(h[1:] != h[:-1]) + 1).tolist(), len(h)]
-            for lo, hi in zip(cuts, cuts[1:], strict=False):
-                if hi > lo:
-                    if parts and h[lo] != now:
-                        yield done(parts)
-                        parts = []
-                    now = h[lo]
-                    parts.append(batch.slice(lo, hi - lo))
-        if parts:
-            yield done(parts)
-
-    met = rows.mapInArrow(post, "h long, a long, b long, doc long, line long, words binary").repartition("h").sortWithinPartitions("h")
-    got = met.mapInArrow(solve, "a long, b long, doc long, line long")
-    return got.groupBy("a", "b").agg(F.min(F.struct(F.col("doc").alias("doc2"), F.col("line").alias("line2"))).alias("p"))
+    bits = materialise(asked.select("a", "b", "words").mapInArrow(run, "kind int, slot long").distinct(), "asked")
+    return bit_table(bits.where("kind = 0")), bit_table(bits.where("kind = 1"))
 
 
 def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -147,6 +147,8 @@ def test_meeting_keeps_a_few_partners_and_counts_all():
     got = linededup.meet([r.astype(np.int64) for r in rows])
     assert len(got[0]) <= m * (linededup.MOST + 1) and got[8].max() == m - 1
     assert set(got[0].tolist()) == set(range(1, m))
+    asked = np.arange(m) == m - 2
+    assert sorted(zip(*(x.tolist() for x in linededup.meet([r.astype(np.int64) for r in rows], asked)), strict=True))[0][0] == m - 2 and len(linededup.meet([r.astype(np.int64) for r in rows], asked)[0]) == m - 2
 
 
 def test_ctw_base_and_normalisation(docs, empty):
