@@ -45,9 +45,9 @@ from .simhash import GROUPED, tiled_pairs, whole_groups
 #: Bits in which fingerprints of linked sets may differ.
 RADIUS = 22
 #: Bytes of text worked on together, and texts, whose number has to fit beside a hash.
-PART, ROWS = 12 << 20, 1 << 16
+PART, ROWS = 8 << 20, 1 << 16
 #: Shingles a range of hashes is planned for, and the share from which one is common.
-BUCKET, RARE = 4_000_000, 1 / 200_000
+BUCKET, RARE = 1_200_000, 1 / 200_000
 SHARED, OFTEN = 0, 1
 
 
@@ -134,10 +134,12 @@ def counted(rows: DataFrame, least: int) -> DataFrame:
         parts = [unpacked(sets, body, expand) for _, sets, body in held_rows]
         first = np.cumsum([0, *(len(sig) for _, _, sig in parts)])
         h = np.concatenate([x for x, _, _ in parts])
-        at = np.concatenate([of + np.int64(a) for (_, of, _), a in zip(parts, first.tolist(), strict=False)])
+        at = np.concatenate([of + np.int32(a) for (_, of, _), a in zip(parts, first.tolist(), strict=False)])
         sig = np.concatenate([x for _, _, x in parts])
+        del parts
         order = np.argsort(h)
         h, at = h[order], at[order]
+        del order
         start = np.flatnonzero(np.r_[True, h[1:] != h[:-1]]) if len(h) else np.zeros(0, np.int64)
         mine = sig[at]
         times = np.diff(np.r_[start, len(h)])
