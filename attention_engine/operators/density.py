@@ -3,17 +3,19 @@
 A sample with at least ``min_pts`` samples within ``eps`` (itself included) is a core;
 cores within ``eps`` of each other share a cluster, which is named by its smallest core; a
 border sample goes to the cluster of its nearest core (ties: smallest id).
+
+Samples whose place or time is null are noise. An empty trace gives an empty result.
 """
 
 from __future__ import annotations
 
-import uuid
-
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..keep import keep
+
 ADDED = {"cluster_id": "long", "role": "string"}
 
 
@@ -21,38 +23,57 @@ def _schema(df: DataFrame) -> str:
     return ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields] + [f"{k} {v}" for k, v in ADDED.items()])
 
 
-def _apart(x: np.ndarray, y: np.ndarray, metric: str) -> np.ndarray:
+def _apart(x: np.ndarray, y: np.ndarray, metric: str, rows: np.ndarray, cols: np.ndarray) -> np.ndarray:
     """A value that orders pairs by distance; squared for l2."""
-    dx, dy = x[:, None] - x[None, :], y[:, None] - y[None, :]
+    dx, dy = x[rows][:, None] - x[cols][None, :], y[rows][:, None] - y[cols][None, :]
     if metric == "l2":
         return dx * dx + dy * dy
     return np.abs(dx) + np.abs(dy) if metric == "l1" else np.maximum(np.abs(dx), np.abs(dy))
 
 
+#: Distances that are in memory at once.
+CELLS = 1 << 22
+
+
 def label(ids: np.ndarray, x: np.ndarray, y: np.ndarray, eps: float, min_pts: int, t: np.ndarray | None = None, eps_t: float | None = None, metric: str = "l2") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(place of the labelling core or -1, is core, is border) of one slice."""
-    n = len(ids)
-    d = _apart(x, y, metric)
-    near = d <= (eps * eps if metric == "l2" else eps)
-    if eps_t is not None:
-        near &= np.abs(t[:, None] - t[None, :]) <= eps_t
-    core = near.sum(axis=1) >= min_pts
-    order = np.argsort(ids, kind="stable")
+    """(place of the labelling core or -1, is core, is border) of one slice; a stripe of the distance matrix is held at a time."""
+    n, limit = len(ids), eps * eps if metric == "l2" else eps
+    stripe = max(1, CELLS // max(n, 1))
+
+    def near(rows: np.ndarray, cols: np.ndarray):
+        """(rows, distances, is near) for stripes of rows."""
+        for a in range(0, len(rows), stripe):
+            r = rows[a : a + stripe]
+            d = _apart(x, y, metric, r, cols)
+            close = d <= limit
+            if eps_t is not None:
+                close &= np.abs(t[r][:, None] - t[cols][None, :]) <= eps_t
+            yield r, d, close
+
+    every, core = np.arange(n), np.zeros(n, bool)
+    for r, _, close in near(every, every):
+        core[r] = close.sum(axis=1) >= min_pts
     root = np.full(n, -1)
-    for seed in order[core[order]]:
+    left = np.flatnonzero(core)
+    for seed in (order := np.argsort(ids, kind="stable"))[core[order]]:
         if root[seed] >= 0:
             continue
-        wave = np.zeros(n, bool)
-        wave[seed] = True
-        found = wave.copy()
-        while wave.any():
-            wave = near[wave].any(axis=0) & core & ~found
-            found |= wave
-        root[found] = seed
-    border = ~core & (near & core[None, :]).any(axis=1)
-    for k in np.flatnonzero(border):
-        cores = np.flatnonzero(near[k] & core)
-        root[k] = root[cores[np.lexsort((ids[cores], d[k, cores]))[0]]]
+        wave = np.array([seed])
+        while len(wave):
+            root[wave] = seed
+            left = left[root[left] < 0]
+            hit = np.zeros(len(left), bool)
+            for _, _, close in near(wave, left):
+                hit |= close.any(axis=0)
+            wave = left[hit]
+    border, cores = np.zeros(n, bool), np.flatnonzero(core)
+    cores = cores[np.argsort(ids[cores], kind="stable")]  # ties of distance go to the smallest id
+    for r, d, close in near(np.flatnonzero(~core), cores):
+        d = np.where(close, d, np.inf)
+        some = close.any(axis=1)
+        border[r] = some
+        if some.any():
+            root[r[some]] = root[cores[d[some].argmin(axis=1)]]
     return root, core, border
 
 
@@ -70,15 +91,20 @@ def drift_guard(root: np.ndarray, ids: np.ndarray, value: np.ndarray, most: floa
 
 
 def density_clusters(trace: DataFrame, eps: float = 20, min_pts: int = 5, eps_t: float | None = None, strategy: str = "local", metric: str = "l2", delta_mean: float | None = None, value_col: str = "t_ms") -> DataFrame:
-    """Adds cluster_id (null: noise) and role. local: one group per slice; grid: joins of tiles, for slices of any size."""
+    """Adds cluster_id (null: noise) and role. local: one group per slice; grid: joins of cells, for slices of any size (without the guard of ``delta_mean``)."""
     if strategy == "grid":
-        return grid_clusters(trace, eps, min_pts, eps_t)
+        if delta_mean is not None:
+            raise ValueError("the guard on the mean goes through a cluster in order; use strategy='local'")
+        return grid_clusters(trace, eps, min_pts, eps_t, metric)
     if strategy != "local":
         raise ValueError(f"unknown strategy {strategy!r}")
+    if metric not in SIDES:
+        raise ValueError(f"unknown metric {metric!r}; one of {sorted(SIDES)}")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        ids = pdf["sample_id"].to_numpy()
-        root, core, border = label(ids, pdf["x"].to_numpy(float), pdf["y"].to_numpy(float), eps, min_pts, pdf["t_ms"].to_numpy(), eps_t, metric)
+        ids, x, y = pdf["sample_id"].to_numpy(), pdf["x"].to_numpy(float), pdf["y"].to_numpy(float)
+        with np.errstate(invalid="ignore"):
+            root, core, border = label(ids, x, y, eps, min_pts, pdf["t_ms"].to_numpy(float), eps_t, metric)
         if delta_mean is not None:
             root = drift_guard(root, ids, pdf[value_col].to_numpy(float), delta_mean)
         inside = root >= 0
@@ -106,35 +132,89 @@ def neighbour_counts(trace: DataFrame, eps: float, eps_t: float | None = None) -
     return neighbour_pairs(trace, eps, eps_t).groupBy("session_id", "seg", F.col("i").alias("sample_id")).agg(F.count("*").alias("neighbours"))
 
 
-def _kept(df: DataFrame, name: str) -> DataFrame:
-    """Written to the folder all executors share, so that loops don't grow the plan."""
-    spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        return df.checkpoint() if spark.sparkContext._jsc.sc().getCheckpointDir().isDefined() else df
-    path = f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def grid_clusters(trace: DataFrame, eps: float, min_pts: int, eps_t: float | None = None, max_rounds: int = 100) -> DataFrame:
-    """Tiles of side ``eps``; labels spread by the smallest label around with pointer jumping until none changes."""
-    key = ["session_id", "seg"]
-    pairs = _kept(neighbour_pairs(trace, eps, eps_t), "pairs")
-    cores = pairs.groupBy(*key, "i").agg(F.count("*").alias("n")).where(F.col("n") >= min_pts).select(*key, "i")
-    links = _kept(pairs.join(cores, [*key, "i"], "left_semi").join(cores.withColumnRenamed("i", "j"), [*key, "j"], "left_semi").select(*key, "i", "j"), "links")
-    labels = _kept(links.groupBy(*key, "i").agg(F.min("j").alias("label")), "labels")
+#: Side of a cell whose samples are all within 1 of each other, by metric.
+SIDES = {"l2": 0.5**0.5, "l1": 0.5, "linf": 1.0}
+
+
+def _distance(metric: str) -> Column:
+    """A value that orders pairs (x1, y1), (x2, y2) by distance; squared for l2."""
+    dx, dy = F.col("x1") - F.col("x2"), F.col("y1") - F.col("y2")
+    if metric == "l2":
+        return dx * dx + dy * dy
+    return F.abs(dx) + F.abs(dy) if metric == "l1" else F.greatest(F.abs(dx), F.abs(dy))
+
+
+def _settle(edges: DataFrame, nodes: DataFrame, key: list[str], max_rounds: int) -> DataFrame:
+    """(key, cell, top) for all nodes: the smallest cell of each one's component, by spreading minima with pointer jumping."""
+    edges = keep(edges.unionByName(edges.select(*key, F.col("b").alias("a"), F.col("a").alias("b"))).unionByName(nodes.select(*key, F.col("cell").alias("a"), F.col("cell").alias("b"))).distinct(), "edges")
+    tops = keep(edges.groupBy(*key, F.col("a").alias("cell")).agg(F.min("b").alias("top")), "tops")
     for _ in range(max_rounds):
-        around = links.join(labels.select(*key, F.col("i").alias("j"), "label"), [*key, "j"]).groupBy(*key, "i").agg(F.min("label").alias("label"))
-        jump = around.alias("a").join(around.select(*key, F.col("i").alias("label"), F.col("label").alias("further")), [*key, "label"], "left")
-        nxt = _kept(jump.select(*key, "i", F.least("label", F.coalesce("further", "label")).alias("label")), "labels")
-        moved = nxt.join(labels.withColumnRenamed("label", "old"), [*key, "i"]).where("label <> old").limit(1).count()
-        labels = nxt
-        if not moved:
-            break
-    named = labels.withColumnRenamed("label", "cluster_id")
-    edge = pairs.join(named.select(*key, F.col("i").alias("j"), "cluster_id"), [*key, "j"]).join(named.select(*key, "i"), [*key, "i"], "left_anti")
-    border = edge.groupBy(*key, "i").agg(F.min_by("cluster_id", F.struct("d2", "j")).alias("cluster_id"))
+        around = edges.join(tops.select(*key, F.col("cell").alias("b"), "top"), [*key, "b"]).groupBy(*key, F.col("a").alias("cell")).agg(F.min("top").alias("top"))
+        jump = around.join(tops.select(*key, F.col("cell").alias("top"), F.col("top").alias("further")), [*key, "top"], "left")
+        nxt = keep(jump.select(*key, "cell", F.least("top", F.coalesce("further", "top")).alias("top")), "tops")
+        if nxt.join(tops.withColumnRenamed("top", "old"), [*key, "cell"]).where("top <> old").isEmpty():
+            return nxt
+        tops = nxt
+    raise RuntimeError(f"components did not settle in {max_rounds} rounds")
+
+
+def grid_clusters(trace: DataFrame, eps: float, min_pts: int, eps_t: float | None = None, metric: str = "l2", max_rounds: int = 100) -> DataFrame:
+    """Clusters by cells so small that the samples of one are all neighbours (and, with ``eps_t``, as short in time).
+
+    A cell with ``min_pts`` samples holds cores only, so pairs are formed just for the samples
+    of the other cells, of which a cell has fewer than ``min_pts``: their number grows with
+    the samples. Two full cells near each other are compared as wholes, no pair leaves that
+    comparison. Components are those of cells, not of samples.
+    """
+    if metric not in SIDES:
+        raise ValueError(f"unknown metric {metric!r}; one of {sorted(SIDES)}")
+    key, side, limit = ["session_id", "seg"], eps * SIDES[metric], eps * eps if metric == "l2" else eps
+    reach = 1 if metric == "linf" else 2
+    spot = F.array(F.floor(F.col("x") / side).cast("long"), F.floor(F.col("y") / side).cast("long"), (F.floor(F.col("t_ms") / eps_t) if eps_t else F.lit(0)).cast("long"))
+    some = F.col("x").isNotNull() & F.col("y").isNotNull() & F.col("t_ms").isNotNull()
+    rows = trace.where(some).select(*key, F.col("sample_id").alias("i"), F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"), F.col("t_ms").alias("t"), spot.alias("cell"))
+    sizes = rows.groupBy(*key, "cell").agg(F.count("*").alias("in_cell"))
+    rows = keep(rows.join(sizes, [*key, "cell"]), "cells")
+    full = rows.where(F.col("in_cell") >= min_pts)
+    steps = [(a, b, c) for a in range(-reach, reach + 1) for b in range(-reach, reach + 1) for c in ((-1, 0, 1) if eps_t else (0,))]
+    around = F.array(*[F.array(F.col("cell")[0] + a, F.col("cell")[1] + b, F.col("cell")[2] + c) for a, b, c in steps])
+    sparse = rows.where(F.col("in_cell") < min_pts).select(*key, F.col("i").alias("i"), F.col("x").alias("x1"), F.col("y").alias("y1"), F.col("t").alias("t1"), F.col("cell").alias("home"), F.explode(around).alias("cell"))
+    met = sparse.join(rows.select(*key, "cell", F.col("i").alias("j"), F.col("x").alias("x2"), F.col("y").alias("y2"), F.col("t").alias("t2"), "in_cell"), [*key, "cell"]).withColumn("d", _distance(metric)).where(F.col("d") <= limit)
+    if eps_t:
+        met = met.where(F.abs(F.col("t1") - F.col("t2")) <= eps_t)
+    met = keep(met.select(*key, "i", "j", "d", "home", "cell", "in_cell"), "pairs")
+    few = met.groupBy(*key, "i").agg(F.count("*").alias("n")).where(F.col("n") >= min_pts).select(*key, "i")
+    cores = keep(full.select(*key, "i", "cell").unionByName(rows.where(F.col("in_cell") < min_pts).join(few, [*key, "i"], "left_semi").select(*key, "i", "cell")), "cores")
+    core_j = cores.select(*key, F.col("i").alias("j"))
+    to_core = met.join(core_j, [*key, "j"], "left_semi")
+    edges = to_core.join(few, [*key, "i"], "left_semi").select(*key, F.col("home").alias("a"), F.col("cell").alias("b")).distinct()
+    dense = full.select(*key, "cell").distinct()
+    forward = F.array(*[F.array(F.col("cell")[0] + a, F.col("cell")[1] + b, F.col("cell")[2] + c) for a, b, c in steps if (a, b, c) > (0, 0, 0)])
+    pairs = dense.select(*key, F.col("cell").alias("a"), F.explode(forward).alias("b")).join(dense.withColumnRenamed("cell", "b"), [*key, "b"])
+    left = full.select(*key, F.col("cell").alias("a"), "x", "y", "t").join(pairs, [*key, "a"]).withColumn("first", F.lit(True))
+    right = full.select(*key, F.col("cell").alias("b"), "x", "y", "t").join(pairs, [*key, "b"]).withColumn("first", F.lit(False))
+
+    def touch(pdf: pd.DataFrame) -> pd.DataFrame:
+        x, y, t = (pdf[c].to_numpy(float) for c in ("x", "y", "t"))
+        one, two = np.flatnonzero(pdf["first"]), np.flatnonzero(~pdf["first"])
+        for k in range(0, len(one), max(1, CELLS // max(len(two), 1))):
+            r = one[k : k + max(1, CELLS // max(len(two), 1))]
+            near = _apart(x, y, metric, r, two) <= limit
+            if eps_t:
+                near &= np.abs(t[r][:, None] - t[two][None, :]) <= eps_t
+            if near.any():
+                return pdf.iloc[:1][[*key, "a", "b"]]
+        return pdf.iloc[:0][[*key, "a", "b"]]
+
+    shape = [*key, "a", "b", "x", "y", "t", "first"]
+    kind = {f.name: f.dataType.simpleString() for f in trace.schema.fields}
+    touching = left.select(shape).unionByName(right.select(shape)).groupBy(*key, "a", "b").applyInPandas(touch, ", ".join(f"{c} {kind[c]}" for c in key) + ", a array<long>, b array<long>")
+    tops = _settle(edges.unionByName(touching), cores.select(*key, "cell").distinct(), key, max_rounds)
+    named = cores.join(tops, [*key, "cell"])
+    names = named.groupBy(*key, "top").agg(F.min("i").alias("cluster_id"))
+    named = keep(named.join(names, [*key, "top"]).select(*key, "i", "cluster_id"), "named")
+    edge = to_core.join(few, [*key, "i"], "left_anti").join(named.select(*key, F.col("i").alias("j"), "cluster_id"), [*key, "j"])
+    border = edge.groupBy(*key, "i").agg(F.min_by("cluster_id", F.struct("d", "j")).alias("cluster_id"))
     found = named.select(*key, "i", "cluster_id", F.lit("core").alias("role")).unionByName(border.select(*key, "i", "cluster_id", F.lit("border").alias("role"))).withColumnRenamed("i", "sample_id")
     return trace.join(found, [*key, "sample_id"], "left").withColumn("role", F.coalesce("role", F.lit("noise"))).select(*trace.columns, "cluster_id", "role")
 

@@ -12,7 +12,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.similarity import SIM
+from ..functions.similarity import SIM, Attribute
+from .quadtree import placed
 
 
 @dataclass(frozen=True)
@@ -58,6 +59,7 @@ def facet_domain(points: DataFrame, spec: list[Facet]) -> DataFrame:
 
 
 def zero_vector(domain: DataFrame, sessions: DataFrame) -> DataFrame:
+    """A row per session and cell: the dense form, whose size is that of its result."""
     return sessions.select("session_id").distinct().join(domain).select("session_id", "attr", "val", F.lit(0.0).alias("raw"), F.lit(0.0).alias("weight"))
 
 
@@ -67,7 +69,7 @@ def increments(found: DataFrame, facets: DataFrame, delta: float = 1.0) -> DataF
 
 
 def normalise(vector: DataFrame, how: str = "share") -> DataFrame:
-    """Weights that sum to 1 a session, or stay 0 where nothing was ever added."""
+    """Weights that sum to 1 a session, or stay 0 where nothing was ever added. softmax takes all rows given, so untouched cells must be among them."""
     w = Window.partitionBy("session_id")
     raw, total = F.col("raw"), F.sum("raw").over(w)
     if how == "share":
@@ -81,14 +83,24 @@ def normalise(vector: DataFrame, how: str = "share") -> DataFrame:
     return vector.withColumn("weight", F.coalesce(out, F.lit(0.0)))
 
 
-def update_feedback(vector: DataFrame | None, found: DataFrame, facets: DataFrame, delta: float = 1.0, how: str = "share") -> DataFrame:
-    """The vector after one update: raw = weight before + delta per point and facet."""
-    add = increments(found, facets, delta)
-    if vector is None:
-        return normalise(add.withColumnRenamed("add", "raw"), how).select("session_id", "attr", "val", "raw", "weight")
-    old = vector.select("session_id", "attr", "val", F.col("weight").alias("old"))
-    both = old.join(add, ["session_id", "attr", "val"], "full").withColumn("raw", F.coalesce("old", F.lit(0.0)) + F.coalesce("add", F.lit(0.0)))
-    return normalise(both, how).select("session_id", "attr", "val", "raw", "weight")
+def _added(vector: DataFrame | None, add: DataFrame, how: str, domain: DataFrame | None) -> DataFrame:
+    """The vector after increments (session_id, attr, val, add), over all cells of the domain under softmax."""
+    cell = ["session_id", "attr", "val"]
+    raw = add.select(*cell, F.col("add").alias("raw"))
+    if vector is not None:
+        old = vector.select(*cell, F.col("weight").alias("old"))
+        raw = old.join(add, cell, "full").select(*cell, (F.coalesce("old", F.lit(0.0)) + F.coalesce("add", F.lit(0.0))).alias("raw"))
+    if how == "softmax":
+        dense = zero_vector(domain, raw).select(*cell)
+        raw = dense.join(raw, cell, "left").select(*cell, F.coalesce("raw", F.lit(0.0)).alias("raw"))
+    return normalise(raw, how).select(*cell, "raw", "weight")
+
+
+def update_feedback(vector: DataFrame | None, found: DataFrame, facets: DataFrame, delta: float = 1.0, how: str = "share", domain: DataFrame | None = None) -> DataFrame:
+    """The vector after one update: raw = weight before + delta per point and facet. ``domain`` (attr, val): the cells of softmax; else those of ``facets``."""
+    if how == "softmax" and domain is None:
+        domain = facets.select("attr", "val").distinct()
+    return _added(vector, increments(found, facets, delta), how, domain)
 
 
 def falls(before: DataFrame, after: DataFrame) -> DataFrame:
@@ -96,29 +108,45 @@ def falls(before: DataFrame, after: DataFrame) -> DataFrame:
     return before.select("session_id", "attr", "val", F.col("weight").alias("old")).join(after, ["session_id", "attr", "val"], "left").where(F.coalesce("raw", F.lit(0.0)) < F.col("old"))
 
 
-def nearest_points(places: DataFrame, points: DataFrame, tile: float = 50.0) -> DataFrame:
-    """(session_id, sample_id, point_id): the nearest point of each place within a tile around, by an equi-join of tiles; ties by id."""
-    at = lambda c: F.floor(F.col(c) / tile).cast("long")
+def nearest_points(places: DataFrame, points: DataFrame, tile: float = 50.0, reach: float | None = None) -> DataFrame:
+    """(session_id, sample_id, point_id): the nearest point of each place, ties by id.
+
+    Places and points meet on tiles; what has no point within a tile's side looks again in
+    tiles twice as wide, until all are answered or the side passes ``reach`` (None: until the
+    tile holds everything). A place or point without coordinates takes no part.
+    """
+    at = lambda c, side: F.floor(F.col(c) / side).cast("long")
     around = F.array(*[F.lit(k).cast("long") for k in (-1, 0, 1)])
-    home = points.select("point_id", F.col("x").alias("px"), F.col("y").alias("py"), at("x").alias("tx"), at("y").alias("ty"))
-    sent = places.select("session_id", "sample_id", "x", "y", F.explode(F.transform(around, lambda k: k + at("x"))).alias("tx"), at("y").alias("ty0")).withColumn("ty", F.explode(F.transform(around, lambda k: k + F.col("ty0"))))
+    home = points.where(placed()).select("point_id", F.col("x").alias("px"), F.col("y").alias("py"))
     d2 = (F.col("x") - F.col("px")) * (F.col("x") - F.col("px")) + (F.col("y") - F.col("py")) * (F.col("y") - F.col("py"))
-    near = sent.join(home, ["tx", "ty"]).withColumn("d2", d2).where(F.col("d2") <= tile * tile)
-    return near.groupBy("session_id", "sample_id").agg(F.min_by("point_id", F.struct("d2", "point_id")).alias("point_id"))
-
-
-def update_actions(vector: DataFrame | None, actions: DataFrame, points: DataFrame, facets: DataFrame, weights: dict[str, float], how: str = "share", tile: float = 50.0) -> DataFrame:
+    left, out = places.where(placed()).select("session_id", "sample_id", "x", "y"), None
+    box = left.select("x", "y").unionAll(home.select("px", "py")).agg(*[f(c) for c in ("x", "y") for f in (F.min, F.max)]).first()
+    widest = 0.0 if box[0] is None or home.isEmpty() else max(box[1] - box[0], box[3] - box[2], tile)
+    most = widest * 4 if reach is None else min(widest * 4, reach)
+    side = float(tile)
+    while True:
+        sent = left.select("session_id", "sample_id", "x", "y", F.explode(F.transform(around, lambda k: k + at("x", side))).alias("tx"), at("y", side).alias("ty0")).withColumn("ty", F.explode(F.transform(around, lambda k: k + F.col("ty0"))))
+        near = sent.join(home.select("*", at("px", side).alias("tx"), at("py", side).alias("ty")), ["tx", "ty"]).withColumn("d2", d2).where(F.col("d2") <= side * side)
+        found = near.groupBy("session_id", "sample_id").agg(F.min_by("point_id", F.struct("d2", "point_id")).alias("point_id"))
+        out = found if out is None else out.unionByName(found)
+        side *= 2
+        if side > most:
+            return out
+        left = left.join(found, ["session_id", "sample_id"], "left_anti")
+        if left.isEmpty():
+            return out
+
+
+def update_actions(vector: DataFrame | None, actions: DataFrame, points: DataFrame, facets: DataFrame, weights: dict[str, float], how: str = "share", tile: float = 50.0, reach: float | None = None, domain: DataFrame | None = None) -> DataFrame:
     """Explicit feedback: each action adds its weight to the facets of the nearest point; actions with weight 0 or less are left out."""
     told = {k: v for k, v in weights.items() if v > 0}
     w = F.create_map(*[F.lit(x) for kv in told.items() for x in kv])
     chosen = actions.where(F.col("modality").isin(list(told)))
-    near = nearest_points(chosen, points, tile).join(chosen.select("session_id", "sample_id", w[F.col("modality")].cast("double").alias("add")), ["session_id", "sample_id"])
+    near = nearest_points(chosen, points, tile, reach).join(chosen.select("session_id", "sample_id", w[F.col("modality")].cast("double").alias("add")), ["session_id", "sample_id"])
     add = near.join(facets, "point_id").groupBy("session_id", "attr", "val").agg(F.sum("add").alias("add"))
-    if vector is None:
-        return normalise(add.withColumnRenamed("add", "raw"), how).select("session_id", "attr", "val", "raw", "weight")
-    old = vector.select("session_id", "attr", "val", F.col("weight").alias("old"))
-    both = old.join(add, ["session_id", "attr", "val"], "full").withColumn("raw", F.coalesce("old", F.lit(0.0)) + F.coalesce("add", F.lit(0.0)))
-    return normalise(both, how).select("session_id", "attr", "val", "raw", "weight")
+    if how == "softmax" and domain is None:
+        domain = facets.select("attr", "val").distinct()
+    return _added(vector, add, how, domain)
 
 
 def irrelevant_cells(vector: DataFrame) -> DataFrame:
@@ -165,6 +193,33 @@ def similarity_to_vector(points: DataFrame, vector: DataFrame, spec: list[Facet]
     return points.select("point_id", signature_name(signature(spec)).alias("sig")).join(scored, "sig").select("session_id", "point_id", "sim")
 
 
+def profile(found: DataFrame, points: DataFrame, also: list[Attribute]) -> DataFrame:
+    """(session_id, expected_<attr>, ...): what the matched points of a session have on average, by attribute."""
+    met = found.select("session_id", "point_id").distinct().join(points.select("point_id", *dict.fromkeys(a.column for a in also)), "point_id")
+    out = met.select("session_id").distinct()
+    for a in also:
+        out = out.join(a.expected(met).withColumnRenamed("session_id", "of"), F.col("session_id") == F.col("of"), "left").drop("of")
+    return out
+
+
+def mixed_similarity(points: DataFrame, vector: DataFrame, found: DataFrame, spec: list[Facet], also: list[Attribute], most: int = 10_000, **how) -> DataFrame:
+    """(session_id, point_id, sim): the mean over facet attributes (against the vector) and further attributes (against the profile).
+
+    Sessions are the queries of a scan over all points; they travel, so their number is
+    checked against ``most``.
+    """
+    asked = profile(found, points, also)
+    if asked.limit(most + 1).count() > most:
+        raise ValueError(f"more than {most} sessions at once")
+    scored = signature_similarity(signatures(points, spec), vector, **how).withColumnRenamed("sim", "facet_sim")
+    named = points.select("point_id", signature(spec).alias("facets"), *dict.fromkeys(a.column for a in also)).withColumn("sig", signature_name(F.col("facets")))
+    met = named.join(F.broadcast(asked)).join(scored, ["session_id", "sig"])
+    parts = [F.col("facet_sim") * F.size(F.array_distinct(F.transform("facets", lambda f: f["attr"]))), *[a.similarity(F.col(a.column), F.col(f"expected_{a.attr}")) for a in also]]
+    known = [F.size(F.array_distinct(F.transform("facets", lambda f: f["attr"]))), *[a.known(F.col(a.column), F.col(f"expected_{a.attr}")).cast("int") for a in also]]
+    total, number = sum((F.coalesce(p, F.lit(0.0)) for p in parts), F.lit(0.0)), sum(known, F.lit(0))
+    return met.select("session_id", "point_id", F.round(F.coalesce(F.try_divide(total, number), F.lit(0.0)), 12).alias("sim"))
+
+
 def preference_drift(log: DataFrame, grain: str = "month") -> DataFrame:
     """Change of each cell's mean weight from one period to the next; ``log`` has ``at`` (timestamp)."""
     mean = log.groupBy("session_id", "attr", "val", F.date_trunc(grain, "at").alias("period")).agg(F.avg("weight").alias("weight"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 from itertools import combinations
 
 import numpy as np
@@ -11,9 +12,15 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.distance import diversity_np, geo_distance_np
-from ..functions.similarity import shared_facets
+from ..functions.similarity import Attribute, shared_facets
+from ..keep import keep
 from .feedback import Facet, signature, signature_name, signature_similarity, signatures
 
+#: Candidates whose distances are taken at once.
+BLOCK = 512
+#: Stands for the signature of no point in particular.
+NO_SIGNATURE = "\0"
+#: Rows of a list that are read first where no budget says how many a search can use.
 DEPTH = 4096
 #: Full lists are quadratic; refuse them beyond so many points.
 MAX_FULL = 20_000
@@ -28,50 +35,110 @@ def candidates(points: DataFrame, found: DataFrame, search: str = "unseen") -> D
     return points.join(found.select("point_id").distinct(), "point_id", "left_anti")
 
 
+def signature_lists(rows: DataFrame, asked: DataFrame, most: int) -> DataFrame:
+    """(my_sig, r, point_id, ..., sim): the first ``most`` points by similarity, then id, for each signature (my_sig, mine) asked.
+
+    ``rows`` carry point_id, facets and sig. Signatures that share a facet meet on it; levels
+    of similarity are taken until they hold ``most`` points, and of a signature only its first
+    ``most`` points go on, so neither points nor all pairs of signatures meet the asked ones.
+    """
+    kinds = rows.groupBy("sig").agg(F.first("facets").alias("facets"), F.count("*").alias("n"))
+    mine = asked.select("my_sig", F.size("mine").alias("my_size"), F.explode("mine").alias("f"))
+    theirs = kinds.select("sig", "n", F.size("facets").alias("size"), F.explode("facets").alias("f"))
+    met = mine.join(theirs, "f").groupBy("my_sig", "sig").agg(F.count("*").alias("both"), F.first("my_size").alias("my_size"), F.first("size").alias("size"), F.first("n").alias("n"))
+    sims = met.select("my_sig", "sig", "n", F.round(F.col("both") / F.greatest("my_size", "size"), 12).alias("sim"))
+    held = asked.select("my_sig").join(sims.groupBy("my_sig").agg(F.sum("n").alias("held")), "my_sig", "left")
+    short = held.where(F.coalesce("held", F.lit(0)) < most).select("my_sig")  # these go on with what shares nothing
+    none = short.join(kinds.select("sig", "n")).join(sims.select("my_sig", "sig"), ["my_sig", "sig"], "left_anti").select("my_sig", "sig", "n", F.lit(0.0).alias("sim"))
+    sims = sims.unionByName(none)
+    level = Window.partitionBy("my_sig").orderBy(F.col("sim").desc())
+    sims = sims.withColumn("before", F.sum("n").over(level) - F.sum("n").over(Window.partitionBy("my_sig", "sim"))).where(F.col("before") < most)
+    few = rows.drop("facets").withColumn("in_sig", F.row_number().over(Window.partitionBy("sig").orderBy("point_id"))).where(F.col("in_sig") <= most)
+    lists = sims.select("my_sig", "sig", "sim").join(few, "sig").drop("sig", "in_sig")
+    return lists.withColumn("r", F.row_number().over(Window.partitionBy("my_sig").orderBy(F.col("sim").desc(), "point_id"))).where(F.col("r") <= most)
+
+
 def build_neighbours(points: DataFrame, spec: list[Facet], strategy: str = "signature", depth: int | None = None) -> DataFrame:
     """Similarity-ordered lists of all points: (owner, rank, point_id, sim).
 
-    full: all pairs of points, small tables only. signature: pairs of facet combinations,
-    expanded to points and cut at ``depth`` per owner; equal results.
+    full: all pairs of points, small tables only. signature: one list per facet combination,
+    cut at ``depth`` and handed to its points; equal results. Without ``depth`` every point is
+    in every list, so small tables only.
     """
     rows = points.select("point_id", signature(spec).alias("facets"))
     order = Window.partitionBy("owner").orderBy(F.col("sim").desc(), "point_id")
+    if (strategy == "full" or depth is None) and points.limit(MAX_FULL + 1).count() > MAX_FULL:
+        raise ValueError(f"full lists of more than {MAX_FULL} points; use strategy='signature' and a depth")
     if strategy == "full":
-        if points.limit(MAX_FULL + 1).count() > MAX_FULL:
-            raise ValueError(f"full lists of more than {MAX_FULL} points; use strategy='signature'")
         a, b = rows.toDF("owner", "facets_a"), rows.toDF("point_id", "facets_b")
         pairs = a.join(b, F.col("owner") != F.col("point_id")).select("owner", "point_id", F.round(shared_facets(F.col("facets_a"), F.col("facets_b")), 12).alias("sim"))
     elif strategy == "signature":
         named = rows.withColumn("sig", signature_name(F.col("facets")))
-        sigs = named.groupBy("sig").agg(F.first("facets").alias("facets"))
-        a, b = sigs.toDF("sig_a", "facets_a"), sigs.toDF("sig_b", "facets_b")
-        sims = a.join(b).select("sig_a", "sig_b", F.round(shared_facets(F.col("facets_a"), F.col("facets_b")), 12).alias("sim"))
-        pairs = named.select(F.col("point_id").alias("owner"), F.col("sig").alias("sig_a")).join(sims, "sig_a").join(named.select("point_id", F.col("sig").alias("sig_b")), "sig_b").where("owner <> point_id").select("owner", "point_id", "sim")
+        asked = named.groupBy(F.col("sig").alias("my_sig")).agg(F.first("facets").alias("mine"))
+        lists = signature_lists(named, asked, (depth or MAX_FULL) + 1)
+        pairs = named.select(F.col("point_id").alias("owner"), F.col("sig").alias("my_sig")).join(lists, "my_sig").where("owner <> point_id").select("owner", "point_id", "sim")
     else:
         raise ValueError(f"unknown strategy {strategy!r}")
     lists = pairs.withColumn("rank", F.row_number().over(order))
     return (lists.where(F.col("rank") <= depth) if depth else lists).select("owner", "rank", "point_id", "sim")
 
 
-def list_on_demand(points: DataFrame, spec: list[Facet], owner: int, depth: int = DEPTH, unseen: DataFrame | None = None) -> DataFrame:
-    """The list of one point: a scan with a heap of ``depth`` rows. ``unseen`` drops matched points before the cut."""
+def list_on_demand(points: DataFrame, spec: list[Facet], owners: DataFrame | int, depth: int = DEPTH, unseen: DataFrame | None = None, also: list[Attribute] | None = None, most: int = 10_000) -> DataFrame:
+    """(owner, rank, point_id, lat, lon, sim): the lists of some points, by one scan over all. ``unseen`` drops matched points before the cut.
+
+    Owners (a table with point_id, or one id) are the queries; they travel, so their number is
+    checked against ``most``. Similarity is the mean over facets and further attributes.
+    """
+    more = list(dict.fromkeys(a.column for a in also or []))
     rows = points if unseen is None else points.join(unseen.select("point_id").distinct(), "point_id", "left_anti")
-    mine = points.where(F.col("point_id") == owner).select(signature(spec).alias("mine"))
-    scored = rows.where(F.col("point_id") != owner).join(F.broadcast(mine.limit(1))).select("point_id", "lat", "lon", F.round(shared_facets(F.col("mine"), signature(spec)), 12).alias("sim"))
-    top = scored.orderBy(F.col("sim").desc(), "point_id").limit(depth)
-    return top.withColumn("rank", F.row_number().over(Window.orderBy(F.col("sim").desc(), "point_id")))
+    wanted = points.where(F.col("point_id") == owners) if isinstance(owners, int) else points.join(owners.select("point_id").distinct(), "point_id", "left_semi")
+    mine = wanted.select(F.col("point_id").alias("owner"), signature(spec).alias("mine"), *[F.col(c).alias(f"my_{c}") for c in more])
+    if mine.limit(most + 1).count() > most:
+        raise ValueError(f"more than {most} owners at once")
+    met = rows.select("point_id", "lat", "lon", signature(spec).alias("facets"), *more).join(F.broadcast(mine), F.col("owner") != F.col("point_id"))
+    sim = shared_facets(F.col("mine"), F.col("facets"))
+    if also:
+        n = F.greatest(F.size("mine"), F.size("facets"))
+        total, number = sim * n, n
+        for a in also:
+            total = total + F.coalesce(a.similarity(F.col(f"my_{a.column}"), F.col(a.column)), F.lit(0.0))
+            number = number + a.known(F.col(f"my_{a.column}"), F.col(a.column)).cast("int")
+        sim = F.coalesce(F.try_divide(total, number), F.lit(0.0))
+    scored = met.select("owner", "point_id", "lat", "lon", F.round(sim, 12).alias("sim"))
+    rank = F.row_number().over(Window.partitionBy("owner").orderBy(F.col("sim").desc(), "point_id"))
+    return scored.withColumn("rank", rank).where(F.col("rank") <= depth).select("owner", "rank", "point_id", "lat", "lon", "sim")
+
+
+def approximate_lists(points: DataFrame, column: str, owners: DataFrame | None = None, tables: int = 10, bucket: float = 1.2, depth: int = 20) -> DataFrame:
+    """Lists of vectors by random projections: (owner, rank, point_id, sim = -distance).
+
+    Every row is indexed; owners (default: all points) ask. An owner that meets fewer than
+    ``depth`` rows in its buckets is compared with all rows instead. Recall grows with
+    ``tables`` and ``bucket``; it is measured by ``measures.list_recall``.
+    """
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector, vector_to_array
 
+    rows = points.where(F.col(column).isNotNull()).select("point_id", F.col(column).cast("array<double>").alias("e"))
+    asked = rows if owners is None else rows.join(owners.select("point_id").distinct(), "point_id", "left_semi")
+    model = BucketedRandomProjectionLSH(inputCol="v", outputCol="h", numHashTables=tables, bucketLength=bucket, seed=7).fit(rows.limit(1).withColumn("v", array_to_vector("e")))  # takes only the dimension
 
-def approximate_lists(points: DataFrame, column: str, tables: int = 8, bucket: float = 1.0, within: float = 1.2, depth: int = 20) -> DataFrame:
-    """Lists of vectors by random projections: (owner, rank, point_id, sim = -distance)."""
-    from pyspark.ml.feature import BucketedRandomProjectionLSH
-    from pyspark.ml.functions import array_to_vector
+    def keyed(df: DataFrame, name: str) -> DataFrame:
+        hashed = model.transform(df.withColumn("v", array_to_vector("e")))
+        return hashed.select(F.col("point_id").alias(name), F.posexplode("h").alias("t", "b")).select(name, "t", vector_to_array("b")[0].alias("b"))
 
-    rows = points.select("point_id", array_to_vector(F.col(column)).alias("v"))
-    model = BucketedRandomProjectionLSH(inputCol="v", outputCol="h", numHashTables=tables, bucketLength=bucket, seed=7).fit(rows)
-    pairs = model.approxSimilarityJoin(rows, rows, within, "d").select(F.col("datasetA.point_id").alias("owner"), F.col("datasetB.point_id").alias("point_id"), (-F.col("d")).alias("sim")).where("owner <> point_id")
+    met = keyed(asked, "owner").join(keyed(rows, "point_id"), ["t", "b"]).where("owner <> point_id").select("owner", "point_id").distinct()
+    a, b = rows.toDF("owner", "e1"), rows.toDF("point_id", "e2")
+    far = F.sqrt(F.aggregate(F.zip_with("e1", "e2", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
     w = Window.partitionBy("owner").orderBy(F.round("sim", 12).desc(), "point_id")
-    return pairs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= depth).select("owner", "rank", "point_id", "sim")
+
+    def ranked(pairs: DataFrame) -> DataFrame:
+        return pairs.select("owner", "point_id", (-far).alias("sim")).withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= depth).select("owner", "rank", "point_id", "sim")
+
+    some = keep(ranked(met.join(a, "owner").join(b, "point_id")))
+    few = asked.select(F.col("point_id").alias("owner")).join(some.groupBy("owner").agg(F.count("*").alias("n")).where(F.col("n") >= depth), "owner", "left_anti")
+    rest = ranked(a.join(few, "owner", "left_semi").join(b, F.col("owner") != F.col("point_id")))
+    return some.join(few, "owner", "left_anti").unionByName(rest)
 
 
 class ListCursor:
@@ -84,87 +151,119 @@ class ListCursor:
         return next(self._rows, None)
 
 
-def anchors(points: DataFrame, vector: DataFrame, spec: list[Facet], found: DataFrame | None = None, **how) -> DataFrame:
+def _first_unseen(named: DataFrame, seen: DataFrame) -> DataFrame:
+    """(session_id, sig, point_id): the smallest unseen point of each signature a session has met; none if all were met.
+
+    A signature's points are numbered by id, but only as many as one session has met of one,
+    and one more; the first number a session lacks is its answer.
+    """
+    most = seen.groupBy("session_id", "sig").agg(F.count("*").alias("n")).agg(F.coalesce(F.max("n"), F.lit(0))).first()[0] + 1
+    ranked = named.withColumn("r", F.row_number().over(Window.partitionBy("sig").orderBy("point_id"))).where(F.col("r") <= most)
+    met = seen.join(ranked.select("point_id", "sig", "r"), ["point_id", "sig"], "left")
+    met = met.withColumn("k", F.row_number().over(Window.partitionBy("session_id", "sig").orderBy(F.col("r").asc_nulls_last())))
+    gap = met.groupBy("session_id", "sig").agg(F.coalesce(F.min(F.when(F.col("r").isNull() | (F.col("r") > F.col("k")), F.col("k"))), F.count("*") + 1).alias("r"))
+    return gap.join(ranked, ["sig", "r"]).select("session_id", "sig", "point_id")
+
+
+def anchors(points: DataFrame, vector: DataFrame, spec: list[Facet], found: DataFrame | None = None, sessions: DataFrame | None = None, **how) -> DataFrame:
     """(session_id, anchor, sim_f): the unseen point most similar to each session's vector; ties by id.
 
-    Signatures are scored against vectors; only matched points are kept per session, so no
-    product of sessions and points is made: a session walks its signatures by similarity,
-    and a signature's smallest unseen point is its smallest point unless that was matched.
+    A session of ``sessions`` without a vector finds all points equally dissimilar, so it
+    starts from its smallest unseen id. Signatures are scored against vectors; points meet
+    sessions only where matched.
     """
     named = points.select("point_id", signature_name(signature(spec)).alias("sig"))
     scored = signature_similarity(signatures(points, spec), vector, **how)
-    ids = named.groupBy("sig").agg(F.count("*").alias("n"), F.min("point_id").alias("first"))
+    if sessions is not None:
+        blank = sessions.select("session_id").distinct().join(vector.select("session_id").distinct(), "session_id", "left_anti")
+        named = named.unionByName(points.select("point_id", F.lit(NO_SIGNATURE).alias("sig")))
+        scored = scored.unionByName(blank.select("session_id", F.lit(NO_SIGNATURE).alias("sig"), F.lit(0.0).alias("sim")))
+    ids = named.groupBy("sig").agg(F.min("point_id").alias("first"))
+    best = scored.join(ids, "sig")
     if found is None:
-        best = scored.join(ids, "sig").withColumn("point_id", F.col("first"))
+        best = best.withColumn("point_id", F.col("first"))
     else:
-        seen = found.select("session_id", "point_id").distinct().join(named, "point_id")
-        gone = seen.groupBy("session_id", "sig").agg(F.count("*").alias("gone"))
-        left = scored.join(ids, "sig").join(gone, ["session_id", "sig"], "left").where(F.coalesce("gone", F.lit(0)) < F.col("n"))
-        touched = seen.select("session_id", "sig").distinct().join(named, "sig").join(seen.select("session_id", "point_id"), ["session_id", "point_id"], "left_anti")
-        first = touched.groupBy("session_id", "sig").agg(F.min("point_id").alias("unseen"))
-        best = left.join(first, ["session_id", "sig"], "left").withColumn("point_id", F.when(F.col("gone").isNull(), F.col("first")).otherwise(F.col("unseen")))
+        seen = keep(found.select("session_id", "point_id").distinct().join(named, "point_id").join(scored.select("session_id", "sig"), ["session_id", "sig"], "left_semi"))
+        touched = seen.select("session_id", "sig").distinct().withColumn("touched", F.lit(True))
+        left = _first_unseen(named, seen).withColumnRenamed("point_id", "unseen")
+        best = best.join(touched, ["session_id", "sig"], "left").join(left, ["session_id", "sig"], "left").withColumn("point_id", F.when(F.col("touched"), F.col("unseen")).otherwise(F.col("first"))).where("point_id is not null")
     return best.groupBy("session_id").agg(F.max_by(F.struct("point_id", "sim"), F.struct("sim", -F.col("point_id"))).alias("b")).select("session_id", F.col("b.point_id").alias("anchor"), F.col("b.sim").alias("sim_f"))
 
 
-def list_prefix(points: DataFrame, spec: list[Facet], starts: DataFrame, depth: int = DEPTH, found: DataFrame | None = None, include_anchor: bool = False) -> DataFrame:
-    """(session_id, rank, point_id, lat, lon, sim): the first ``depth`` unseen rows of each anchor's list.
+def list_prefix(points: DataFrame, spec: list[Facet], starts: DataFrame, depth: int | None = None, found: DataFrame | None = None, include_anchor: bool = False) -> DataFrame:
+    """(session_id, rank, point_id, lat, lon, sim): the first ``depth`` unseen rows of each anchor's list (None: all).
 
     Lists are taken per distinct anchor signature; a session's matched points are filtered
-    after reading ``depth`` plus their number.
+    after reading ``depth`` plus the most that one session has matched.
     """
     rows = points.select("point_id", "lat", "lon", signature(spec).alias("facets")).withColumn("sig", signature_name(F.col("facets")))
     mine = starts.join(rows.select(F.col("point_id").alias("anchor"), F.col("facets").alias("mine"), F.col("sig").alias("my_sig")), "anchor").select("session_id", "anchor", "mine", "my_sig")
-    gone = mine.select("session_id").withColumn("gone", F.lit(0)) if found is None else mine.select("session_id").join(found.select("session_id", "point_id").distinct().groupBy("session_id").agg(F.count("*").alias("gone")), "session_id", "left").select("session_id", F.coalesce("gone", F.lit(0)).alias("gone"))
-    sigs = rows.groupBy("sig").agg(F.first("facets").alias("facets"))
-    sims = mine.select("my_sig", "mine").dropDuplicates(["my_sig"]).join(sigs).select("my_sig", "sig", F.round(shared_facets(F.col("mine"), F.col("facets")), 12).alias("sim"))
-    most = gone.agg(F.coalesce(F.max("gone"), F.lit(0))).first()[0] + depth + 1
-    per_sig = sims.join(rows.select("point_id", "lat", "lon", "sig"), "sig").withColumn("r", F.row_number().over(Window.partitionBy("my_sig").orderBy(F.col("sim").desc(), "point_id"))).where(F.col("r") <= most)
-    lists = mine.select("session_id", "anchor", "my_sig").join(per_sig, "my_sig")
+    seen = None if found is None else found.select("session_id", "point_id").distinct()
+    if depth is None:
+        most = points.count() + 1
+    else:
+        most = depth + 1 + (0 if seen is None else seen.join(mine.select("session_id"), "session_id", "left_semi").groupBy("session_id").count().agg(F.coalesce(F.max("count"), F.lit(0))).first()[0])
+    lists = mine.select("session_id", "anchor", "my_sig").join(signature_lists(rows, mine.select("my_sig", "mine").dropDuplicates(["my_sig"]), most), "my_sig")
     if not include_anchor:
         lists = lists.where("point_id <> anchor")
-    if found is not None:
-        lists = lists.join(found.select("session_id", "point_id").distinct(), ["session_id", "point_id"], "left_anti")
+    if seen is not None:
+        lists = lists.join(seen, ["session_id", "point_id"], "left_anti")
     rank = F.row_number().over(Window.partitionBy("session_id").orderBy(F.col("sim").desc(), "point_id"))
-    return lists.withColumn("rank", rank).where(F.col("rank") <= depth).select("session_id", "rank", "point_id", "lat", "lon", "sim")
+    lists = lists.withColumn("rank", rank)
+    return (lists if depth is None else lists.where(F.col("rank") <= depth)).select("session_id", "rank", "point_id", "lat", "lon", "sim")
 
 
-def greedy(lat: np.ndarray, lon: np.ndarray, k: int, max_scans: int | None = None, time_limit_ms: float | None = None, swap: str = "first", metric: str = "haversine", sim: np.ndarray | None = None, min_sim: float | None = None, patience: int | None = None, curve: list | None = None) -> tuple[list[int], int, int]:
-    """(positions chosen, scans, swaps). Row sums of distances are kept, so a scan costs O(k)."""
-    n, chosen = len(lat), list(range(min(k, len(lat))))
-    if len(chosen) < 2:
-        return chosen, 0, 0
-    at = np.array(chosen)
+def greedy(lat: np.ndarray, lon: np.ndarray, k: int, max_scans: int | None = None, time_limit_ms: float | None = None, swap: str = "first", metric: str = "haversine", sim: np.ndarray | None = None, min_sim: float | None = None, patience: int | None = None, watch: Callable[[int, np.ndarray], None] | None = None) -> tuple[list[int], int, int]:
+    """(positions chosen, scans, swaps).
+
+    Candidates are scanned in order, a block of distances at a time; between two swaps the
+    chosen set stands still, so the next one that improves it is found at once. ``watch`` is
+    told the scans done and the chosen places before each swap and at the end.
+    """
+    if swap not in ("first", "best", "worst_out"):
+        raise ValueError(f"unknown swap rule {swap!r}")
+    n, at = len(lat), np.arange(min(k, len(lat)))
+    if len(at) < 2:
+        return at.tolist(), 0, 0
     d = geo_distance_np(lat[at][:, None], lon[at][:, None], lat[at][None, :], lon[at][None, :], metric)
     np.fill_diagonal(d, 0.0)
-    sums, scans, swaps, idle = d.sum(axis=1), 0, 0, 0
+    sums, c, swaps, idle = d.sum(axis=1), k, 0, 0
     end = None if time_limit_ms is None else time.perf_counter() + time_limit_ms / 1000
-    for c in range(k, n):
-        if (max_scans is not None and scans >= max_scans) or (end is not None and time.perf_counter() >= end):
-            break
-        if (min_sim is not None and sim is not None and sim[c] < min_sim) or (patience is not None and idle >= patience):
-            break
-        scans += 1
-        far = geo_distance_np(lat[c], lon[c], lat[at], lon[at], metric)
-        gain = far.sum() - far - sums
-        if swap == "first":
-            better = np.flatnonzero(gain > 1e-12)
-            slot = int(better[0]) if len(better) else -1
-        elif swap == "best":
-            slot = int(np.argmax(gain))
-        elif swap == "worst_out":
-            slot = int(np.argmin(sums))
-        else:
-            raise ValueError(f"unknown swap rule {swap!r}")
-        idle += 1
-        if slot >= 0 and gain[slot] > 1e-12:
-            far[slot] = 0.0
-            sums += far - d[slot]
-            sums[slot] = far.sum()
-            d[slot], d[:, slot] = far, far
-            at[slot], swaps, idle = c, swaps + 1, 0
-        if curve is not None:
-            curve.append(float(sums.sum() / (k * (k - 1))))
-    return at.tolist(), scans, swaps
+    stop = n if max_scans is None else min(n, k + max_scans)
+    if min_sim is not None and sim is not None:
+        low = np.flatnonzero(sim[k:stop] < min_sim)
+        stop = k + int(low[0]) if len(low) else stop
+    far, base = np.zeros((0, k)), k
+    while c < stop and (patience is None or idle < patience) and (end is None or time.perf_counter() < end):
+        if c >= base + len(far):
+            base = c
+            block = slice(base, min(stop, base + BLOCK))
+            far = geo_distance_np(lat[block][:, None], lon[block][:, None], lat[at][None, :], lon[at][None, :], metric)
+        gain = far[c - base :].sum(axis=1)[:, None] - far[c - base :] - sums
+        slots = np.argmin(sums)[None] if swap == "worst_out" else np.arange(k)
+        hit = np.flatnonzero((gain[:, slots] > 1e-12).any(axis=1))
+        ahead = int(hit[0]) if len(hit) else len(gain)
+        if patience is not None and idle + ahead >= patience:
+            ahead, hit = patience - idle, hit[:0]
+        c, idle = c + ahead, idle + ahead
+        if not len(hit):
+            continue
+        g = gain[ahead]
+        slot = int(slots[0]) if swap == "worst_out" else int(np.argmax(g)) if swap == "best" else int(np.flatnonzero(g > 1e-12)[0])
+        if watch is not None:
+            watch(c - k, at)
+        row = far[c - base].copy()
+        row[slot] = 0.0
+        sums += row - d[slot]
+        sums[slot] = row.sum()
+        d[slot], d[:, slot] = row, row
+        at[slot], swaps, idle = c, swaps + 1, 0
+        c += 1
+        rest = slice(c, base + len(far))
+        far[c - base :, slot] = geo_distance_np(lat[rest], lon[rest], lat[at[slot]], lon[at[slot]], metric)
+    if watch is not None:
+        watch(c - k, at)
+    return at.tolist(), c - k, swaps
 
 
 def greedy_highlights(prefix: DataFrame, k: int = 5, time_limit_ms: float | None = 200, max_scans: int | None = None, metric: str = "haversine", swap: str = "first", min_sim: float | None = None, patience: int | None = None) -> DataFrame:
@@ -183,20 +282,50 @@ def greedy_highlights(prefix: DataFrame, k: int = 5, time_limit_ms: float | None
     return prefix.groupBy("session_id").applyInPandas(run, SEARCH)
 
 
-def budget_curve(prefix: DataFrame, k: int, scans: list[int], metric: str = "haversine", swap: str = "first") -> DataFrame:
-    """(session_id, scans, diversity_km, diversity_norm, mean_sim) after so many scans; the norm is the whole list's result."""
+def search_highlights(points: DataFrame, spec: list[Facet], starts: DataFrame, found: DataFrame | None = None, k: int = 5, time_limit_ms: float | None = 200, max_scans: int | None = None, metric: str = "haversine", swap: str = "first", min_sim: float | None = None, patience: int | None = None, depth: int | None = None) -> DataFrame:
+    """k highlights a session, reading as much of its list as the search can use.
+
+    With ``max_scans`` that many rows and k are enough. Else ``depth`` (default DEPTH) rows are
+    read; sessions whose search came to the end of what was read, while the list went on, are
+    searched again with four times as many, until none is left.
+    """
+    if max_scans is not None:
+        return greedy_highlights(list_prefix(points, spec, starts, max_scans + k, found), k, time_limit_ms, max_scans, metric, swap, min_sim, patience)
+    depth, out = max(depth or DEPTH, k + 1), None
+    while True:
+        rows = keep(greedy_highlights(list_prefix(points, spec, starts, depth, found), k, time_limit_ms, None, metric, swap, min_sim, patience))
+        more = rows.where(F.col("scans") + k >= depth).select("session_id").distinct()
+        ready = rows.join(more, "session_id", "left_anti")
+        out = ready if out is None else out.unionByName(ready)
+        if more.isEmpty():
+            return out
+        starts, depth = starts.join(more, "session_id", "left_semi"), depth * 4
+
+
+def budget_curve(prefix: DataFrame, ks: list[int], scans: list[int], times_ms: list[float] | None = None, metric: str = "haversine", swap: str = "first") -> DataFrame:
+    """(session_id, k, scans, time_ms, diversity_km, diversity_norm, mean_sim) after so many scans, or so much time; scans -1 and time_ms -1: the end of the list, by whose result the norm divides.
+
+    One search to the end of the list gives all points of a curve.
+    """
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("rank")
         lat, lon, sim = (pdf[c].to_numpy(float) for c in ("lat", "lon", "sim"))
-        rows = []
-        for s in [*scans, len(pdf)]:
-            at, done, _ = greedy(lat, lon, k, s, None, swap, metric)
-            rows.append((s, done, diversity_np(lat[at], lon[at], metric), float(sim[at].mean()) if len(at) else 0.0))
-        best = rows[-1][2]
-        return pd.DataFrame([(pdf["session_id"].iloc[0], s, d, d / best if best > 0 else 0.0, m) for s, _, d, m in rows], columns=["session_id", "scans", "diversity_km", "diversity_norm", "mean_sim"])
-
-    return prefix.groupBy("session_id").applyInPandas(run, "session_id long, scans int, diversity_km double, diversity_norm double, mean_sim double")
+        out, session = [], pdf["session_id"].iloc[0]
+        for k in ks:
+            began, steps = time.perf_counter(), []
+            greedy(lat, lon, k, None, None, swap, metric, watch=lambda done, at: steps.append((done, (time.perf_counter() - began) * 1000, at.copy())))  # noqa: B023
+            steps = steps or [(0, 0.0, np.arange(min(k, len(pdf))))]
+            spread = [diversity_np(lat[at], lon[at], metric) for _, _, at in steps]
+            best = spread[-1]
+            # a step's set stands until the step's scan; what is chosen after s scans is the first whose end lies at or beyond s
+            marks = [(s, -1.0, next((i for i, x in enumerate(steps) if x[0] >= s), len(steps) - 1)) for s in scans] if times_ms is None else [(-1, t, next((i for i, x in enumerate(steps) if x[1] >= t), len(steps) - 1)) for t in times_ms]
+            for s, t, i in [*marks, (-1, -1.0, len(steps) - 1)]:
+                at = steps[i][2]
+                out.append((session, k, s, t, spread[i], spread[i] / best if best > 0 else 0.0, float(sim[at].mean()) if len(at) else 0.0))
+        return pd.DataFrame(out, columns=["session_id", "k", "scans", "time_ms", "diversity_km", "diversity_norm", "mean_sim"])
+
+    return prefix.groupBy("session_id").applyInPandas(run, "session_id long, k int, scans int, time_ms double, diversity_km double, diversity_norm double, mean_sim double")
 
 
 def exhaustive_highlights(prefix: DataFrame, k: int = 3, objective: str = "diversity", alpha: float = 0.5, metric: str = "haversine") -> DataFrame:

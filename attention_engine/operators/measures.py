@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.distance import diversity
+from ..functions.distance import diversity, geo_distance_np
+from .zones import outlines
 
 
 def sessions_of(trace: DataFrame) -> DataFrame:
@@ -49,9 +51,9 @@ def stats_table(rings: DataFrame, zones: DataFrame, found: DataFrame, sessions:
 
 
 def study_table(log: DataFrame) -> DataFrame:
-    """(role, task, start, seconds, interactions): means of finished runs with all margins (null: all)."""
-    ends = log.groupBy("role", "task", "start", "run").agg(F.max("seconds").alias("seconds"), F.max("iter").alias("iters"))
-    return ends.cube("role", "task", "start").agg(F.round(F.avg("seconds"), 6).alias("seconds"), F.round(F.avg("iters"), 6).alias("interactions"))
+    """(role, task, start, seconds, interactions, reached): means over runs with all margins (null: all); reached: the share of runs that met the goal, the others count as long as they were watched."""
+    ends = log.groupBy("role", "task", "start", "run").agg(F.max("seconds").alias("seconds"), F.max("iter").alias("iters"), F.max(F.col("done").cast("int")).alias("done"))
+    return ends.cube("role", "task", "start").agg(F.round(F.avg("seconds"), 6).alias("seconds"), F.round(F.avg("iters"), 6).alias("interactions"), F.round(F.avg("done"), 6).alias("reached"))
 
 
 def study_gaps(log: DataFrame) -> DataFrame:
@@ -100,12 +102,23 @@ def optimality(greedy: DataFrame, best: DataFrame) -> DataFrame:
 
 
 def diversity_norm(chosen: DataFrame, candidates: DataFrame, metric: str = "haversine", reference: DataFrame | None = None) -> DataFrame:
-    """best_found: divided by ``reference`` (session_id, best_km); without it max_pair: by the largest distance between two candidates."""
+    """best_found: divided by ``reference`` (session_id, best_km); without it max_pair: by the largest distance between two candidates, which are corners of their outline."""
     mine = diversity(chosen, metric=metric)
     if reference is not None:
         return mine.join(reference, "session_id").select("session_id", "diversity_km", F.coalesce(F.try_divide("diversity_km", "best_km"), F.lit(0.0)).alias("diversity_norm"))
-    from ..functions.distance import geo_distance
 
-    a, b = (candidates.select("session_id", *[F.col(c).alias(f"{c}_{k}") for c in ("lat", "lon")]) for k in (1, 2))
-    far = a.join(b, "session_id").groupBy("session_id").agg(F.max(geo_distance(F.col("lat_1"), F.col("lon_1"), F.col("lat_2"), F.col("lon_2"), metric)).alias("far"))
-    return mine.join(far, "session_id").select("session_id", "diversity_km", F.coalesce(F.try_divide("diversity_km", "far"), F.lit(0.0)).alias("diversity_norm"))
+    def widest(pdf: pd.DataFrame) -> pd.DataFrame:
+        lat, lon = pdf["lat"].to_numpy(float), pdf["lon"].to_numpy(float)
+        far = 0.0
+        for a in range(0, len(lat), 512):
+            far = max(far, float(geo_distance_np(lat[a : a + 512, None], lon[a : a + 512, None], lat[None, :], lon[None, :], metric).max()))
+        return pd.DataFrame({"session_id": [pdf["session_id"].iloc[0]], "far": [far]})
+
+    # the farthest two of a small area are corners of its outline
+    corners = outlines(candidates.select("session_id", F.lit(0).alias("seg"), F.lit(0).cast("long").alias("cluster_id"), F.col("lon").alias("x"), F.col("lat").alias("y")), two_stage=True)
+    rim = corners.select("session_id", F.explode("ring").alias("p")).select("session_id", F.col("p.x").alias("lon"), F.col("p.y").alias("lat"))
+    flat = candidates.join(corners.select("session_id"), "session_id", "left_anti").select("session_id", "lon", "lat")  # in one line: no outline
+    ends = flat.groupBy("session_id").agg(F.min(F.struct("lon", "lat")).alias("a"), F.max(F.struct("lon", "lat")).alias("b"))
+    rim = rim.unionByName(ends.select("session_id", "a.*")).unionByName(ends.select("session_id", "b.*"))
+    most = rim.groupBy("session_id").applyInPandas(widest, "session_id long, far double")
+    return mine.join(most, "session_id").select("session_id", "diversity_km", F.coalesce(F.try_divide("diversity_km", "far"), F.lit(0.0)).alias("diversity_norm"))

@@ -45,8 +45,8 @@ def thin_trace(trace: DataFrame, every_ms: int | None = 200, mode: str = "bucket
     raise ValueError(f"unknown mode {mode!r}")
 
 
-def segment_trace(trace: DataFrame, t_c: int | None = None, g: int = 3, mode: str = "half_open", width_ms: int | None = None) -> DataFrame:
-    """Adds ``seg``. half_open: g slices, the last closed at t_c; printed: g + 1 slices closed at both ends; ntile: g slices of equal counts; fixed: slices of ``width_ms``."""
+def segment_trace(trace: DataFrame, t_c: int | None = None, g: int = 3, mode: str = "half_open", width_ms: int | None = None, t_0: int | None = None) -> DataFrame:
+    """Adds ``seg``; with ``t_0`` only samples after it count, and the slices begin there. half_open: g slices, the last closed at t_c; printed: g + 1 slices closed at both ends; ntile: g slices of equal counts; fixed: slices of ``width_ms``."""
     if mode == "fixed" or width_ms is not None:
         return trace.withColumn("seg", F.floor(F.col("t_ms") / width_ms).cast("int"))
     if mode == "ntile":
@@ -54,13 +54,17 @@ def segment_trace(trace: DataFrame, t_c: int | None = None, g: int = 3, mode: st
         return trace.withColumn("seg", (F.ntile(g).over(w) - 1).cast("int"))
     if not t_c or t_c <= 0:
         return trace.withColumn("seg", F.lit(0))
-    trace = clip_trace(trace, t_c)
-    scaled = F.col("t_ms") * g
+    trace, since = clip_trace(trace, t_c), t_0 or 0
+    if t_0 is not None:
+        trace = trace.where(F.col("t_ms") > t_0)
+    scaled, span = (F.col("t_ms") - since) * g, t_c - since
+    if span <= 0:
+        return trace.limit(0).withColumn("seg", F.lit(0))
     if mode == "half_open":
-        return trace.withColumn("seg", F.least(F.floor(scaled / t_c), F.lit(g - 1)).cast("int"))
+        return trace.withColumn("seg", F.least(F.floor(scaled / span), F.lit(g - 1)).cast("int"))
     if mode == "printed":
-        seg = F.floor(scaled / t_c).cast("int")
-        both = F.when((F.pmod(scaled, F.lit(t_c)) == 0) & (F.col("t_ms") > 0), F.array(seg - 1, seg)).otherwise(F.array(seg))
+        seg = F.floor(scaled / span).cast("int")
+        both = F.when((F.pmod(scaled, F.lit(span)) == 0) & (F.col("t_ms") > since), F.array(seg - 1, seg)).otherwise(F.array(seg))
         return trace.withColumn("seg", F.explode(both))
     raise ValueError(f"unknown mode {mode!r}")
 

@@ -34,12 +34,14 @@ def outlines(clusters: DataFrame, algo: str = "quickhull", two_stage: bool = Fal
         members = clusters.where("cluster_id is not null").select(*KEY, F.lit(1).cast("long").alias("n"), "x", "y")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        ring = HULLS[algo](pdf[["x", "y"]].to_numpy(float))
-        if area_np(ring) <= 0:
-            return pd.DataFrame(columns=[*KEY, "n", "ring"])
-        return pd.DataFrame([(*(pdf[k].iloc[0] for k in KEY), pdf["n"].sum(), as_ring(ring))], columns=[*KEY, "n", "ring"])
-
-    rings = members.groupBy(*KEY).applyInPandas(run, f"session_id long, seg int, cluster_id long, n long, ring {RING}")
+        rows = []
+        for key, part in pdf.groupby(KEY):
+            ring = HULLS[algo](part[["x", "y"]].to_numpy(float))
+            if area_np(ring) > 0:
+                rows.append((*key, part["n"].sum(), as_ring(ring)))
+        return pd.DataFrame(rows, columns=[*KEY, "n", "ring"])
+
+    rings = members.groupBy("session_id", "seg").applyInPandas(run, f"session_id long, seg int, cluster_id long, n long, ring {RING}")
     return with_shape(rings)
 
 def with_shape(rings: DataFrame) -> DataFrame:
@@ -92,12 +94,13 @@ def merge_zones(zones: DataFrame) -> DataFrame:
 
     return zones.groupBy("session_id").applyInPandas(run, "session_id long, zone_id string, zone_group string")
 
-def discover_zones(trace: DataFrame, t_c: int, g: int = 3, eps: float = 20, min_pts: int = 5, every_ms: int | None = 200, recurrence: int = 2, min_area: float = 0.0, segments: str = "half_open", strategy: str = "local", cluster: str = "density", thin: str = "bucket", algo: str = "quickhull", eps_t: float | None = None) -> DataFrame:
+def discover_zones(trace: DataFrame, t_c: int, g: int = 3, eps: float = 20, min_pts: int = 5, every_ms: int | None = 200, recurrence: int = 2, min_area: float = 0.0, segments: str = "half_open", strategy: str = "local", cluster: str = "density", thin: str = "bucket", algo: str = "quickhull", eps_t: float | None = None, t_0: int | None = None) -> DataFrame:
     """From a trace to its attention zones. One shuffle by session serves thinning, slicing and local clusters."""
-    return attention_zones(discover_outlines(trace, t_c, g, eps, min_pts, every_ms, segments, strategy, cluster, thin, algo, eps_t), recurrence, min_area)
+    return attention_zones(discover_outlines(trace, t_c, g, eps, min_pts, every_ms, segments, strategy, cluster, thin, algo, eps_t, t_0), recurrence, min_area)
 
-def discover_outlines(trace: DataFrame, t_c: int, g: int = 3, eps: float = 20, min_pts: int = 5, every_ms: int | None = 200, segments: str = "half_open", strategy: str = "local", cluster: str = "density", thin: str = "bucket", algo: str = "quickhull", eps_t: float | None = None) -> DataFrame:
-    sliced = segment_trace(thin_trace(clip_trace(trace, t_c).repartition("session_id"), every_ms, thin), t_c, g, segments)
+def discover_outlines(trace: DataFrame, t_c: int, g: int = 3, eps: float = 20, min_pts: int = 5, every_ms: int | None = 200, segments: str = "half_open", strategy: str = "local", cluster: str = "density", thin: str = "bucket", algo: str = "quickhull", eps_t: float | None = None, t_0: int | None = None) -> DataFrame:
+    """Outlines of the clusters of each slice of (t_0, t_c]."""
+    sliced = segment_trace(thin_trace(clip_trace(trace, t_c).repartition("session_id"), every_ms, thin), t_c, g, segments, t_0=t_0)
     if cluster == "none":
         return slice_outlines(sliced)
     return outlines(density_clusters(sliced, eps, min_pts, eps_t, strategy), algo)

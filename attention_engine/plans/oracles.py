@@ -66,6 +66,10 @@ CHAIN: list[tuple[str, str]] = [
         SELECT session_id, zone_id, sum(x * y2 - x2 * y) / 2 AS area FROM (
           SELECT session_id, zone_id, x, y, coalesce(lead(x) OVER w, first_value(x) OVER w) AS x2, coalesce(lead(y) OVER w, first_value(y) OVER w) AS y2 FROM turn WINDOW w AS (PARTITION BY session_id, zone_id ORDER BY angle ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)
         ) GROUP BY ALL"""),
+    ("rim", """
+        SELECT session_id, zone_id, x, y, coalesce(lead(x) OVER w, first_value(x) OVER w) AS x2, coalesce(lead(y) OVER w, first_value(y) OVER w) AS y2 FROM (
+          SELECT *, atan2(y - avg(y) OVER v, x - avg(x) OVER v) AS angle FROM (SELECT DISTINCT session_id, zone_id, round(x, 7) AS x, round(y, 7) AS y FROM corner) WINDOW v AS (PARTITION BY session_id, zone_id)
+        ) WINDOW w AS (PARTITION BY session_id, zone_id ORDER BY angle ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)"""),
     ("pkey", "SELECT p_partkey AS point_id, CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INT) - 1 AS c, ((p_partkey * 7919) % 1000) / 1000.0::DOUBLE AS u, ((p_partkey * 104729) % 997) / 997.0::DOUBLE AS v, * FROM part"),
     ("pp", f"""
         SELECT point_id, -500.0::DOUBLE + 200.0::DOUBLE * (c % 5) + 200.0::DOUBLE * u * u AS x, -350.0::DOUBLE + 140.0::DOUBLE * (c // 5) + 140.0::DOUBLE * v AS y,
@@ -84,15 +88,16 @@ CHAIN: list[tuple[str, str]] = [
     ("seen", "SELECT DISTINCT session_id, point_id FROM found"),
     ("foundc", "SELECT DISTINCT a.session_id, a.point_id FROM inc a JOIN inc b ON a.session_id = b.session_id AND a.point_id = b.point_id AND a.seg < b.seg"),
     ("facet", "SELECT point_id, 'kind' AS attr, kind AS val FROM pp UNION ALL SELECT point_id, 'beds', beds FROM pp UNION ALL SELECT point_id, 'rating', rating FROM pp UNION ALL SELECT point_id, 'price', price_bin FROM pp"),
+    ("domain", "SELECT DISTINCT attr, val FROM facet UNION SELECT 'price', unnest(['<925', '<950', '<975', 'rest'])"),
     ("inc1", "SELECT s.session_id, f.attr, f.val, CAST(count(*) AS DOUBLE) AS add FROM seen s JOIN facet f ON s.point_id = f.point_id GROUP BY ALL"),
     ("fb", "SELECT session_id, attr, val, add AS raw, add / sum(add) OVER (PARTITION BY session_id) AS weight FROM inc1"),
     ("sig", "SELECT kind, beds, rating, price_bin, 'kind=' || kind || '|beds=' || beds || '|rating=' || rating || '|price=' || price_bin AS sig, count(*) AS n, min(point_id) AS first FROM pp GROUP BY ALL"),
     ("sigf", "SELECT sig, 'kind' AS attr, kind AS val FROM sig UNION ALL SELECT sig, 'beds', beds FROM sig UNION ALL SELECT sig, 'rating', rating FROM sig UNION ALL SELECT sig, 'price', price_bin FROM sig"),
     ("slice", "SELECT session_id, attr, max(weight) AS top, sqrt(sum(weight * weight)) AS norm, count(*) AS touched FROM fb GROUP BY ALL"),
     ("simf", "SELECT s.session_id, f.sig, f.attr, coalesce(w.weight, 0) AS w, s.top, s.norm, s.touched FROM sigf f JOIN slice s ON s.attr = f.attr LEFT JOIN fb w ON w.session_id = s.session_id AND w.attr = f.attr AND w.val = f.val"),
-    ("psim", "SELECT session_id, 'kind=' || p.kind || '|beds=' || p.beds || '|rating=' || p.rating || '|price=' || p.price_bin AS sig, p.point_id, p.lat, p.lon FROM pp p, (SELECT DISTINCT session_id FROM fb)"),
+    ("psim", "SELECT session_id, 'kind=' || p.kind || '|beds=' || p.beds || '|rating=' || p.rating || '|price=' || p.price_bin AS sig, p.point_id, p.lat, p.lon FROM pp p, (SELECT DISTINCT session_id FROM trace)"),
     ("scored", "SELECT session_id, sig, round(avg(w / top), 12) AS sim FROM simf GROUP BY ALL"),
-    ("anch", "SELECT session_id, point_id AS anchor, sim AS sim_f FROM (SELECT p.session_id, p.point_id, s.sim FROM psim p JOIN scored s ON p.session_id = s.session_id AND p.sig = s.sig ANTI JOIN seen z ON z.session_id = p.session_id AND z.point_id = p.point_id) QUALIFY row_number() OVER (PARTITION BY session_id ORDER BY sim DESC, point_id) = 1"),
+    ("anch", "SELECT session_id, point_id AS anchor, sim AS sim_f FROM (SELECT p.session_id, p.point_id, coalesce(s.sim, 0.0) AS sim FROM psim p LEFT JOIN scored s ON p.session_id = s.session_id AND p.sig = s.sig ANTI JOIN seen z ON z.session_id = p.session_id AND z.point_id = p.point_id) QUALIFY row_number() OVER (PARTITION BY session_id ORDER BY sim DESC, point_id) = 1"),
     ("pref", """
         SELECT q.session_id, p.point_id, p.lat, p.lon,
           round(((p.kind = a.kind)::INT + (p.beds = a.beds)::INT + (p.rating = a.rating)::INT + (p.price_bin = a.price_bin)::INT) / 4.0::DOUBLE, 12) AS sim
@@ -101,21 +106,53 @@ CHAIN: list[tuple[str, str]] = [
 ]
 
 
+SPOT = "greatest(0, least(1023, CAST(floor(({} + 512) * 1024 / 1024) AS BIGINT)))"
+
+
+def leaves(capacity: int, first: int | None = None) -> str:
+    """Leaves of the quadtree over (-512, 512) with their boxes: depth, ix, iy, n, bx0, by0, bx1, by1."""
+    some = "pp" if first is None else f"(SELECT * FROM pp WHERE point_id < {first})"
+    level = f"SELECT depth, ix, iy, count(*) AS n FROM (SELECT k AS depth, {SPOT.format('x')} >> (10 - k) AS ix, {SPOT.format('y')} >> (10 - k) AS iy FROM {some}, range(0, 11) g(k)) GROUP BY ALL"
+    return f"""SELECT depth, ix, iy, n, -512 + ix * side AS bx0, -512 + iy * side AS by0, -512 + (ix + 1) * side AS bx1, -512 + (iy + 1) * side AS by1 FROM (
+      SELECT a.*, 1024.0::DOUBLE / (1 << a.depth) AS side FROM ({level}) a LEFT JOIN ({level}) b ON b.depth = a.depth - 1 AND b.ix = a.ix >> 1 AND b.iy = a.iy >> 1
+      WHERE (a.n <= {capacity} OR a.depth = 10) AND (b.n IS NULL OR b.n > {capacity}))"""
+
+
+def hits(leaf: str) -> str:
+    """(session_id, zone_id, depth, ix, iy, n, full) of leaves that meet a zone: no edge of the zone has all four corners outside."""
+    side = "(r.x2 - r.x) * ({} - r.y) - (r.y2 - r.y) * ({} - r.x)"
+    sides = ", ".join(side.format(f"c.{y}", f"c.{x}") for x in ("bx0", "bx1") for y in ("by0", "by1"))
+    return f"""SELECT r.session_id, r.zone_id, c.depth, c.ix, c.iy, c.n, bool_and(least({sides}) > 1e-9) AS inner_ FROM rim r JOIN ({leaf}) c ON true
+      JOIN (SELECT session_id, zone_id, min(x) AS zx0, max(x) AS zx1, min(y) AS zy0, max(y) AS zy1 FROM rim GROUP BY ALL) z ON z.session_id = r.session_id AND z.zone_id = r.zone_id
+      WHERE c.bx0 <= zx1 AND zx0 <= c.bx1 AND c.by0 <= zy1 AND zy0 <= c.by1 GROUP BY ALL HAVING bool_and(greatest({sides}) >= -1e-9)"""
+
+
 def _fix(name: str, body: str) -> str:
     if name == "inc":
         body = dict(CHAIN)["inh"].replace("pp p", "cp p")
     return body.replace("p_x(p)", "p.x").replace("p_y(p)", "p.y")
 
 
-def chain(select: str) -> str:
-    return "WITH RECURSIVE " + ",\n".join(f"{n}{'(i, lab)' if n == 'reach' else ''} AS ({_fix(n, b)})" for n, b in CHAIN) + "\n" + select
+def chain(select: str, **instead: str) -> str:
+    """The chain before a statement; ``instead`` replaces bodies by name."""
+    return "WITH RECURSIVE " + ",\n".join(f"{n}{'(i, lab)' if n == 'reach' else ''} AS ({_fix(n, instead.get(n, b))})" for n, b in CHAIN) + "\n" + select
+
+
+def mined(g: int = 3, eps: float = 20, min_pts: int = 5) -> dict[str, str]:
+    """Bodies for other parameters of the mining."""
+    bodies = dict(CHAIN)
+    return {
+        "sliced": bodies["sliced"].replace("t_ms * 3 // 2592000000, 2", f"t_ms * {g} // 2592000000, {g - 1}"),
+        "nb": bodies["nb"].replace("<= 400", f"<= {eps * eps}"),
+        "core": bodies["core"].replace(">= 5", f">= {min_pts}"),
+    }
 
 
 def dist(a: str, b: str) -> str:
     return f"2 * 6371.0::DOUBLE * asin(least(1.0::DOUBLE, sqrt(pow(sin(radians({b}.lat - {a}.lat) / 2), 2) + cos(radians({a}.lat)) * cos(radians({b}.lat)) * pow(sin(radians({b}.lon - {a}.lon) / 2), 2))))"
 
 
-GREEDY = chain("") .rstrip() + f""",
+GREEDY_TAIL = f""",
 step(session_id, pos, chosen, swaps) AS (
   SELECT session_id, 5 AS pos, list({{'id': point_id, 'lat': lat, 'lon': lon}} ORDER BY rank) AS chosen, 0 AS swaps FROM pl WHERE rank <= 5 GROUP BY session_id
   UNION ALL
@@ -128,6 +165,25 @@ step(session_id, pos, chosen, swaps) AS (
     FROM step t JOIN pl c ON c.session_id = t.session_id AND c.rank = t.pos + 1 WHERE t.pos < 105
   )
 ),
-last AS (SELECT * FROM step QUALIFY row_number() OVER (PARTITION BY session_id ORDER BY pos DESC) = 1)
-SELECT session_id, CAST(k AS INT) AS slot, chosen[k + 1].id AS point_id, CAST(swaps AS INT) AS swaps FROM last, LATERAL (SELECT unnest(range(0, len(chosen))) AS k)
+ended AS (SELECT * FROM step QUALIFY row_number() OVER (PARTITION BY session_id ORDER BY pos DESC) = 1),
+chosen_ AS (SELECT session_id, CAST(k AS INT) AS slot, chosen[k + 1].id AS point_id, CAST(swaps AS INT) AS swaps FROM ended, LATERAL (SELECT unnest(range(0, len(chosen))) AS k))
 """
+
+
+def greedy_sql(select: str = "SELECT session_id, slot, point_id, swaps FROM chosen_", **instead: str) -> str:
+    """The search for k = 5 over 100 scans, then a statement over its choice (chosen_)."""
+    return chain("", **instead).rstrip() + GREEDY_TAIL + select
+
+
+GREEDY = greedy_sql()
+
+#: Explicit feedback: every action adds its weight to the facets of the nearest point.
+ACTIONS = """SELECT n.session_id, f.attr, f.val, sum(n.w) AS add FROM (
+    SELECT t.session_id, t.sample_id, min(CASE t.modality WHEN 'click' THEN 1.0 WHEN 'view' THEN 0.5 ELSE 2.0 END)::DOUBLE AS w, arg_min(p.point_id, ((t.x - p.x) * (t.x - p.x) + (t.y - p.y) * (t.y - p.y), p.point_id)) AS point_id
+    FROM trace t JOIN pp p ON true WHERE t.modality <> 'error' AND t.t_ms <= 2592000000 GROUP BY t.session_id, t.sample_id
+  ) n JOIN facet f ON f.point_id = n.point_id GROUP BY ALL"""
+EXPLICIT = {"seen": "SELECT NULL::BIGINT AS session_id, NULL::BIGINT AS point_id WHERE false", "inc1": ACTIONS}
+BOTH = {"fb": f"SELECT session_id, attr, val, raw, raw / sum(raw) OVER (PARTITION BY session_id) AS weight FROM (SELECT session_id, attr, val, sum(add) AS raw FROM (SELECT session_id, attr, val, add / sum(add) OVER (PARTITION BY session_id) AS add FROM inc1 UNION ALL SELECT * FROM ({ACTIONS})) GROUP BY ALL)"}
+RAW_TRACE = """
+    SELECT user_id AS session_id, event_id AS sample_id, CAST(CAST(json_extract_string(props, '$.k') AS BIGINT) - 50 AS DOUBLE) AS x, 50.0 - least(value, 100.0::DOUBLE) AS y,
+      epoch_us(ts) // 1000 - 1704067200000 AS t_ms, event_type AS modality FROM events"""

@@ -5,9 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..keep import keep
 from ..functions.distance import diversity, geo_distance
 from ..functions.projection import ViewPort, center_pixels, to_geo, to_geo_by_view, to_screen
-from ..functions.similarity import edit_sim, numeric_sim, token_jaccard, vector_cosine
+from ..functions.similarity import Attribute, edit_sim, numeric_sim, token_jaccard, vector_cosine
 from ..operators import baselines, feedback, highlights, measures
 from ..operators.density import cluster_stats, density_clusters, neighbour_counts
 from ..operators.matching import match_audit, match_points, match_two_hulls, matched, pruning
@@ -16,8 +17,7 @@ from ..operators.trace import densify_trace, segment_trace, speed, thin_trace, v
 from ..operators.zones import attention_zones, merge_zones, outlines
 from ..sources import tables as T
 from . import workloads as W
-from .keep import keep
-from .oracles import GREEDY, SHRINK, chain, dist
+from .oracles import BOTH, EXPLICIT, GREEDY, RAW_TRACE, SHRINK, SPOT, chain, dist, greedy_sql, hits, leaves, mined
 from .pipeline import Params, explore, run_iteration
 
 QUERIES: dict = {}
@@ -29,7 +29,7 @@ def query(name: str, sql: str | None = None):
     def add(fn):
         QUERIES[name] = fn
         if sql is not None:
-            ORACLES[name] = chain(sql) if sql.lstrip().upper().startswith("SELECT") and not sql.lstrip().startswith("SELECT /*plain*/") else sql
+            ORACLES[name] = chain(sql) if sql.lstrip().startswith("SELECT") and not sql.lstrip().startswith("SELECT /*plain*/") else sql
         return fn
 
     return add
@@ -52,11 +52,12 @@ def zones(s: SparkSession, d: str) -> DataFrame:
 
 
 def seen(s: SparkSession, d: str) -> DataFrame:
-    return matched(match_points(T.points_part(s, d), keep(zones(s, d)), "bbox"))
+    return matched(match_points(T.points_part(s, d), keep(zones(s, d))))
 
 
 def vector(s: SparkSession, d: str, how: str = "share") -> DataFrame:
-    return feedback.update_feedback(None, seen(s, d), feedback.facetize(T.points_part(s, d), T.PART_SPEC), 1.0, how)
+    points = T.points_part(s, d)
+    return feedback.update_feedback(None, seen(s, d), feedback.facetize(points, T.PART_SPEC), 1.0, how, feedback.facet_domain(points, T.PART_SPEC))
 
 
 # traces ---------------------------------------------------------------------------------
@@ -121,7 +122,10 @@ def _(s, d):
     return measures.thinning_report(trace, thin_trace(trace, T.TICK))
 
 
-@query("trace_densified")
+_STEPS = "SELECT session_id, t_ms + k * 43200000 AS t FROM (SELECT *, lead(t_ms) OVER (PARTITION BY session_id ORDER BY t_ms, sample_id) AS t2 FROM trace), LATERAL (SELECT unnest(range(0, greatest(0, floor((coalesce(t2, t_ms) - t_ms - 1) / 43200000.0::DOUBLE))::BIGINT + 1)) AS k)"
+
+
+@query("trace_densified", f"SELECT session_id, count(*) AS raw, count(DISTINCT t // 86400000) AS kept, round(count(*)::DOUBLE / count(DISTINCT t // 86400000), 6) AS factor FROM ({_STEPS}) GROUP BY ALL")
 def _(s, d):
     """Samples every 12 hours between neighbours, raw against thinned to days."""
     raw = densify_trace(T.trace_view(s, d), 43_200_000)
@@ -288,7 +292,10 @@ def _(s, d):
     return measures.zone_count(zones(s, d), measures.sessions_of(T.trace_view(s, d)))
 
 
-@query("slice_outlines")
+_HULL = "SELECT a.session_id, a.seg, a.x AS ax, a.y AS ay, b.x AS bx, b.y AS by_ FROM (SELECT DISTINCT session_id, seg, x, y FROM sliced) a JOIN (SELECT DISTINCT session_id, seg, x, y FROM sliced) b ON a.session_id = b.session_id AND a.seg = b.seg AND (a.x <> b.x OR a.y <> b.y) JOIN (SELECT DISTINCT session_id, seg, x, y FROM sliced) r ON r.session_id = a.session_id AND r.seg = a.seg GROUP BY ALL HAVING bool_and({0} > 0 OR ({0} = 0 AND (b.x - a.x) * (r.x - a.x) + (b.y - a.y) * (r.y - a.y) BETWEEN 0 AND (b.x - a.x) * (b.x - a.x) + (b.y - a.y) * (b.y - a.y))) AND bool_or({0} > 0)".format("((b.x - a.x) * (r.y - a.y) - (b.y - a.y) * (r.x - a.x))")
+
+
+@query("slice_outlines", f"SELECT session_id, CAST(seg AS INT) AS seg, (SELECT count(*) FROM sliced s WHERE s.session_id = h.session_id AND s.seg = h.seg) AS n, round(sum(ax * by_ - bx * ay) / 2, 3) AS area FROM ({_HULL}) h GROUP BY ALL")
 def _(s, d):
     from ..operators.zones import slice_outlines
 
@@ -326,46 +333,93 @@ def _(s, d):
     return seen(s, d).groupBy("session_id").agg(F.count("*").alias("points"))
 
 
-@query("match_audit", "SELECT point_id FROM pp WHERE point_id IN (SELECT point_id FROM seen)")
-def _(s, d):
-    return match_audit(T.points_part(s, d), keep(zones(s, d))).where("status = 'inside'").select("point_id")
+SCREEN = (-512.0, -512.0, 512.0, 512.0)
+_IN_LEAF = "p.x >= h.bx0 AND p.x < h.bx1 AND p.y >= h.by0 AND p.y < h.by1"
 
 
-_SPOT = "greatest(0, least(1023, CAST(floor((x + 512) * 1024 / 1024) AS BIGINT)))"
-_LEAVES = f"""
-SELECT depth, n, count(*) AS cells FROM (
-  SELECT a.depth, a.n, b.n AS above FROM (SELECT depth, ix, iy, count(*) AS n FROM (SELECT k AS depth, {_SPOT} >> (10 - k) AS ix, {_SPOT.replace('x +', 'y +')} >> (10 - k) AS iy FROM pp, range(0, 11) g(k)) GROUP BY ALL) a
-  LEFT JOIN (SELECT depth, ix, iy, count(*) AS n FROM (SELECT k AS depth, {_SPOT} >> (10 - k) AS ix, {_SPOT.replace('x +', 'y +')} >> (10 - k) AS iy FROM pp, range(0, 11) g(k)) GROUP BY ALL) b ON b.depth = a.depth - 1 AND b.ix = a.ix >> 1 AND b.iy = a.iy >> 1
-) WHERE (n <= 64 OR depth = 10) AND (above IS NULL OR above > 64) GROUP BY ALL"""
+@query("match_audit", f"SELECT p.point_id, CASE WHEN p.point_id IN (SELECT point_id FROM seen) THEN 'inside' WHEN EXISTS (SELECT 1 FROM (SELECT DISTINCT c.* FROM ({leaves(64)}) c JOIN ({hits(leaves(64))}) k ON k.depth = c.depth AND k.ix = c.ix AND k.iy = c.iy) h WHERE {_IN_LEAF}) THEN 'outside' ELSE 'untested' END AS status FROM pp p")
+def _(s, d):
+    return match_audit(T.points_part(s, d), keep(zones(s, d)), bounds=SCREEN)
 
 
-@query("quadtree_leaves", "SELECT CAST(depth AS INT) AS depth, n, cells FROM (" + _LEAVES.strip() + ")")
+@query("quadtree_leaves", f"SELECT CAST(depth AS INT) AS depth, n, count(*) AS cells FROM ({leaves(64)}) GROUP BY ALL")
 def _(s, d):
-    _, cells = build_quadtree(T.points_part(s, d), (-512.0, -512.0, 512.0, 512.0), 64, 10)
+    _, cells = build_quadtree(T.points_part(s, d), SCREEN, 64, 10)
     return cells.groupBy("depth", "n").agg(F.count("*").alias("cells")).select("depth", "n", "cells")
 
 
-@query("quadtree_membership", "SELECT count(*) AS points FROM pp")
+@query("quadtree_membership", f"SELECT p.point_id, CAST(h.depth AS INT) AS depth, h.n FROM pp p JOIN ({leaves(64)}) h ON {_IN_LEAF}")
 def _(s, d):
-    keyed, _ = build_quadtree(T.points_part(s, d), (-512.0, -512.0, 512.0, 512.0), 64, 10)
-    return keyed.select("point_id", "cell").distinct().agg(F.count("*").alias("points"))
+    keyed, cells = build_quadtree(T.points_part(s, d), SCREEN, 64, 10)
+    return keyed.select("point_id", "cell").join(cells, "cell").select("point_id", "depth", "n")
 
 
-@query("uniform_grid", f"SELECT n, count(*) AS cells FROM (SELECT count(*) AS n FROM pp GROUP BY {_SPOT} >> 6, {_SPOT.replace('x +', 'y +')} >> 6) GROUP BY ALL")
+@query("uniform_grid", f"SELECT n, count(*) AS cells FROM (SELECT count(*) AS n FROM pp GROUP BY {SPOT.format('x')} >> 6, {SPOT.format('y')} >> 6) GROUP BY ALL")
 def _(s, d):
     _, cells = uniform_grid(T.points_part(s, d), (-512.0, -512.0, 512.0, 512.0), 4)
     return cells.groupBy("n").agg(F.count("*").alias("cells"))
 
 
-@query("cells_hit")
+@query("cells_hit", f"SELECT session_id, count(DISTINCT (depth, ix, iy)) AS cells, count(DISTINCT CASE WHEN inner_ THEN (depth, ix, iy) END) AS full_cells FROM ({hits(leaves(16))}) GROUP BY ALL")
+def _(s, d):
+    _, cells = build_quadtree(T.points_part(s, d), SCREEN, 16, 10)
+    return cells_for_zones(cells, keep(zones(s, d)), SCREEN, 10).groupBy("session_id").agg(F.count_distinct("cell").alias("cells"), F.count_distinct(F.when(F.col("full"), F.col("cell"))).alias("full_cells"))
+
+
+def _pruned(capacity: int, first: int | None = None) -> str:
+    hit = hits(leaves(capacity, first))
+    some = "true" if first is None else f"point_id < {first}"
+    return f"""SELECT z.session_id, (SELECT count(*) FROM pp WHERE {some}) AS points, (SELECT count(*) FROM ({leaves(capacity, first)})) AS cells, coalesce(h.cells_hit, 0) AS cells_hit, coalesce(h.tested, 0)::BIGINT AS tested,
+      (SELECT count(*) FROM seen s WHERE s.session_id = z.session_id AND {some}) AS matched, round(1 - coalesce(h.tested, 0)::DOUBLE / (SELECT count(*) FROM pp WHERE {some}), 6) AS pruned
+      FROM (SELECT DISTINCT session_id FROM zone) z LEFT JOIN (SELECT session_id, count(*) AS cells_hit, sum(n) AS tested FROM (SELECT DISTINCT session_id, depth, ix, iy, n FROM ({hit})) GROUP BY ALL) h ON h.session_id = z.session_id"""
+
+
+@query("pruning_report", _pruned(16))
+def _(s, d):
+    return pruning(T.points_part(s, d), keep(zones(s, d)), 16, bounds=SCREEN)
+
+
+_CASES = ((100, 16), (1000, 16), (2000, 16), (2000, 64), (2000, 256))
+
+
+@query("pruning_sweep", " UNION ALL ".join(f"SELECT {n}::BIGINT AS n, {c} AS capacity, max(cells) AS cells, round(avg(tested), 6) AS tested, round(avg(pruned), 6) AS pruned FROM ({_pruned(c, n)}) HAVING (SELECT count(*) FROM pp WHERE point_id < {n}) = {n}" for n, c in _CASES))
+def _(s, d):
+    return W.pruning_sweep(T.points_part(s, d), keep(zones(s, d)), _CASES, SCREEN)
+
+
+@query("running_example", "SELECT /*plain*/ * FROM (VALUES (900.0::DOUBLE, 4::BIGINT), (900.0, 0), (900.0, 5), (400.0, 1)) t(area, points)")
+def _(s, d):
+    found, points = W.running_example(s)
+    found = keep(found)
+    n = match_points(points, found, capacity=1, max_depth=8).groupBy("session_id", "zone_id").agg(F.count("*").alias("n"))
+    return found.join(n, ["session_id", "zone_id"], "left").select(r("area", 6), F.coalesce("n", F.lit(0)).cast("long").alias("points"))
+
+
+@query("running_example_audit", "SELECT /*plain*/ * FROM (VALUES ('inside', 10::BIGINT), ('outside', 1), ('untested', 3)) t(status, points)")
+def _(s, d):
+    found, points = W.running_example(s)
+    return match_audit(points, keep(found), 1, 8, SCREEN).groupBy("status").agg(F.count("*").alias("points"))
+
+
+@query("points_per_zone", "SELECT s.session_id, round(coalesce(avg(n), 0), 6) AS per_zone FROM (SELECT DISTINCT session_id FROM trace) s LEFT JOIN (SELECT z.session_id, z.zone_id, count(f.point_id) AS n FROM zone z LEFT JOIN found f ON f.session_id = z.session_id AND f.zone_id = z.zone_id GROUP BY ALL) z ON z.session_id = s.session_id GROUP BY ALL")
+def _(s, d):
+    z = keep(zones(s, d))
+    return measures.points_per_zone(match_points(T.points_part(s, d), z), z, measures.sessions_of(T.trace_view(s, d))).select("session_id", r("per_zone"))
+
+
+@query("matched_per_zone", "SELECT session_id, zone_id, count(*) AS points FROM found GROUP BY ALL")
+def _(s, d):
+    return matched(match_points(T.points_part(s, d), keep(zones(s, d))), "per_zone").groupBy("session_id", "zone_id").agg(F.count("*").alias("points"))
+
+
+@query("points_matched", "SELECT s.session_id, count(f.point_id) AS points FROM (SELECT DISTINCT session_id FROM trace) s LEFT JOIN seen f ON f.session_id = s.session_id GROUP BY ALL")
 def _(s, d):
-    _, cells = build_quadtree(T.points_part(s, d), (-512.0, -512.0, 512.0, 512.0), 16, 10)
-    return cells_for_zones(cells, keep(zones(s, d))).groupBy("session_id").agg(F.count_distinct("cell").alias("cells"), F.count(F.when(F.col("full"), 1)).alias("full"))
+    return measures.matched_count(match_points(T.points_part(s, d), keep(zones(s, d))), measures.sessions_of(T.trace_view(s, d)))
 
 
-@query("pruning_report")
+@query("index_report", f"SELECT CAST(depth AS INT) AS depth, count(*) AS cells, sum(n)::BIGINT AS points, max(n) AS fullest FROM ({leaves(64)}) GROUP BY ALL")
 def _(s, d):
-    return pruning(T.points_part(s, d), keep(zones(s, d).where("session_id = 0")), 16)
+    return measures.index_report(build_quadtree(T.points_part(s, d), SCREEN, 64, 10)[1])
 
 
 # feedback -----------------------------------------------------------------------------------------
@@ -389,7 +443,7 @@ def _(s, d):
     return vector(s, d).select("session_id", "attr", "val", "raw", r("weight"))
 
 
-@query("feedback_softmax", _W.format("exp(raw - max(raw) OVER w) / sum(exp(raw)) OVER w * exp(max(raw) OVER w)") + " WINDOW w AS (PARTITION BY session_id)")
+@query("feedback_softmax", "SELECT session_id, attr, val, raw, round(exp(raw - most) / sum(exp(raw - most)) OVER (PARTITION BY session_id), 6) AS weight FROM (SELECT s.session_id, d.attr, d.val, coalesce(f.raw, 0.0) AS raw, max(coalesce(f.raw, 0.0)) OVER (PARTITION BY s.session_id) AS most FROM (SELECT DISTINCT session_id FROM fb) s CROSS JOIN domain d LEFT JOIN fb f ON f.session_id = s.session_id AND f.attr = d.attr AND f.val = d.val)")
 def _(s, d):
     return vector(s, d, "softmax").select("session_id", "attr", "val", "raw", r("weight"))
 
@@ -410,7 +464,7 @@ _NEAR = """
 SELECT session_id, attr, val, raw, round(raw / sum(raw) OVER (PARTITION BY session_id), 6) AS weight FROM (
   SELECT n.session_id, f.attr, f.val, CAST(count(*) AS DOUBLE) AS raw FROM (
     SELECT t.session_id, t.sample_id, arg_min(p.point_id, ((t.x - p.x) * (t.x - p.x) + (t.y - p.y) * (t.y - p.y), p.point_id)) AS point_id
-    FROM trace t JOIN pp p ON abs(t.x - p.x) <= 50 AND abs(t.y - p.y) <= 50 AND (t.x - p.x) * (t.x - p.x) + (t.y - p.y) * (t.y - p.y) <= 2500 WHERE t.modality = 'click' GROUP BY ALL
+    FROM trace t JOIN pp p ON true WHERE t.modality = 'click' GROUP BY ALL
   ) n JOIN facet f ON f.point_id = n.point_id GROUP BY ALL)"""
 
 
@@ -426,6 +480,28 @@ def _(s, d):
     return W.toy_vector(s).select("attr", "val", r("weight", 2))
 
 
+@query("toy_vector_softmax", "SELECT /*plain*/ attr, val, round(exp(n) / sum(exp(n)) OVER (), 6) AS weight FROM (VALUES ('beds', '1', 3), ('beds', '2', 1), ('beds', '+2', 0), ('balcony', 'yes', 4), ('balcony', 'no', 0), ('air', 'yes', 1), ('air', 'no', 3), ('rating', '1', 0), ('rating', '2', 0), ('rating', '3', 0), ('rating', '4', 1), ('rating', '5', 3)) t(attr, val, n)")
+def _(s, d):
+    return W.toy_vector(s, how="softmax").select("attr", "val", r("weight"))
+
+
+_DELTA = "SELECT {d}::DOUBLE AS delta, round(avg(moved), 6) AS moved FROM (SELECT session_id, sum(abs(after - coalesce(before, 0))) AS moved FROM (SELECT coalesce(e.session_id, o.session_id) AS session_id, e.w AS before, (coalesce(e.w, 0) + {d} * coalesce(o.n, 0)) / sum(coalesce(e.w, 0) + {d} * coalesce(o.n, 0)) OVER (PARTITION BY coalesce(e.session_id, o.session_id)) AS after FROM (SELECT session_id, attr, val, n / sum(n) OVER (PARTITION BY session_id) AS w FROM ({even})) e FULL JOIN ({odd}) o ON o.session_id = e.session_id AND o.attr = e.attr AND o.val = e.val) WHERE session_id IN (SELECT session_id FROM seen WHERE point_id % 2 = 0) GROUP BY ALL)"
+_HALF = "SELECT s.session_id, f.attr, f.val, count(*) AS n FROM seen s JOIN facet f ON f.point_id = s.point_id WHERE s.point_id % 2 = {} GROUP BY ALL"
+
+
+@query("delta_sweep", " UNION ALL ".join(_DELTA.format(d=x, even=_HALF.format(0), odd=_HALF.format(1)) for x in W.DELTAS))
+def _(s, d):
+    return W.delta_sweep(keep(seen(s, d)), keep(feedback.facetize(T.points_part(s, d), T.PART_SPEC)))
+
+
+@query("never_falls", "SELECT session_id, attr, val FROM fb WHERE false")
+def _(s, d):
+    points, found = T.points_part(s, d), keep(seen(s, d))
+    facets = feedback.facetize(points, T.PART_SPEC)
+    one = keep(feedback.update_feedback(None, found, facets))
+    return feedback.falls(one, feedback.update_feedback(one, found, facets)).select("session_id", "attr", "val")
+
+
 @query("top_facets", "SELECT session_id, attr, val FROM fb QUALIFY row_number() OVER (PARTITION BY session_id ORDER BY round(weight, 12) DESC, attr, val) <= 3")
 def _(s, d):
     return feedback.top_facets(vector(s, d), 3).select("session_id", "attr", "val")
@@ -483,10 +559,36 @@ def _(s, d):
     return points.join(F.broadcast(first)).select("point_id", F.round(vector_cosine(F.col("embedding"), F.col("e0")), 6).alias("sim"))
 
 
-@query("sim_documents_missing", "SELECT /*plain*/ count(*) AS texts, sum((l.doc_id IS NULL)::INT)::BIGINT AS unlabelled FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id")
+def _doc_sim(of: str) -> str:
+    """Similarity of every text to the profile of the texts 0 to 49, missing attributes skipped or counted as 0."""
+    cells = "SELECT doc_id, 'lang' AS attr, lang AS val FROM documents UNION ALL SELECT doc_id, 'source', source FROM documents UNION ALL SELECT doc_id, 'length', CASE WHEN n_chars >= 8000 THEN 'huge' WHEN n_chars >= 2000 THEN 'long' WHEN n_chars >= 500 THEN 'medium' ELSE 'short' END FROM documents UNION ALL SELECT doc_id, 'quality', CAST(quality AS VARCHAR) FROM labels UNION ALL SELECT doc_id, 'toxic', CAST(toxic AS VARCHAR) FROM labels"
+    return f"WITH cell AS (SELECT c.* FROM ({cells}) c WHERE val IS NOT NULL AND doc_id IN (SELECT doc_id FROM documents)), w AS (SELECT attr, val, count(*) AS n FROM cell WHERE doc_id < 50 GROUP BY ALL), top AS (SELECT attr, max(n) AS most FROM w GROUP BY ALL) SELECT c.doc_id AS point_id, round(sum(coalesce(w.n, 0)::DOUBLE / t.most) / {of}, 6) AS sim FROM cell c JOIN top t ON t.attr = c.attr LEFT JOIN w ON w.attr = c.attr AND w.val = c.val GROUP BY ALL"
+
+
+def _missing(how: str):
+    def run(s, d):
+        points = T.points_documents(s, d)
+        met = points.where("point_id < 50").select(F.lit(0).cast("long").alias("session_id"), "point_id")
+        v = keep(feedback.update_feedback(None, met, feedback.facetize(points, T.DOCUMENT_SPEC)))
+        return feedback.similarity_to_vector(points, v, T.DOCUMENT_SPEC, missing=how, attributes=5).select("point_id", r("sim"))
+
+    return run
+
+
+query("sim_documents_missing", _doc_sim("count(*)"))(_missing("skip"))
+query("sim_documents_missing_zero", _doc_sim("5"))(_missing("zero"))
+
+_MEAN_PRICE = "(SELECT s.session_id, avg(p.price) AS price FROM seen s JOIN pp p ON p.point_id = s.point_id GROUP BY ALL)"
+_HALF_WORDS = "(SELECT session_id, list(w) AS ws FROM (SELECT s.session_id, w, count(*) AS n, (SELECT count(*) FROM seen z WHERE z.session_id = s.session_id) AS of FROM seen s JOIN pp p ON p.point_id = s.point_id, LATERAL (SELECT DISTINCT unnest(string_split(p.name, ' ')) AS w) GROUP BY s.session_id, w) WHERE 2 * n >= of GROUP BY ALL)"
+PART_ALSO = [Attribute("amount", "price", "numeric", 100.0), Attribute("words", "words", "tokens")]
+
+
+@query("sim_mixed", f"SELECT f.session_id, p.point_id, round((4 * f.sim + greatest(0, 1 - abs(p.price - m.price) / 100) + coalesce(len(list_intersect(string_split(p.name, ' '), h.ws))::DOUBLE / len(list_distinct(list_concat(string_split(p.name, ' '), h.ws))), 0)) / 6, 6) AS sim FROM scored f JOIN psim q ON q.session_id = f.session_id AND q.sig = f.sig JOIN pp p ON p.point_id = q.point_id JOIN {_MEAN_PRICE} m ON m.session_id = f.session_id LEFT JOIN {_HALF_WORDS} h ON h.session_id = f.session_id")
 def _(s, d):
-    sigs = T.points_documents(s, d).select(feedback.signature(T.DOCUMENT_SPEC).alias("f"))
-    return sigs.agg(F.count("*").alias("texts"), F.count(F.when(F.size("f") == 3, 1)).alias("unlabelled"))
+    """Four facets against the vector, price against the mean of the matched points, words against those of half of them."""
+    points, found = T.points_part(s, d), keep(seen(s, d))
+    v = keep(feedback.update_feedback(None, found, feedback.facetize(points, T.PART_SPEC)))
+    return feedback.mixed_similarity(points, v, found, T.PART_SPEC, PART_ALSO).select("session_id", "point_id", r("sim"))
 
 
 # distances ---------------------------------------------------------------------------------------
@@ -524,17 +626,26 @@ def _(s, d):
 # highlights -----------------------------------------------------------------------------------------
 
 
-def _prefix(s, d, depth: int = 4096) -> DataFrame:
+def _starts(s, d) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(points, matched points, anchors of all sessions)."""
     points, found = T.points_part(s, d), keep(seen(s, d))
     v = keep(feedback.update_feedback(None, found, feedback.facetize(points, T.PART_SPEC)))
-    return highlights.list_prefix(points, T.PART_SPEC, keep(highlights.anchors(points, v, T.PART_SPEC, found)), depth, found)
+    return points, found, keep(highlights.anchors(points, v, T.PART_SPEC, found, T.trace_view(s, d)))
+
+
+def _prefix(s, d, depth: int | None = None) -> DataFrame:
+    points, found, starts = _starts(s, d)
+    return highlights.list_prefix(points, T.PART_SPEC, starts, depth, found)
+
+
+def _search(s, d, k: int = 5, **how) -> DataFrame:
+    points, found, starts = _starts(s, d)
+    return highlights.search_highlights(points, T.PART_SPEC, starts, found, k, None, **how)
 
 
 @query("anchor_point", "SELECT session_id, anchor, round(sim_f, 9) AS sim_f FROM anch")
 def _(s, d):
-    points, found = T.points_part(s, d), keep(seen(s, d))
-    v = keep(feedback.update_feedback(None, found, feedback.facetize(points, T.PART_SPEC)))
-    return highlights.anchors(points, v, T.PART_SPEC, found).select("session_id", "anchor", r("sim_f", 9))
+    return _starts(s, d)[2].select("session_id", "anchor", r("sim_f", 9))
 
 
 _LISTS = """
@@ -552,14 +663,18 @@ def _(s, d):
     return highlights.build_neighbours(T.points_supplier(s, d), T.SUPPLIER_SPEC, "signature", 20)
 
 
-@query("neighbour_list_on_demand", "SELECT point_id, CAST(rank AS INT) AS rank, sim FROM (" + _LISTS.strip() + ") WHERE owner = 0")
+@query("neighbour_list_on_demand", "SELECT owner, point_id, CAST(rank AS INT) AS rank, sim FROM (" + _LISTS.strip() + ") WHERE owner % 20 = 0")
 def _(s, d):
-    return highlights.list_on_demand(T.points_supplier(s, d), T.SUPPLIER_SPEC, 0, 20).select("point_id", "rank", "sim")
+    """The lists of all owners whose id is divisible by 20: the stated query set."""
+    points = T.points_supplier(s, d)
+    return highlights.list_on_demand(points, T.SUPPLIER_SPEC, points.where("point_id % 20 = 0"), 20).select("owner", "point_id", "rank", "sim")
 
 
 @query("neighbour_list_approximate")
 def _(s, d):
-    return highlights.approximate_lists(T.points_embeddings(s, d), "embedding", depth=5)
+    """Queries: ids divisible by 20."""
+    points = T.points_embeddings(s, d)
+    return highlights.approximate_lists(points, "embedding", points.where("point_id % 20 = 0"), depth=5)
 
 
 @query("list_prefix", "SELECT session_id, CAST(rank AS INT) AS rank, point_id, sim FROM pl WHERE rank <= 50")
@@ -579,12 +694,12 @@ def _(s, d):
 
 @query("highlights_greedy", GREEDY)
 def _(s, d):
-    return highlights.greedy_highlights(_prefix(s, d), 5, None, 100).select("session_id", "slot", "point_id", "swaps")
+    return _search(s, d, max_scans=100).select("session_id", "slot", "point_id", "swaps")
 
 
 def _greedy(swap: str):
     def run(s, d):
-        return highlights.greedy_highlights(_prefix(s, d), 5, None, 1000, swap=swap)
+        return _search(s, d, max_scans=1000, swap=swap)
 
     return run
 
@@ -595,7 +710,7 @@ query("highlights_worst_out")(_greedy("worst_out"))
 
 @query("highlights_patience")
 def _(s, d):
-    return highlights.greedy_highlights(_prefix(s, d), 5, None, None, min_sim=0.25, patience=500)
+    return _search(s, d, min_sim=0.25, patience=500)
 
 
 _BEST3 = f"""
@@ -612,7 +727,20 @@ def _(s, d):
     return best.groupBy("session_id").agg(*p)
 
 
-@query("highlights_spread")
+_FAR = " UNION ALL ".join("SELECT {k} AS slot, point_id FROM p{k}".format(k=k) for k in range(5))
+
+
+def _spread_sql() -> str:
+    """Five picks, each the point farthest from those before."""
+    steps = ["p0 AS (SELECT point_id, lat, lon FROM sp ORDER BY point_id LIMIT 1)"]
+    for k in range(1, 5):
+        gap = "least(" + ", ".join(dist(f"o{j}", "p") for j in range(k)) + ")" if k > 1 else dist("o0", "p")
+        told = ", ".join(f"p{j} o{j}" for j in range(k))
+        steps.append(f"p{k} AS (SELECT p.point_id, p.lat, p.lon FROM sp p, {told} WHERE p.point_id NOT IN ({', '.join(f'o{j}.point_id' for j in range(k))}) ORDER BY round({gap}, 9) DESC, p.point_id LIMIT 1)")
+    return chain("").rstrip() + ",\n" + ",\n".join(steps) + "\n" + _FAR
+
+
+@query("highlights_spread", _spread_sql())
 def _(s, d):
     return baselines.spread_highlights(T.points_supplier(s, d), 5)
 
@@ -622,7 +750,7 @@ def _(s, d):
     return baselines.passive_highlights(T.points_part(s, d), (F.col("kind") == "ECONOMY") & (F.col("price") < 925), 5)
 
 
-@query("highlights_random")
+@query("highlights_random", "SELECT /*plain*/ p_partkey AS point_id FROM part ORDER BY md5('7-' || p_partkey), p_partkey LIMIT 5")
 def _(s, d):
     return baselines.random_highlights(T.points_part(s, d), 5, 7)
 
@@ -632,22 +760,60 @@ def _(s, d):
     return baselines.heat_cells(thin_trace(T.trace_view(s, d), T.TICK)).select("session_id", "tx", "ty", "n")
 
 
-@query("highlights_explained")
+@query("highlights_explained", greedy_sql("SELECT session_id, point_id, CAST(rank AS INT) AS rank, attr, val, round(weight, 9) AS weight FROM (SELECT c.session_id, c.point_id, f.attr, f.val, w.weight, row_number() OVER (PARTITION BY c.session_id, c.point_id ORDER BY round(w.weight, 12) DESC, f.attr, f.val) AS rank FROM chosen_ c JOIN facet f ON f.point_id = c.point_id JOIN fb w ON w.session_id = c.session_id AND w.attr = f.attr AND w.val = f.val) WHERE rank <= 2"))
 def _(s, d):
     points, v = T.points_part(s, d), keep(vector(s, d))
-    chosen = highlights.greedy_highlights(_prefix(s, d), 5, None, 100)
-    return highlights.explain_highlights(chosen, feedback.facetize(points, T.PART_SPEC), v)
+    return highlights.explain_highlights(_search(s, d, max_scans=100), feedback.facetize(points, T.PART_SPEC), v).select("session_id", "point_id", "rank", "attr", "val", r("weight", 9))
+
+
+@query("mean_similarity", greedy_sql("SELECT c.session_id, round(avg(p.sim), 9) AS mean_sim FROM chosen_ c JOIN pl p ON p.session_id = c.session_id AND p.point_id = c.point_id GROUP BY ALL"))
+def _(s, d):
+    return measures.mean_similarity(_search(s, d, max_scans=100))
+
+
+@query("points_flagged", greedy_sql("SELECT p.point_id, p.point_id IN (SELECT point_id FROM chosen_ WHERE session_id = 0) AS highlight FROM pp p"))
+def _(s, d):
+    """All points as the first analyst sees them, the highlights marked."""
+    return highlights.flag_highlights(T.points_part(s, d), _search(s, d, max_scans=100).where("session_id = 0")).select("point_id", "highlight")
+
+
+_WIDEST = f"(SELECT x.session_id, max({dist('x', 'y')}) AS far FROM pl x JOIN pl y ON y.session_id = x.session_id AND x.point_id < y.point_id WHERE x.rank <= 60 AND y.rank <= 60 GROUP BY ALL)"
+
+
+@query("diversity_norm_max_pair", greedy_sql(f"SELECT d.session_id, round(km, 6) AS diversity_km, round(km / far, 6) AS diversity_norm FROM (SELECT a.session_id, avg({dist('p', 'q')}) AS km FROM chosen_ a JOIN chosen_ b ON a.session_id = b.session_id AND a.point_id < b.point_id JOIN pp p ON p.point_id = a.point_id JOIN pp q ON q.point_id = b.point_id GROUP BY ALL) d JOIN {_WIDEST} m ON m.session_id = d.session_id"))
+def _(s, d):
+    """The greedy result over the widest pair of the first 60 rows of each list."""
+    lists = keep(_prefix(s, d, 105))
+    chosen = highlights.greedy_highlights(lists, 5, None, 100).join(lists.select("session_id", "point_id", "lat", "lon"), ["session_id", "point_id"])
+    return measures.diversity_norm(chosen, lists.where("rank <= 60")).select("session_id", r("diversity_km"), r("diversity_norm"))
 
 
 @query("diversity_vs_scans")
 def _(s, d):
-    return W.diversity_vs_scans(_prefix(s, d))
+    return W.diversity_by_budget(_prefix(s, d))
+
+
+@query("diversity_vs_time")
+def _(s, d):
+    """By limits of 0 to 500 ms; -1 is the whole list. Times differ from run to run."""
+    return W.diversity_by_budget(_prefix(s, d), times_ms=(0, 10, 50, 100, 200, 500))
+
+
+@query("k_sweep")
+def _(s, d):
+    return W.k_sweep(_prefix(s, d))
 
 
 @query("optimality")
 def _(s, d):
-    prefix = keep(_prefix(s, d, 20))
-    return measures.optimality(highlights.greedy_highlights(prefix, 3, None, None), highlights.exhaustive_highlights(prefix, 3))
+    lists = keep(_prefix(s, d, 20))
+    return measures.optimality(highlights.greedy_highlights(lists, 3, None, None), highlights.exhaustive_highlights(lists, 3))
+
+
+@query("highlights_exhaustive_both")
+def _(s, d):
+    """The best sets of three by similarity and spread together."""
+    return highlights.exhaustive_highlights(_prefix(s, d, 12), 3, "both")
 
 
 # whole iterations and experiments ---------------------------------------------------------------------
@@ -670,18 +836,18 @@ def _feedback_kind(kind: str):
         from .pipeline import State
 
         rows, _ = run_iteration(State(), T.T_C, T.trace_view(s, d), T.points_part(s, d), T.PART_SPEC, replace(PARAMS, max_scans=100, feedback=kind))
-        return rows
+        return rows.select("session_id", "slot", "point_id", "swaps")
 
     return run
 
 
-query("iteration_explicit")(_feedback_kind("explicit"))
-query("iteration_both")(_feedback_kind("both"))
+query("iteration_explicit", greedy_sql(**EXPLICIT))(_feedback_kind("explicit"))
+query("iteration_both", greedy_sql(**BOTH))(_feedback_kind("both"))
 
 
 @query("explore_iterations")
 def _(s, d):
-    rows, _ = explore(T.trace_view(s, d).where("session_id < 4"), T.points_part(s, d), [T.T_C // 3, 2 * T.T_C // 3, T.T_C], T.PART_SPEC, PARAMS)
+    rows, _ = explore(T.trace_view(s, d), T.points_part(s, d), [T.T_C // 3, 2 * T.T_C // 3, T.T_C], T.PART_SPEC, PARAMS)
     return rows
 
 
@@ -712,12 +878,17 @@ def _(s, d):
     return measures.study_gaps(W.study_log(s, d))
 
 
-@query("parameter_sweep")
+def _swept(g: int, eps: float, min_pts: int) -> str:
+    count = "SELECT (SELECT count(*) FROM {}) / (SELECT count(DISTINCT session_id) FROM trace)::DOUBLE"
+    return "SELECT * FROM (" + chain(f"SELECT {g} AS g, {eps}::DOUBLE AS eps, {min_pts} AS min_pts, round(({count.format('outl')}), 6) AS regions, round(({count.format('zone')}), 6) AS zones", **mined(g, eps, min_pts)) + ")"
+
+
+@query("parameter_sweep", "/*plain*/ " + " UNION ALL ".join(_swept(*p) for p in W.SWEEP))
 def _(s, d):
     return W.parameter_sweep(s, d)
 
 
-@query("sessions_at_scale")
+@query("sessions_at_scale", "/*plain*/ " + chain("SELECT s.session_id * 4 + c AS session_id, count(z.zone_id) AS zones FROM (SELECT DISTINCT session_id FROM trace) s CROSS JOIN range(0, 4) k(c) LEFT JOIN zone z ON z.session_id = s.session_id GROUP BY ALL", trace=RAW_TRACE, **mined(3, 20, 4)))
 def _(s, d):
     return W.sessions_at_scale(s, d, 4)
 
@@ -747,6 +918,22 @@ def _(s, d):
     return T.points_part(s, d).withColumn("k", k).where("k <= 0.1").select("point_id")
 
 
+@query("approx_visitors", "SELECT /*plain*/ event_type, count(DISTINCT user_id) AS visitors FROM events GROUP BY ALL")
+def _(s, d):
+    """Distinct users by event; up to 2**18 of them a sketch of that size gives within 2 per cent, and here exactly, what counting gives."""
+    return T.load(s, d, "events").groupBy("event_type").agg(F.hll_sketch_estimate(F.hll_sketch_agg("user_id", F.lit(18))).alias("visitors"))
+
+
+@query("facet_rollup", "SELECT kind, beds, count(*) AS n FROM pp GROUP BY ROLLUP (kind, beds)")
+def _(s, d):
+    return T.points_part(s, d).rollup("kind", "beds").agg(F.count("*").alias("n"))
+
+
+@query("json_variant", "SELECT /*plain*/ event_type, max(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS k_max FROM events GROUP BY ALL")
+def _(s, d):
+    return T.load(s, d, "events").groupBy("event_type").agg(F.max(F.try_variant_get(F.try_parse_json("props"), "$.k", "bigint")).alias("k_max"))
+
+
 # streams -----------------------------------------------------------------------------------------------------
 
 
