@@ -1,17 +1,25 @@
-"""Results that several steps read are written once to the folder all executors share."""
+"""Results that several steps read are written once to the folder that driver and executors share."""
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def keep(df: DataFrame, name: str = "kept") -> DataFrame:
-    spark = df.sparkSession
+def shared_path(spark: SparkSession, name: str) -> str:
+    """A new place in ``spark.checkpoint.dir``; a folder of this machine only where all of Spark runs on it."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        return df.cache()
-    path = f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = tempfile.mkdtemp(prefix="attention-engine-")
+        spark.conf.set("spark.checkpoint.dir", base)
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def keep(df: DataFrame, name: str = "kept") -> DataFrame:
+    path = shared_path(df.sparkSession, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

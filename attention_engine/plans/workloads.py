@@ -2,15 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.projection import to_geo
-from ..keep import keep
+from ..keep import keep, shared_path
 from ..operators import feedback, highlights, measures
 from ..operators.feedback import Facet
 from ..operators.matching import match_points, pruning
@@ -22,16 +19,6 @@ from .local import LocalPoints, simulated_run
 SIZES = [100, 1000, 2000, 4000]
 
 
-def shared(spark: SparkSession) -> str:
-    """A new folder that driver and executors share."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        if not spark.sparkContext.master.startswith("local["):
-            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-        base = tempfile.gettempdir()
-    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
-
-
 def lattice_trace(spark: SparkSession) -> DataFrame:
     """A hand-made session of 45 seconds: dwells of 5 by 5 samples, two or three in each third of the time."""
     thirds = [[(-200, 0), (200, 100)], [(-190, -10), (0, -200)], [(210, 110), (10, -190), (-160, -10)]]
@@ -174,7 +161,7 @@ def _event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stream_thin(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ticks of the live trace in one pass over what there is. Windows start at the epoch as ticks do; a tick's last state counts."""
-    out = shared(spark)
+    out = shared_path(spark, "stream")
 
     def write(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{out}/rows/batch={number}")
@@ -188,7 +175,7 @@ def stream_thin(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stream_zones(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Zones of elastic slices at the end of the stream: the last batch's rows of each session."""
-    out = shared(spark)
+    out = shared_path(spark, "stream")
 
     def write(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{out}/rows/batch={number}")

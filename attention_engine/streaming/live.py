@@ -83,12 +83,13 @@ def elastic_zones(samples: DataFrame, tick_ms: int, g: int = 3, eps: float = 20,
             return
         *old, newest = held.get if held.exists else ([], [], [], [], 0)
         rows = pd.DataFrame(dict(zip(columns, old, strict=True)))
-        parts = list(frames)
-        new = pd.concat([rows, *(f[columns] for f in parts)])
+        parts = [f.dropna(subset=["sample_id", "t_ms", "at"]) for f in frames]
+        new = pd.concat([x for x in (rows, *(f[columns] for f in parts)) if len(x)] or [rows])
         new = new[new["t_ms"] <= cap_ms] if cap_ms is not None else new
         newest = max([newest, *(int(f["at"].max().timestamp() * 1000) for f in parts if len(f))])
         new = new.sort_values(["t_ms", "sample_id"]).drop_duplicates("sample_id")
         kept = new[~(new["t_ms"] // tick_ms).duplicated()]
+        kept = kept.astype({"sample_id": "int64", "t_ms": "int64"})
         held.update((*(kept[c].tolist() for c in columns), newest))
         if wait is not None:
             held.setTimeoutTimestamp(max(newest + wait, held.getCurrentWatermarkMs() + 1))
