@@ -22,9 +22,11 @@ BLOCK_BYTES = 24 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; one of our own only where none is set."""
+    """The folder all executors share; one of our own only where none is set and all of Spark runs on this machine."""
     base = spark.conf.get("spark.checkpoint.dir", None) or None
     if base is None:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = tempfile.mkdtemp(prefix="attention-engine-")
         spark.conf.set("spark.checkpoint.dir", base)
     return base.rstrip("/")
