@@ -13,8 +13,7 @@ are responses and the others revisits that name it; smaller ones are all respons
 Defined cases: a null payload is empty; a null id is written as an empty field and never
 named by a revisit unless no other id has that payload (then the revisit names null and all
 are responses); repeated rows are written and read each; an empty table gives an empty
-result; only the named columns are read, so further columns can't clash. Archives need
-payloads below 2 GB together per task; ``repartition`` the input where tasks get more.
+result; only the named columns are read, so further columns can't clash.
 """
 
 from __future__ import annotations
@@ -29,7 +28,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, fresh_path
+from .common import bound_batches, fresh_path, materialise
 
 DICTIONARY_MAGIC = 0x184D2A5D
 EMPTY_FRAME = b"P*M\x18\0\0\0\0"
@@ -37,6 +36,8 @@ FRAME_MAGIC = b"\x28\xb5\x2f\xfd"
 SKIPPABLE = range(0x184D2A50, 0x184D2A60)
 #: The dictionary is an aid to compression, trained on at most so many records of a task.
 SAMPLE, DICTIONARY_BYTES, LEVEL = 200, 16 << 10, 3
+#: Bytes of frames of a line, and lines of a file.
+CHUNK, PER_FILE = 4 << 20, 64
 
 
 def digest_of(payload: bytes) -> str:
@@ -115,30 +116,39 @@ def archive_frames(records: Iterator[bytes]) -> Iterator[bytes]:
         yield packer.compress(r)
 
 
-def read_frames(data: bytes) -> Iterator[bytes]:
-    """The decoded frames of an archive, one at a time."""
-    view, at, trained = memoryview(data), 0, None
+def read_frames(data: bytes, skip: bool = False) -> Iterator[bytes | None]:
+    """The decoded frames of an archive, one at a time; with ``skip`` None stands for each damaged stretch."""
+    view, at, trained, lost = memoryview(data), 0, None, False
     while at < len(view):
-        if len(view) - at < 8:
-            if bytes(view[at:]).strip(b"\n"):
-                raise ValueError(f"{len(view) - at} bytes after the last frame")
-            return
-        magic, size = struct.unpack_from("<II", view, at)
-        if magic in SKIPPABLE:
-            if magic == DICTIONARY_MAGIC and at == 0 and size:
-                trained = zstandard.ZstdCompressionDict(bytes(view[8 : 8 + size]))
-            if at + 8 + size > len(view):
-                raise ValueError("a skippable frame is cut short")
-            at += 8 + size
+        try:
+            if len(view) - at < 8:
+                if bytes(view[at:]).strip(b"\n"):
+                    raise ValueError(f"{len(view) - at} bytes after the last frame")
+                return
+            magic, size = struct.unpack_from("<II", view, at)
+            if magic in SKIPPABLE:
+                if at + 8 + size > len(view):
+                    raise ValueError("a skippable frame is cut short")
+                if magic == DICTIONARY_MAGIC and at == 0 and size:
+                    trained = zstandard.ZstdCompressionDict(bytes(view[8 : 8 + size]))
+                at, lost = at + 8 + size, False
+                continue
+            if bytes(view[at : at + 4]) != FRAME_MAGIC:
+                raise ValueError(f"no frame at byte {at}")
+            one = zstandard.ZstdDecompressor(dict_data=trained).decompressobj()
+            out = one.decompress(view[at:])
+            if not one.eof:
+                raise ValueError("a frame is cut short")
+            at, lost = len(view) - len(one.unused_data), False
+        except (ValueError, zstandard.ZstdError):
+            if not skip:
+                raise
+            if not lost:
+                yield None
+            lost, found = True, [bytes(data).find(x, at + 1) for x in (FRAME_MAGIC, EMPTY_FRAME)]
+            at = min((x for x in found if x >= 0), default=len(view))
             continue
-        if bytes(view[at : at + 4]) != FRAME_MAGIC:
-            raise ValueError(f"no frame at byte {at}")
-        one = zstandard.ZstdDecompressor(dict_data=trained).decompressobj()
-        out = one.decompress(view[at:])
-        if not one.eof:
-            raise ValueError("a frame is cut short")
         yield out
-        at = len(view) - len(one.unused_data)
 
 
 def mark_revisits(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", min_bytes: int = 0) -> DataFrame:
@@ -146,14 +156,16 @@ def mark_revisits(pages: DataFrame, id_col: str = "page_id", url_col: str = "url
     payload = F.encode(F.coalesce(F.col(html_col).cast("string"), F.lit("")), "UTF-8")
     rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), payload.alias("payload"), F.sha1(payload).alias("sha1"))
     small = F.length("payload") < min_bytes
-    first = rows.where(~small).groupBy("sha1").agg(F.min("page_id").alias("first")).withColumnRenamed("sha1", "of")
-    joined = rows.join(first.hint("shuffle_hash"), (rows.sha1 == first.of) & ~small, "left")
+    # only digests that occur again matter; written, so that their size is known when the payloads' join is planned
+    first = rows.where(~small).groupBy(F.col("sha1").alias("of")).agg(F.min("page_id").alias("first"), F.count("*").alias("times")).where("times > 1").drop("times")
+    first = materialise(first, "digests")
+    joined = rows.join(first, (rows.sha1 == first.of) & ~small, "left")
     again = ~small & F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
     return joined.select("page_id", "url", "payload", F.when(again, "revisit").otherwise("response").alias("kind"), F.when(again, F.col("first")).alias("refers_to"))
 
 
 def write_archives(marked: DataFrame, path: str) -> None:
-    """An archive per task under ``path``."""
+    """Archives of bounded size under ``path``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def records() -> Iterator[bytes]:
@@ -161,37 +173,51 @@ def write_archives(marked: DataFrame, path: str) -> None:
                 for row in batch.to_pylist():
                     yield record(row["page_id"], row["url"], row["kind"], row["refers_to"], row["payload"], digest_of(row["payload"]))
 
-        held, size = [], 0
-        for frame in archive_frames(records()):
+        frames, lines = archive_frames(records()), 0
+        first = next(frames, None)
+        held, size = [first], 0
+        for frame in frames:
             held.append(frame)
             size += len(frame)
-            if size > 4 << 20:
-                yield pa.RecordBatch.from_arrays([pa.array(held, pa.binary())], names=["frame"])
-                held, size = [], 0
-        if held:
-            yield pa.RecordBatch.from_arrays([pa.array(held, pa.binary())], names=["frame"])
+            if size > CHUNK:
+                yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)], pa.binary())], names=["frames"])
+                lines += 1
+                held, size = [first] if lines % PER_FILE == 0 else [], 0
+        if size:
+            yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)], pa.binary())], names=["frames"])
 
     bound_batches(marked.sparkSession)
-    marked.mapInArrow(run, "frame binary").select(F.col("frame").cast("string").alias("value")).write.option("lineSep", EMPTY_FRAME.decode("latin-1")).text(path)
+    lines = marked.mapInArrow(run, "frames binary").select(F.col("frames").cast("string").alias("value"))
+    lines.write.option("lineSep", EMPTY_FRAME.decode("latin-1")).option("maxRecordsPerFile", PER_FILE).text(path)
+
+
+RECORD = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
+
+
+def _records(data: pa.Buffer, skip: bool) -> Iterator[dict | None]:
+    """The records of an archive; None for each broken one."""
+    for frame in read_frames(data, skip):
+        try:
+            yield None if frame is None else parse(frame)
+        except (ValueError, UnicodeDecodeError):
+            if not skip:
+                raise
+            yield None
 
 
 def read_archives(spark: SparkSession, path: str, broken: str = "raise") -> DataFrame:
     """A row per record of all archives under ``path``; broken="skip" leaves broken records out."""
-    schema = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shape = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64()), ("payload", pa.binary())])
         for batch in batches:
             for data in batch.column(0):
                 held, size = [], 0
-                for frame in read_frames(data.as_buffer()):
-                    try:
-                        held.append(parse(frame))
-                    except (ValueError, UnicodeDecodeError):
-                        if broken == "raise":
-                            raise
+                for row in _records(data.as_buffer(), broken == "skip"):
+                    if row is None:
                         continue
-                    size += len(frame)
+                    held.append(row)
+                    size += len(row["payload"]) + 200
                     if size > 8 << 20:
                         yield pa.RecordBatch.from_pylist(held, shape)
                         held, size = [], 0
@@ -200,7 +226,19 @@ def read_archives(spark: SparkSession, path: str, broken: str = "raise") -> Data
 
     bound_batches(spark)
     files = spark.read.format("binaryFile").load(f"{path}/part-*")
-    return files.select("content").mapInArrow(run, schema)
+    return files.select("content").mapInArrow(run, RECORD)
+
+
+def damage(spark: SparkSession, path: str) -> DataFrame:
+    """(path, records, broken) of all archives under ``path``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for name, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                bad = [row is None for row in _records(data.as_buffer(), True)]
+                yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([len(bad) - sum(bad)]), pa.array([sum(bad)])], names=["path", "records", "broken"])
+
+    return spark.read.format("binaryFile").load(f"{path}/part-*").select("path", "content").mapInArrow(run, "path string, records long, broken long")
 
 
 def round_trip(pages: DataFrame, path: str | None = None, min_bytes: int = 0) -> DataFrame:
