@@ -6,7 +6,10 @@ rule could equal: one for each (number of host labels, path length) that occurs
 rules. The expressions meet the rules on the first 32 bits of their SHA-256, the whole
 digest confirms, and the longest rule wins (then block before allow, then the name).
 
-The rules travel with the plan, so their number is checked against ``MAX_RULES``.
+Rules are a table (or a short list); the join deals both sides by hash, and Spark sends the
+rules to all tasks only where it knows them to be small. What travels with the plan are the
+shapes of rules, (number of host labels, path length); beyond ``MAX_SHAPES`` of them paths are
+met by their first ``PREFIX`` characters and confirmed by the rest.
 
 Defined cases: a null URL or one without "://" has an empty host and path and fits no
 rule; so has an empty host; what fits no rule gets ``default``; repeated rows are kept,
@@ -15,12 +18,11 @@ an empty table gives an empty result, and only the two named columns are read.
 
 from __future__ import annotations
 
-import hashlib
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-MAX_RULES = 100_000
+#: Shapes of rules that are tried one by one; beyond them all numbers of labels with up to PREFIX characters of the path.
+MAX_SHAPES, PREFIX = 64, 12
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 RULES = [("com", "/en/", "block"), ("example.com", "/en/7", "allow"), ("net", "/de/", "allow"), ("example.net", "/de/8", "block"), ("org", "/es/", "block")]
 #: Bytes 0 can't stand in a host label or path of a rule.
@@ -37,17 +39,23 @@ def path_of(url: Column) -> Column:
     return F.regexp_extract(F.coalesce(rest, F.lit("")), r"\A[^/?#]*([^?#]*)", 1)
 
 
-def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id_col: str = "page_id", url_col: str = "url", default: str = "allow") -> DataFrame:
-    """(id, host, path, rule, verdict) for every row."""
-    if len(rules) > MAX_RULES:
-        raise ValueError(f"{len(rules)} rules; at most {MAX_RULES} can travel with the plan")
+def judge(pages: DataFrame, rules: DataFrame | list[tuple[str, str, str]] = RULES, id_col: str = "page_id", url_col: str = "url", default: str = "allow") -> DataFrame:
+    """(id, host, path, rule, verdict) for every row; ``rules``: (host, path, verdict)."""
     spark = pages.sparkSession
-    shapes = sorted({(host.count(".") + 1, len(path)) for host, path, _ in rules})
-    rows = []
-    for host, path, verdict in rules:
-        full = hashlib.sha256((host + JOIN + path).encode()).hexdigest()
-        rows.append((full[:8], full, host + path, len(host) + len(path), int(verdict == "block"), verdict))
-    book = spark.createDataFrame(rows, "short string, full string, name string, size int, hard int, verdict string")
+    if not isinstance(rules, DataFrame):
+        rules = spark.createDataFrame(rules, "host string, path string, verdict string")
+    book = rules.select(F.translate("host", UPPER, LOWER).alias("r_host"), F.coalesce("path", F.lit("")).alias("r_path"), F.col("verdict").alias("r_verdict")).where("r_host <> ''").distinct()
+    labels = (F.length("r_host") - F.length(F.replace("r_host", F.lit("."), F.lit(""))) + 1).cast("int")
+    found = book.select(labels.alias("labels"), F.length("r_path").alias("size")).distinct().orderBy("size", "labels").limit(MAX_SHAPES + 1).collect()
+    if len(found) > MAX_SHAPES:  # paths are met on so many characters at most
+        longest = PREFIX
+        shapes = [(k, n) for k in range(1, book.agg(F.max(labels)).first()[0] + 1) for n in range(longest + 1)]
+    else:
+        longest = max((r["size"] for r in found), default=0)
+        shapes = sorted((r["labels"], r["size"]) for r in found)
+    head = F.substring("r_path", 1, longest) if longest else F.lit("")
+    full = F.sha2(F.concat("r_host", F.lit(JOIN), head), 256)
+    book = book.select(F.substring(full, 1, 8).alias("short"), full.alias("full"), "r_path", F.concat("r_host", "r_path").alias("name"), (F.length("r_host") + F.length("r_path")).alias("size"), (F.col("r_verdict") == "block").cast("int").alias("hard"), F.col("r_verdict").alias("verdict"))
     urls = pages.select(F.col(id_col).alias("id"), F.col(url_col).cast("string").alias("url")).groupBy("id", "url").agg(F.count("*").alias("times"))
     urls = urls.select("id", "url", "times", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
 
@@ -58,8 +66,8 @@ def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id_col: s
 
     wanted = F.filter(F.array(*[expression(*s) for s in shapes]), lambda x: x.isNotNull())
     asked = urls.withColumn("e", F.explode_outer(wanted)).withColumn("digest", F.sha2(F.col("e"), 256)).withColumn("brief", F.substring("digest", 1, 8))
-    met = asked.join(F.broadcast(book), F.col("brief") == F.col("short"), "left")
-    rule = F.when(F.col("digest") == F.col("full"), F.struct("size", "hard", "name", F.col("verdict")))
+    met = asked.join(book, F.col("brief") == F.col("short"), "left")
+    rule = F.when((F.col("digest") == F.col("full")) & F.startswith(F.col("path"), F.col("r_path")), F.struct("size", "hard", "name", F.col("verdict")))
     best = met.groupBy("id", "url", "times", "host", "path").agg(F.max(rule).alias("best"))
     out = best.select(F.col("id").alias(id_col), "host", "path", F.col("best.name").alias("rule"), F.coalesce("best.verdict", F.lit(default)).alias("verdict"), F.explode(F.sequence(F.lit(1).cast("long"), "times")).alias("copy"))
     return out.drop("copy")
