@@ -444,18 +444,19 @@ def answered(texts: DataFrame, got: list[DataFrame], total: int, kinds: int) ->
                 ids = np.fromiter(map(vocabulary.__getitem__, t.split()), np.int64)
                 data, places = stream([t])
                 score = sum(float(logs.get(keys_at(data, places[a : a + STEP])).sum()) for a in range(0, len(places), STEP))
-                rows.append((len(ids) + 1, int((count[ids] > 0).sum() + (count[end] > 0)), float(base[ids].sum() + base[end]), score))
-        n, known, low, high = zip(*rows, strict=True) if rows else ((),) * 4
-        return pa.table([text["id"], text["out"], pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array([total] * len(n), pa.int64()), pa.array(low, pa.float64()), pa.array(high, pa.float64())], names=["id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+                rows.append((len(ids) + 1, int((count[ids] > 0).sum() + (count[end] > 0)), float(base[ids].sum() + base[end]), score, len(places)))
+        n, known, low, high, size = zip(*rows, strict=True) if rows else ((),) * 5
+        bits = [-x * math.log2(10) / k for x, k in zip(high, size, strict=True)]
+        return pa.table([text["id"], text["out"], pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array([total] * len(n), pa.int64()), pa.array(low, pa.float64()), pa.array(high, pa.float64()), pa.array(size, pa.int64()), pa.array(bits, pa.float64())], names=["id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "n_bytes", "bits_per_byte"])
 
     rows = texts.select("block", "kind", "id", "out", "data", F.lit(None).cast("binary").alias("times"))
     for part in got:
         rows = rows.union(part.select("block", "kind", F.lit(None).cast("long"), F.lit(None).cast("boolean"), "data", "times"))
-    return rows.groupBy("block").applyInArrow(run, "id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    return rows.groupBy("block").applyInArrow(run, "id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, n_bytes long, bits_per_byte double")
 
 
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Base and model scores of every row; the model learns from rows that aren't held out."""
+    """Base and model scores of every row, and the code length per byte sent (words with a closing blank each, and the end); the model learns from rows that aren't held out."""
     spark = docs.sparkSession
     bound_batches(spark)
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
