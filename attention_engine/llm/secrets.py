@@ -6,8 +6,8 @@ findings are joined back to all ids that have the blob. A rule is changed by giv
 a new version. ``scan`` takes a ledger and returns the new entries with the answer, so a
 caller keeps it by appending those to a table.
 
-Spans are found without Python: a text's matches and what stands between them have the
-lengths from which starts and ends follow, in code points, end exclusive. Beside the base
+Spans are found without Python: a text's matches and what stands between them become a row
+each, and running sums of their lengths give starts and ends, in code points, end exclusive. Beside the base
 kinds assign, access and hex there are pem, jwt and pat (private keys, signed tokens and
 personal access tokens of known forms).
 
@@ -18,7 +18,7 @@ only the two named columns are read, so further columns can't clash.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import materialise
@@ -34,33 +34,32 @@ KINDS = [
     ("pat", r"(?:ghp|gho|ghs)_[A-Za-z0-9]{36,}", None),
 ]
 BASE = 3
-SPAN = "array<struct<start:int,kind:int,end:int>>"
 
 
-def spans_of(text: Column, number: int, pattern: str, fits: str | None) -> Column:
-    """Spans of the leftmost non-overlapping matches that fit."""
+def matches_of(text: Column, number: int, pattern: str, fits: str | None) -> Column:
+    """(kind, pos, gap, size, fits) of the leftmost non-overlapping matches: the lengths of what stands before each and of itself."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    gaps = F.split(text, pattern, -1)
+    gaps = F.slice(F.split(text, pattern, -1), 1, F.size(found))
+    pairs = F.zip_with(gaps, found, lambda g, m: F.struct(F.length(g).alias("gap"), F.length(m).alias("size"), (F.lit(True) if fits is None else F.regexp_like(m, F.lit(fits))).alias("fits")))
+    return F.transform(pairs, lambda p, i: F.struct(F.lit(number).alias("kind"), i.alias("pos"), p["gap"].alias("gap"), p["size"].alias("size"), p["fits"].alias("fits")))
 
-    def step(acc: Column, pair: Column) -> Column:
-        start = acc["at"] + F.length(pair["gap"])
-        end = start + F.length(pair["match"])
-        span = F.array(F.struct(start.alias("start"), F.lit(number).alias("kind"), end.alias("end")))
-        keep = F.lit(True) if fits is None else F.regexp_like(pair["match"], F.lit(fits))
-        return F.struct(end.alias("at"), F.when(keep, F.concat(acc["spans"], span)).otherwise(acc["spans"]).alias("spans"))
 
-    start = F.struct(F.lit(0).alias("at"), F.array().cast(SPAN).alias("spans"))
-    pairs = F.zip_with(F.slice(gaps, 1, F.size(found)), found, lambda g, m: F.struct(g.alias("gap"), m.alias("match")))
-    return F.when(F.size(found) > 0, F.aggregate(pairs, start, step)["spans"]).otherwise(F.array().cast(SPAN))
+def spans_of(texts: DataFrame, kinds: list[tuple]) -> DataFrame:
+    """(blob, spans: ordered (start, kind, end)) of the texts (blob, text) that have a span."""
+    rows = texts.select("blob", F.explode(F.concat(*[matches_of(F.col("text"), n, p, f) for n, (_, p, f) in enumerate(kinds)])).alias("m")).select("blob", "m.*").distinct()
+    before = F.sum(F.col("gap") + F.col("size")).over(Window.partitionBy("blob", "kind").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1))
+    start = (F.coalesce(before, F.lit(0)) + F.col("gap")).cast("int")
+    rows = rows.select("blob", start.alias("start"), "kind", (start + F.col("size")).alias("end"), "fits").where("fits")
+    return rows.groupBy("blob").agg(F.array_sort(F.collect_list(F.struct("start", "kind", "end"))).alias("spans"))
 
 
-def joined(spans: Column) -> Column:
-    names = F.array(*[F.lit(k) for k, _, _ in KINDS])
+def joined(spans: Column, kinds: list[tuple]) -> Column:
+    names = F.array(*[F.lit(k) for k, _, _ in kinds])
     return F.concat_ws(",", F.transform(spans, lambda s: F.concat_ws(":", F.element_at(names, s["kind"] + 1), s["start"], s["end"])))
 
 
-def scan(docs: DataFrame, ledger: DataFrame | None = None, id_col: str = "doc_id", text_col: str = "text", version: str = RULE_VERSION) -> tuple[DataFrame, DataFrame]:
-    """(a row per row of ``docs``; the entries that the ledger lacked)."""
+def scan(docs: DataFrame, ledger: DataFrame | None = None, id_col: str = "doc_id", text_col: str = "text", version: str = RULE_VERSION, kinds: list[tuple] = KINDS) -> tuple[DataFrame, DataFrame]:
+    """(a row per row of ``docs``; the entries that the ledger lacked). ``kinds`` belong to the version; the first three are the base ones."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = docs.select(F.col(id_col).alias("id"), text.alias("text"), F.sha2(F.encode(text, "UTF-8"), 256).alias("blob"))
     versions = materialise(rows.select("id", "blob"), "blobs")
@@ -70,14 +69,18 @@ def scan(docs: DataFrame, ledger: DataFrame | None = None, id_col: str = "doc_id
         blobs = blobs.join(seen.select("blob"), "blob", "left_anti")
     todo = blobs.select(F.col("blob").alias("b"), "keeper").hint("shuffle_hash")
     texts = rows.join(todo, (F.col("blob") == F.col("b")) & F.col("id").eqNullSafe(F.col("keeper"))).select("blob", "text")
-    found = texts.select("blob", *[spans_of(F.col("text"), n, p, f).alias(k) for n, (k, p, f) in enumerate(KINDS)])
-    every, base = F.array_sort(F.concat(*[k for k, _, _ in KINDS])), F.array_sort(F.concat(*[k for k, _, _ in KINDS[:BASE]]))
-    entries = found.where(F.size(every) > 0).select("blob", *[F.size(k).cast("long").alias(f"n_{k}") for k, _, _ in KINDS], joined(base).alias("base_spans"), joined(every).alias("spans")).dropDuplicates(["blob"])
+    found = spans_of(texts, kinds)
+
+    def of_kind(n: int) -> Column:
+        return F.size(F.filter("spans", lambda x: x["kind"] == n)).cast("long")
+
+    counts = [of_kind(n).alias(f"n_{k}") for n, (k, _, _) in enumerate(kinds[:BASE])]
+    entries = found.select("blob", *counts, joined(F.filter("spans", lambda x: x["kind"] < BASE), kinds).alias("base_spans"), joined(F.col("spans"), kinds).alias("spans"))
     entries = materialise(entries, "findings")
     fresh = blobs.select("blob", F.lit(version).alias("rule_version")).join(entries, "blob", "left")
     known = entries if ledger is None else entries.unionByName(seen.where("spans is not null").select(entries.columns))
     out = versions.join(known, "blob", "left")
-    counts = [F.coalesce(f"n_{k}", F.lit(0).cast("long")).alias(f"n_{k}") for k, _, _ in KINDS[:BASE]]
+    counts = [F.coalesce(f"n_{k}", F.lit(0).cast("long")).alias(f"n_{k}") for k, _, _ in kinds[:BASE]]
     return out.select(F.col("id").alias(id_col), *counts, F.sha2(F.coalesce("base_spans", F.lit("")), 256).alias("base_sha256"), F.coalesce("spans", F.lit("")).alias("spans")), fresh
 
 
