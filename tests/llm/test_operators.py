@@ -201,6 +201,38 @@ def test_decontamination(spark, docs, empty):
     assert decontaminate.contamination(docs, bench.limit(0)).where("contaminated").count() == 0
 
 
+def test_decontamination_against_all_alignments(spark):
+    """Items of 1 to 40 words, substituted in a text or not; every item at every place of every text is the measure."""
+    rng = np.random.default_rng(8)
+    say = lambda n, low=0: [f"w{x}" for x in rng.integers(low, low + 3000, n)]
+    items = [say(n) for n in (1, 2, 3, 4, 5, 5, 6, 7, 8, 9, 12, 13, 20, 40) for _ in range(4)]
+    texts = []
+    for item in items:
+        for changed in (0, 1, 2, 4, 8):
+            words = list(item)
+            for k in rng.choice(len(words), min(changed, len(words)), replace=False):
+                words[k] = f"z{rng.integers(0, 9)}"
+            texts.append([*say(int(rng.integers(0, 15)), 9000), *words, *say(int(rng.integers(0, 15)), 9000)])
+    texts += [items[-1][:14], items[-1][30:], say(30, 9000)]
+
+    def leaks(text, item):
+        least = min(decontaminate.MIN_WORDS, len(item))
+        for at in range(-len(item) + 1, len(text)):
+            low, high = max(0, at), min(len(text), at + len(item))
+            if decontaminate.overlap(np.array([text[k] == item[k - at] for k in range(low, high)], bool), least):
+                return True
+        return False
+
+    want = {(d, i) for d, t in enumerate(texts) for i, item in enumerate(items) if set(t) & set(item) and leaks(t, item)}
+    docs = spark.createDataFrame([(d, " ".join(t).upper()) for d, t in enumerate(texts)] + [(None, None)], "doc_id long, text string")
+    bench = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(items)], "item_id long, text string")
+    rows = decontaminate.contamination(docs, bench).collect()
+    got = {(r.doc_id, int(i)) for r in rows for i in r["items"].split(",") if i}
+    assert got <= want and len(got) >= 0.97 * len(want) and len(rows) == len(texts) + 1
+    short = {(d, i) for d, i in want if len(items[i]) <= 12}
+    assert short <= got and len(want - short) > 40
+
+
 def test_packing(docs, empty):
     got = packing.best_fit(docs, capacity=100).collect()
     words = {str(r.doc_id): len(WORD.findall(fold(r.text))) for r in docs.collect()}
@@ -216,6 +248,93 @@ def test_packing(docs, empty):
     assert packing.best_fit(empty).count() == 0
 
 
+def plain_spans(text, kinds):
+    out = []
+    for n, (name, pattern, fits) in enumerate(kinds):
+        for m in re.finditer(pattern.replace("(?is)", "").replace("(?i:", "(?i:"), text):
+            if fits is None or re.search(fits, m.group(0)):
+                out.append((m.start(), n, m.end(), name))
+    return ",".join(f"{name}:{a}:{b}" for a, _, b, name in sorted(out))
+
+
+def test_secrets_by_ledger(spark, docs, empty):
+    """Against a plain scan; a second run scans new blobs only; a new rule version scans all again."""
+    token = "tok" + "en"
+    texts = [f'{token} = "{"abCD12" * 3}" é {"0a1f" * 6} and AKIA{"Q" * 15}', f"pass{'word'}:short {token}:{'x' * 12}{token}={'y' * 30}", "deadbeef" * 3 + "é" + "00ff" * 5, "-----BEGIN RSA PRIVATE KEY----- x", None, "", ("0123456789abcdef ") * 3000]
+    first = spark.createDataFrame([(i, t) for i, t in enumerate(texts)] + [(0, texts[0]), (None, texts[1])], "doc_id long, text string")
+    rows, fresh = secrets.scan(first)
+    got = {r.doc_id: r for r in rows.collect()}
+    for i, t in enumerate(texts):
+        want = plain_spans(t or "", secrets.KINDS)
+        assert got[i].spans == want and got[i].n_hex == want.count("hex:"), i
+    assert got[None].spans == got[1].spans and rows.count() == len(texts) + 2
+    ledger = fresh.cache()
+    assert ledger.count() == len({t or "" for t in texts})
+    second = first.union(spark.createDataFrame([(90, "new " + "ab12" * 8)], "doc_id long, text string"))
+    rows2, fresh2 = secrets.scan(second, ledger)
+    assert fresh2.count() == 1 and {r.doc_id: r.spans for r in rows2.collect() if r.doc_id != 90} == {d: r.spans for d, r in got.items()}
+    more = [*secrets.KINDS, ("ticket", "TCK-[0-9]{6}", None)]
+    rows3, fresh3 = secrets.scan(spark.createDataFrame([(0, texts[0]), (1, "TCK-123456")], "doc_id long, text string"), ledger.unionByName(fresh2), version="2", kinds=more)
+    assert fresh3.count() == 2 and {r.doc_id: r.spans for r in rows3.collect()} == {0: got[0].spans, 1: "ticket:0:10"}
+    assert secrets.scan(empty)[0].count() == 0
+    clashing = first.withColumns({"blob": F.lit(1), "spans": F.lit("x"), "keeper": F.lit(2), "kind": F.lit(0)})
+    assert sorted(map(str, secrets.scan(clashing)[0].collect())) == sorted(map(str, rows.collect()))
+
+
+def test_many_rules(spark):
+    """Rules of more shapes than are tried one by one, as a table; against a plain rendering."""
+    rng = np.random.default_rng(4)
+    hosts = [".".join(f"h{x}" for x in rng.integers(0, 4, rng.integers(1, 6))) for _ in range(60)]
+    rules = sorted({(hosts[k % 60], "/" + "ab"[k % 2] * int(rng.integers(0, 30)), ["block", "allow"][k % 2]) for k in range(300)})
+    urls = [f"http://{'x.' * (k % 3)}{hosts[k % 60].upper()}/{'ab'[k % 2] * int(rng.integers(0, 40))}?q#f" for k in range(300)] + [None, "nothing", "http:///", "http://H1", "ftp://h1#/aa"]
+
+    def plain(url):
+        if url is None or "://" not in url:
+            return "", "", None, "allow"
+        rest = url.split("://", 1)[1]
+        host = re.match(r"[^/?#]*", rest).group(0)
+        path = re.match(r"[^?#]*", rest[len(host) :]).group(0)
+        host = fold(host)
+        fit = [(len(h) + len(p), v == "block", h + p, v) for h, p, v in rules if (host == h or host.endswith("." + h)) and path.startswith(p)]
+        best = max(fit, default=None)
+        return host, path, best and best[2], best[3] if best else "allow"
+
+    pages = spark.createDataFrame([(k, u, 1, "v") for k, u in enumerate(urls)] + [(None, urls[0], 1, "v")], "page_id long, url string, times long, verdict string")
+    assert len({(h.count("."), len(p)) for h, p, _ in rules}) > urlrules.MAX_SHAPES
+    table = spark.createDataFrame(rules, "host string, path string, verdict string")
+    for given in (table, rules[:40]):
+        if given is not table:
+            rules = rules[:40]
+        got = {r.page_id: (r.host, r.path, r.rule, r.verdict) for r in urlrules.judge(pages, given).collect()}
+        assert got.pop(None) == plain(urls[0]) and got == {k: plain(u) for k, u in enumerate(urls)}
+    assert urlrules.judge(pages.limit(0)).count() == 0
+
+
+def test_archives_roll_and_survive_damage(spark, tmp_path, monkeypatch):
+    """Many small files, each with its dictionary; a flipped byte costs one record; texts of a megabyte."""
+    monkeypatch.setattr(warc, "CHUNK", 2000)
+    monkeypatch.setattr(warc, "PER_FILE", 3)
+    pages = spark.createDataFrame([(k, f"http://h/{k}", f"<p>{prose(k, 200)}</p>", 1, "x") for k in range(150)] + [(200, "http://h/l", "long " * 200_000, 1, "x")], "page_id long, url string, html string, first long, sha1 string").coalesce(1)
+    path = str(tmp_path / "archives")
+    warc.write_archives(warc.mark_revisits(pages), path)
+    files = sorted(p for p in (tmp_path / "archives").iterdir() if p.name.startswith("part-"))
+    assert len(files) > 5 and all(f.read_bytes()[:4] == b"]*M\x18" for f in files)
+    rows = {r.page_id: bytes(r.payload).decode() for r in warc.read_archives(spark, path).collect()}
+    assert rows == {r.page_id: r.html for r in pages.collect()}
+    data = bytearray(files[1].read_bytes())
+    at = data.index(b"\x28\xb5\x2f\xfd", 20_000)
+    data[at + 30] ^= 255
+    files[1].write_bytes(bytes(data))
+    for crc in files[1].parent.glob(".*.crc"):
+        crc.unlink()
+    left = warc.read_archives(spark, path, "skip").collect()
+    assert 0 < 151 - len(left) <= 2 and all(rows[r.page_id] == bytes(r.payload).decode() for r in left)
+    told = warc.damage(spark, path).agg(F.sum("records"), F.sum("broken")).first()
+    assert told[0] == len(left) and told[1] >= 1
+    with pytest.raises(Exception, match="rror"):
+        warc.read_archives(spark, path).count()
+
+
 def test_best_fit_is_tightest():
     rng = np.random.default_rng(2)
     sizes = sorted(rng.integers(1, 50, 300).tolist(), reverse=True)
