@@ -105,7 +105,8 @@ def identify(rows: DataFrame, labelled: DataFrame) -> DataFrame:
     base = F.array(*map(F.lit, overall))
     facts = rows
     for key in ("host", "domain", "declared", "suffix"):
-        facts = facts.join(_counts(rows, key, languages), F.col(key) == F.col(f"of_{key}"), "left")
+        # written: its size is known when the join is planned, and a hot value's rows may be split
+        facts = facts.join(materialise(_counts(rows, key, languages), f"counts-{key}"), F.col(key) == F.col(f"of_{key}"), "left")
 
     def smoothed(counts: Column, towards: Column) -> Column:
         return F.when(counts.isNull(), towards).otherwise(F.zip_with(counts, towards, lambda n, p: (n + HOST_WEIGHT * p) / (_total(counts) + HOST_WEIGHT)))

@@ -1,5 +1,6 @@
 """Small fixtures: nulls, empty and repeated rows, ties, clashing columns, and brute force."""
 
+import math
 import re
 import zlib
 
@@ -190,6 +191,78 @@ def test_quality(docs, empty):
     assert quality.duplicate_lines(b"a\n\na\n b\n b\n") == 2
 
 
+def test_quality_counts_against_plain_ones(spark, docs):
+    rng = np.random.default_rng(12)
+    pieces = ["aa", "b#b", "$", "<p>", "é|", "\n", "\n\n", "\t", " ", "x" * 40, "one two three four five six seven eight", "line\nline", " line"]
+    texts = ["".join(pieces[k] + (" " if rng.random() < 0.6 else "") for k in rng.integers(0, len(pieces), n)) for n in rng.integers(0, 90, 60)] + ["w " * 30_000 + "end"]
+    more = docs.select("doc_id", "text", "lang").union(spark.createDataFrame([(1000 + k, t, "en") for k, t in enumerate(texts)], "doc_id long, text string, lang string"))
+
+    def plain(t):
+        t = t or ""
+        words, lines, seen, dup = WORD.findall(t), t.split("\n"), set(), 0
+        for line in lines:
+            if WORD.search(line):
+                dup += line in seen
+                seen.add(line)
+        spots = {}
+        for k in range(len(words) - 7):
+            spots.setdefault(tuple(words[k : k + 8]), []).append(k)
+        again = {k + j for at in spots.values() if len(at) > 1 for k in at for j in range(8)}
+        return len(words), sum(map(len, words)), sum(c in "#*$%&|<>" for c in t), dup, len(again)
+
+    for r in quality.quality(more).collect():
+        text = texts[r.doc_id - 1000] if r.doc_id is not None and r.doc_id >= 1000 else None
+        if text is not None:
+            assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == plain(text)
+            assert r.base_failed == (r.n_words < 20 or 100 * r.n_repeat_words > 30 * r.n_words)
+
+
+def plain_context_tree(streams, scored, depth):
+    """Counts in dictionaries, mixed from the deepest contexts up; log10 of the probability of each scored stream."""
+    def decisions(data):
+        for at in range(depth, len(data)):
+            for j in range(8):
+                yield [(data[at - d : at], 1 << j | data[at] >> 8 - j) for d in range(depth + 1)], data[at] >> 7 - j & 1
+
+    counts = {}
+    for data in streams:
+        for nodes, bit in decisions(data):
+            for node in nodes:
+                counts.setdefault(node, [0, 0])[bit] += 1
+    kt = {n: sum(math.log((k + 0.5)) for k in range(z)) + sum(math.log(k + 0.5) for k in range(o)) - sum(math.log(k + 1) for k in range(z + o)) for n, (z, o) in counts.items()}
+    mixed, below = {}, {}
+    for node in sorted(counts, key=lambda n: -len(n[0])):
+        mixed[node] = kt[node] if len(node[0]) == depth else np.logaddexp(kt[node], below[node]) - math.log(2)
+        if node[0]:
+            up = (node[0][1:], node[1])
+            below[up] = below.get(up, 0.0) + mixed[node]
+    out = []
+    for data in scored:
+        total = 0.0
+        for nodes, bit in decisions(data):
+            p = None
+            for node in reversed(nodes):
+                if node in counts:
+                    own = (counts[node][bit] + 0.5) / (sum(counts[node]) + 1)
+                    stop = math.exp(min(kt[node] - math.log(2) - mixed[node], 0))
+                    p = own if p is None else stop * own + (1 - stop) * p
+            total += math.log10(0.5 if p is None else p)
+        out.append(total)
+    return out
+
+
+def test_ctw_against_a_plain_tree(spark):
+    texts = [" ".join(word(k * 7 + j * j) for j in range(12)) for k in range(14)] + ["", None, "É x", word(3).upper()]
+    docs = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    rows = {r.doc_id: r for r in ctw.score(docs).collect()}
+    sent = [ctw.LEAD + b"".join(w + b" " for w in (t or "").encode().lower().split()) + ctw.END for t in texts]
+    learnt = [s for k, s in enumerate(sent) if not ctw.held_out(k)]
+    assert 0 < len(learnt) < len(sent)
+    want = plain_context_tree(learnt, sent, ctw.DEPTH)
+    assert np.allclose([rows[k].score for k in range(len(texts))], want)
+    assert all(rows[k].n_bytes == len(sent[k]) - len(ctw.LEAD) and np.isclose(rows[k].bits_per_byte, -want[k] / math.log10(2) / rows[k].n_bytes) for k in range(len(texts)))
+
+
 def test_decontamination(spark, docs, empty):
     item = prose(1, 60).split()[10:40]
     bench = spark.createDataFrame([(1, " ".join(item)), (2, None), (3, "too short"), (1, " ".join(item))], "item_id long, text string")
