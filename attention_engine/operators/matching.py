@@ -6,7 +6,7 @@ cells are never tested; pushdown: literal ranges of the zones' boxes that reach
 two_hulls: inside both outlines of a pair instead of their overlap. A point without a place
 is in no zone. Strategies that compare points with zones without a key take at most
 ``MAX_BROADCAST_ZONES`` zones, which are counted; beyond that bbox and pushdown go by cells
-and exhaustive is refused.
+and exhaustive is refused. auto: bbox for up to ``FEW_ZONES`` zones, else quadtree.
 """
 
 from __future__ import annotations
@@ -20,11 +20,13 @@ from .quadtree import HOT, Bounds, build_quadtree, cells_for_zones, data_bounds,
 
 #: Zones travel to every task only up to so many; more are dealt by cell.
 MAX_BROADCAST_ZONES = 50_000
-STRATEGIES = ("exhaustive", "bbox", "quadtree", "pushdown", "two_hulls")
+#: So few zones are compared with every point in less time than an index takes to build.
+FEW_ZONES = 2_000
+STRATEGIES = ("auto", "exhaustive", "bbox", "quadtree", "pushdown", "two_hulls")
 
 
-def _few(zones: DataFrame) -> bool:
-    return zones.limit(MAX_BROADCAST_ZONES + 1).count() <= MAX_BROADCAST_ZONES
+def _few(zones: DataFrame, most: int = MAX_BROADCAST_ZONES) -> bool:
+    return zones.limit(most + 1).count() <= most
 
 
 def match_points(points: DataFrame, zones: DataFrame, strategy: str = "quadtree", closed: bool = False, capacity: int = 64, max_depth: int = 10, bounds: Bounds | None = None, index: tuple[DataFrame, DataFrame] | None = None, view: ViewPort | None = None, accept_full_cells: bool = False, hot: int = HOT) -> DataFrame:
@@ -36,7 +38,9 @@ def match_points(points: DataFrame, zones: DataFrame, strategy: str = "quadtree"
     shape = zones.select("session_id", "zone_id", F.col("edges").alias("z_edges"), F.col("bbox").alias("z_box"))
     out = ["session_id", "zone_id", "point_id"]
     inside = contains(x, y, F.col("z_edges"), closed)
-    if strategy != "quadtree" and not _few(zones):
+    if strategy == "auto":
+        strategy = "bbox" if index is None and not accept_full_cells and _few(zones, FEW_ZONES) else "quadtree"
+    elif strategy != "quadtree" and not _few(zones):
         if strategy == "exhaustive":
             raise ValueError(f"more than {MAX_BROADCAST_ZONES} zones; use another strategy")
         strategy = "quadtree"

@@ -29,7 +29,7 @@ class Params:
     feedback: str = "implicit"
     multiplicity: str = "set"
     normalise: str = "share"
-    matching: str = "quadtree"
+    matching: str = "auto"
     k: int = 5
     depth: int | None = None
     time_limit_ms: float | None = 200

@@ -52,7 +52,7 @@ def zones(s: SparkSession, d: str) -> DataFrame:
 
 
 def seen(s: SparkSession, d: str) -> DataFrame:
-    return matched(match_points(T.points_part(s, d), keep(zones(s, d))))
+    return matched(match_points(T.points_part(s, d), keep(zones(s, d)), "auto"))
 
 
 def vector(s: SparkSession, d: str, how: str = "share") -> DataFrame:

@@ -53,7 +53,7 @@ def statistics(spark: SparkSession, sf_dir: str, points: DataFrame, eps: float =
     trace = T.trace_view(spark, sf_dir)
     rings = keep(discover_outlines(trace, T.T_C, g, eps, min_pts, T.TICK))
     zones = keep(attention_zones(rings))
-    found = match_points(points, zones)
+    found = match_points(points, zones, "auto")
     return measures.stats_table(rings, zones, found, measures.sessions_of(trace), SIZES, points.count())
 
 
@@ -107,7 +107,7 @@ def k_sweep(lists: DataFrame, ks: tuple = (2, 3, 5, 10, 20), scans: int = 1000)
 
 def pruning_sweep(points: DataFrame, zones: DataFrame, cases: tuple = ((100, 16), (1000, 16), (2000, 16), (2000, 64), (2000, 256)), bounds=None) -> DataFrame:
     """(n, capacity, cells, tested, pruned): means over sessions with zones, by number of points and cell capacity."""
-    out, found = None, keep(match_points(points, zones, bounds=bounds))
+    out, found = None, keep(match_points(points, zones, "auto"))
     for n, c in cases:
         some = T.first_n(points, n)
         if some.count() < n:

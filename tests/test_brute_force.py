@@ -162,7 +162,7 @@ def test_matching_far_outside_and_without_place(spark):
     zones = drawn_zones([(k % 3, f"z{k}", square(x, y, s)) for k, (x, y, s) in enumerate(corners)], spark).cache()
     want = {(k % 3, f"z{k}", i) for k, (x, y, s) in enumerate(corners) for i, (px, py) in enumerate(spots) if px is not None and py is not None and x < px < x + s and y < py < y + s}
     points = spark.createDataFrame([(i, *p) for i, p in enumerate(spots)], "point_id long, x double, y double").cache()
-    for how in ({"strategy": "exhaustive"}, {"strategy": "bbox"}, {}, {"bounds": (-512.0, -512.0, 512.0, 512.0)}, {"accept_full_cells": True, "capacity": 4}, {"capacity": 8, "max_depth": 2, "hot": 9}):
+    for how in ({"strategy": "exhaustive"}, {"strategy": "bbox"}, {"strategy": "auto"}, {}, {"bounds": (-512.0, -512.0, 512.0, 512.0)}, {"accept_full_cells": True, "capacity": 4}, {"capacity": 8, "max_depth": 2, "hot": 9}):
         got = match_points(points, zones, **how)
         assert {tuple(r) for r in got.collect()} == want, how
     plan = got._jdf.queryExecution().executedPlan().toString()
