@@ -103,5 +103,5 @@ def discover_outlines(trace: DataFrame, t_c: int, g: int = 3, eps: float = 20, m
     sliced = segment_trace(thin_trace(clip_trace(trace, t_c).repartition("session_id"), every_ms, thin), t_c, g, segments, t_0=t_0)
     if cluster == "none":
         return slice_outlines(sliced)
-    return outlines(density_clusters(sliced, eps, min_pts, eps_t, strategy), algo)
+    return outlines(density_clusters(sliced, eps, min_pts, eps_t, strategy), algo, two_stage=strategy == "grid")
 
