@@ -472,6 +472,25 @@ def test_language_evidence(spark, empty):
     assert langid.visible(b"<script>x<y</script>a<b>c</b><!-- d -->") == b" a c  "
 
 
+def test_fusion_helps_on_held_out_texts(spark):
+    """Models learn from even ids; of odd ids whole texts are known by text alone, and a page of one short word better with a mostly true declaration than by its text alone."""
+    rows = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where("lang is not null and n_chars > 200").select("doc_id", "text", "lang", "source").limit(400).toPandas()
+    learn, held_out = rows[rows.doc_id % 2 == 0], rows[rows.doc_id % 2 == 1]
+    known = sorted(set(rows.lang))
+    labelled = spark.createDataFrame(learn[["text", "lang"]])
+    whole = langid.identify(langid.text_rows(spark.createDataFrame(held_out)), labelled)
+    truth = dict(zip(held_out.doc_id, held_out.lang, strict=True))
+    assert np.mean([r.lang == truth[r.id] for r in whole.collect()]) > 0.95
+    pages = []
+    for i, text, lang in held_out[["doc_id", "text", "lang"]].itertuples(index=False):
+        said = lang if i % 10 != 3 else known[(known.index(lang) + 1) % len(known)]
+        pages.append((int(i), f"http://h{i % 5}.example/", f"<html lang={said}><p>{min(text.split()[:20], key=len)}</p>"))
+    got = langid.identify(langid.page_rows(spark.createDataFrame(pages, "page_id long, url string, html string")), labelled).collect()
+    alone, fused = (np.mean([getattr(r, c) == truth[r.id] for r in got]) for c in ("text_lang", "lang"))
+    print(alone, fused)
+    assert fused > alone and fused > 0.85, (alone, fused)
+
+
 def test_declared_language_after_a_long_preamble(spark):
     late = "<!-- " + "licence " * 1000 + "--><html class=x lang='de'><p>x"
     pages = spark.createDataFrame([(1, "http://y.com/", late)], "page_id long, url string, html string")
