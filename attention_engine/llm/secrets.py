@@ -41,12 +41,13 @@ def matches_of(text: Column, number: int, pattern: str, fits: str | None) -> Col
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
     gaps = F.slice(F.split(text, pattern, -1), 1, F.size(found))
     pairs = F.zip_with(gaps, found, lambda g, m: F.struct(F.length(g).alias("gap"), F.length(m).alias("size"), (F.lit(True) if fits is None else F.regexp_like(m, F.lit(fits))).alias("fits")))
-    return F.transform(pairs, lambda p, i: F.struct(F.lit(number).alias("kind"), i.alias("pos"), p["gap"].alias("gap"), p["size"].alias("size"), p["fits"].alias("fits")))
+    rows = F.transform(pairs, lambda p, i: F.struct(F.lit(number).alias("kind"), i.alias("pos"), p["gap"].alias("gap"), p["size"].alias("size"), p["fits"].alias("fits")))
+    return F.when(F.size(found) > 0, rows)  # most texts are looked through once and never split
 
 
 def spans_of(texts: DataFrame, kinds: list[tuple]) -> DataFrame:
     """(blob, spans: ordered (start, kind, end)) of the texts (blob, text) that have a span."""
-    rows = texts.select("blob", F.explode(F.concat(*[matches_of(F.col("text"), n, p, f) for n, (_, p, f) in enumerate(kinds)])).alias("m")).select("blob", "m.*").distinct()
+    rows = texts.select("blob", F.explode(F.flatten(F.array_compact(F.array(*[matches_of(F.col("text"), n, p, f) for n, (_, p, f) in enumerate(kinds)])))).alias("m")).select("blob", "m.*").distinct()
     before = F.sum(F.col("gap") + F.col("size")).over(Window.partitionBy("blob", "kind").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1))
     start = (F.coalesce(before, F.lit(0)) + F.col("gap")).cast("int")
     rows = rows.select("blob", start.alias("start"), "kind", (start + F.col("size")).alias("end"), "fits").where("fits")
