@@ -8,8 +8,9 @@ neither its source nor its cluster, and the search goes on through the successor
 such a bin is found or a new one is opened. Residuals without a compatible bin are passed
 over by counts per source, so a hot source doesn't make the search linear.
 
-A cluster is a set of texts that are equal up to case and blanks; pieces of one text and of
-its copies conflict like those of one source (``source_conflicts=False`` leaves sources
+A cluster is a set of texts that are equal up to case and blanks, or, where ``clusters`` names
+components of near duplicates by id, such a component; pieces of one text and of its copies
+conflict like those of one source (``source_conflicts=False`` leaves sources
 free). A shard holds about ``shard_pieces`` pieces at every size of input.
 
 Defined cases: null or empty text takes no room and stands in no bin (bin_id null, one
@@ -122,11 +123,16 @@ def pack(sizes: list[int], sources: list, clusters: list, capacity: int = CAPACI
     return out, [capacity - x for x in bins.left]
 
 
-def best_fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", capacity: int = CAPACITY, source_conflicts: bool = True, shard_pieces: int = SHARD_PIECES) -> DataFrame:
-    """A row per piece: bin_id, slot, id, source, first_word, n_words, bin_words."""
+def best_fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", capacity: int = CAPACITY, source_conflicts: bool = True, shard_pieces: int = SHARD_PIECES, clusters: DataFrame | None = None) -> DataFrame:
+    """A row per piece: bin_id, slot, id, source, first_word, n_words, bin_words. ``clusters``: (id, component_id), as near_duplicates or near_copies give them."""
     bound_batches(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(source_col).cast("string").alias("source"), F.col(text_col).cast("string").alias("text"))
-    rows = materialise(sized(rows), "sizes")
+    rows = sized(rows)
+    if clusters is not None:
+        named = clusters.where(F.col("component_id").isNotNull()).groupBy(F.col(id_col).alias("of")).agg(F.min("component_id").alias("component"))
+        of = F.encode(F.concat(F.lit("component "), F.col("component").cast("string")), "UTF-8")
+        rows = rows.join(named, rows.id == named.of, "left").select("id", "source", F.coalesce(of, "cluster").alias("cluster"), "words")
+    rows = materialise(rows, "sizes")
     total = rows.agg(F.coalesce(F.sum(F.ceil(F.col("words") / capacity)), F.lit(0))).first()[0]
     shards = max(1, -(-int(total) // shard_pieces))
     places = F.when(F.col("words") > 0, F.sequence(F.lit(0).cast("long"), F.floor((F.col("words") - 1) / capacity)))

@@ -321,6 +321,25 @@ def test_packing(docs, empty):
     assert packing.best_fit(empty).count() == 0
 
 
+def test_packing_keeps_near_duplicates_apart(spark, docs):
+    """With components named, no bin holds two texts of one; without them those texts may share a bin."""
+    texts = [f"{prose(k // 4, 12)} tail{k}" for k in range(24)]
+    rows = spark.createDataFrame([(k, t, f"s{k}") for k, t in enumerate(texts)], "doc_id long, text string, source string")
+    groups = spark.createDataFrame([(k, k // 4 * 4) for k in range(24)], "doc_id long, component_id long")
+    held = {}
+    for r in packing.best_fit(rows, capacity=130, clusters=groups).collect():
+        held.setdefault(r.bin_id, []).append(r.doc_id // 4)
+    assert all(len(x) == len(set(x)) for x in held.values()) and sum(map(len, held.values())) == 24
+    assert any(len({r.doc_id // 4 for r in g}) < len(g) for g in _by_bin(packing.best_fit(rows, capacity=130).collect()))
+
+
+def _by_bin(rows):
+    out = {}
+    for r in rows:
+        out.setdefault(r.bin_id, []).append(r)
+    return out.values()
+
+
 def plain_spans(text, kinds):
     out = []
     for n, (name, pattern, fits) in enumerate(kinds):
