@@ -360,7 +360,7 @@ def flag_highlights(points: DataFrame, chosen: DataFrame) -> DataFrame:
 
 
 def explain_highlights(chosen: DataFrame, facets: DataFrame, vector: DataFrame, n: int = 2) -> DataFrame:
-    """The facets of each highlight that weigh most in the session's vector."""
+    """The facets of each highlight that weigh most in the session's vector. ``facets`` has several rows a point, which Spark doesn't foresee, so it must not be broadcast."""
     w = Window.partitionBy("session_id", "point_id").orderBy(F.round("weight", 12).desc(), "attr", "val")
-    met = chosen.select("session_id", "point_id").join(facets, "point_id").join(vector, ["session_id", "attr", "val"]).where("weight > 0")
+    met = chosen.select("session_id", "point_id").join(facets.hint("merge"), "point_id").join(vector, ["session_id", "attr", "val"]).where("weight > 0")
     return met.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n).select("session_id", "point_id", "rank", "attr", "val", "weight")
