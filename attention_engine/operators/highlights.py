@@ -8,6 +8,7 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -25,6 +26,8 @@ DEPTH = 4096
 #: Full lists are quadratic; refuse them beyond so many points.
 MAX_FULL = 20_000
 MAX_EXHAUSTIVE = 25
+#: Rows and owners of a tile of vectors, and its distances that are in memory at once.
+TILE_ROWS, TILE_OWNERS, TILE_CELLS = 8192, 8192, 1 << 21
 SEARCH = "session_id long, slot int, point_id long, list_rank int, sim double, scans int, swaps int, diversity_before double, diversity_km double"
 
 
@@ -112,36 +115,80 @@ def list_on_demand(points: DataFrame, spec: list[Facet], owners: DataFrame | int
     return scored.withColumn("rank", rank).where(F.col("rank") <= depth).select("owner", "rank", "point_id", "lat", "lon", "sim")
 
 
+def _vectors(column: pa.ChunkedArray) -> np.ndarray:
+    """A matrix of equally long vectors."""
+    flat = column.combine_chunks()
+    flat = pa.concat_arrays(flat.chunks) if isinstance(flat, pa.ChunkedArray) else flat
+    return flat.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(flat), -1)
+
+
+def nearest_in_tile(owners: np.ndarray, a: np.ndarray, ids: np.ndarray, b: np.ndarray, directions: np.ndarray, bucket: float, depth: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(owner, point_id, distance, met) for the vectors ``a`` of owners and ``b`` of rows: the ``depth`` nearest rows that share a bucket with an owner, or, where fewer do, those and the nearest of all."""
+    mine, theirs = (np.floor(v @ directions / bucket) for v in (a, b))
+    square = (b * b).sum(axis=1)
+    stripe, out = max(1, TILE_CELLS // len(b)), []
+    for at in range(0, len(a), stripe):
+        part = a[at : at + stripe]
+        near = (part * part).sum(axis=1)[:, None] + square - 2 * (part @ b.T)
+        slack = 1e-9 * (1 + (part * part).sum(axis=1) + square.max())  # products are rounded, so what comes close is measured again
+        other = owners[at : at + stripe, None] != ids
+        shared = np.zeros(near.shape, bool)
+        for t in range(directions.shape[1]):
+            shared |= mine[at : at + stripe, t, None] == theirs[:, t]
+        shared &= other
+        enough = shared.sum(axis=1) >= depth
+        near[np.where(enough[:, None], ~shared, ~other)] = np.inf
+        k = min(depth, len(b)) - 1
+        most = np.partition(near, k, axis=1)[:, k] + slack
+        for i, (row, limit) in enumerate(zip(near, most, strict=True)):
+            hit = np.flatnonzero((row <= limit) & np.isfinite(row))
+            if not enough[i]:
+                hit = np.union1d(hit, np.flatnonzero(shared[i]))
+            far = np.sqrt(((b[hit] - part[i]) ** 2).sum(axis=1))
+            met = shared[i][hit]
+            first = np.lexsort((ids[hit], np.round(far, 12)))
+            if enough[i]:
+                first = first[:depth]
+            else:
+                first = first[(np.arange(len(first)) < depth) | met[first]]
+            out.append((np.full(len(first), owners[at + i]), ids[hit[first]], far[first], met[first]))
+    return tuple(np.concatenate(c) for c in zip(*out, strict=True))
+
+
 def approximate_lists(points: DataFrame, column: str, owners: DataFrame | None = None, tables: int = 10, bucket: float = 1.2, depth: int = 20) -> DataFrame:
     """Lists of vectors by random projections: (owner, rank, point_id, sim = -distance).
 
     Every row is indexed; owners (default: all points) ask. An owner that meets fewer than
     ``depth`` rows in its buckets is compared with all rows instead. Recall grows with
     ``tables`` and ``bucket``; it is measured by ``measures.list_recall``.
-    """
-    from pyspark.ml.feature import BucketedRandomProjectionLSH
-    from pyspark.ml.functions import array_to_vector, vector_to_array
 
+    Owners and rows meet in tiles of bounded size, in which a pair is told once by its
+    buckets in all tables and measured by a product of matrices; a tile hands on ``depth``
+    rows an owner.
+    """
     rows = points.where(F.col(column).isNotNull()).select("point_id", F.col(column).cast("array<double>").alias("e"))
     asked = rows if owners is None else rows.join(owners.select("point_id").distinct(), "point_id", "left_semi")
-    model = BucketedRandomProjectionLSH(inputCol="v", outputCol="h", numHashTables=tables, bucketLength=bucket, seed=7).fit(rows.limit(1).withColumn("v", array_to_vector("e")))  # takes only the dimension
-
-    def keyed(df: DataFrame, name: str) -> DataFrame:
-        hashed = model.transform(df.withColumn("v", array_to_vector("e")))
-        return hashed.select(F.col("point_id").alias(name), F.posexplode("h").alias("t", "b")).select(name, "t", vector_to_array("b")[0].alias("b"))
-
-    met = keyed(asked, "owner").join(keyed(rows, "point_id"), ["t", "b"]).where("owner <> point_id").select("owner", "point_id").distinct()
-    a, b = rows.toDF("owner", "e1"), rows.toDF("point_id", "e2")
-    far = F.sqrt(F.aggregate(F.zip_with("e1", "e2", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+    first = rows.select(F.size("e").alias("n")).first()
+    directions = np.random.default_rng(7).normal(size=(first.n if first else 1, tables))
+    directions /= np.linalg.norm(directions, axis=0)
+    groups, parts = (max(1, -(-df.count() // size)) for df, size in ((rows, TILE_ROWS), (asked, TILE_OWNERS)))
+
+    def dealt(df: DataFrame, own: str, n: int, other: str, m: int) -> DataFrame:
+        home = df.select(F.col("point_id").alias(f"{own}_id"), F.col("e").alias(f"{own}_e"), F.pmod(F.xxhash64("point_id"), F.lit(n)).cast("int").alias(own))
+        return home.withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(m - 1)))).groupBy("o", "g")
+
+    def tile(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not (left.num_rows and right.num_rows):
+            return told.empty_table()
+        found = nearest_in_tile(left["o_id"].to_numpy(), _vectors(left["o_e"]), right["g_id"].to_numpy(), _vectors(right["g_e"]), directions, bucket, depth)
+        return pa.table(dict(zip(told.names, found, strict=True)), schema=told)
+
+    told = pa.schema([("owner", pa.int64()), ("point_id", pa.int64()), ("far", pa.float64()), ("met", pa.bool_())])
+    near = dealt(asked, "o", parts, "g", groups).cogroup(dealt(rows, "g", groups, "o", parts)).applyInArrow(tile, "owner long, point_id long, far double, met boolean")
+    few = F.count(F.when(F.col("met"), 1)).over(Window.partitionBy("owner")) < depth
+    near = near.select("owner", "point_id", (-F.col("far")).alias("sim"), "met", few.alias("few")).where("met or few")
     w = Window.partitionBy("owner").orderBy(F.round("sim", 12).desc(), "point_id")
-
-    def ranked(pairs: DataFrame) -> DataFrame:
-        return pairs.select("owner", "point_id", (-far).alias("sim")).withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= depth).select("owner", "rank", "point_id", "sim")
-
-    some = keep(ranked(met.join(a, "owner").join(b, "point_id")))
-    few = asked.select(F.col("point_id").alias("owner")).join(some.groupBy("owner").agg(F.count("*").alias("n")).where(F.col("n") >= depth), "owner", "left_anti")
-    rest = ranked(a.join(few, "owner", "left_semi").join(b, F.col("owner") != F.col("point_id")))
-    return some.join(few, "owner", "left_anti").unionByName(rest)
+    return near.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= depth).select("owner", "rank", "point_id", "sim")
 
 
 class ListCursor:
