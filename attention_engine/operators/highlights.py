@@ -116,9 +116,10 @@ def list_on_demand(points: DataFrame, spec: list[Facet], owners: DataFrame | int
 
 
 def _vectors(column: pa.ChunkedArray) -> np.ndarray:
-    """A matrix of equally long vectors."""
-    flat = column.combine_chunks()
-    flat = pa.concat_arrays(flat.chunks) if isinstance(flat, pa.ChunkedArray) else flat
+    """A matrix of equally long vectors; others are refused."""
+    flat = pa.concat_arrays(column.chunks)
+    if len(np.unique(np.diff(flat.offsets.to_numpy()))) > 1:
+        raise ValueError("vectors of different lengths")
     return flat.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(flat), -1)
 
 

@@ -105,3 +105,6 @@ def test_lists_of_vectors_by_tiles(spark, monkeypatch):
     assert got == want
     assert "FlatMapCoGroupsInArrow" in lists._jdf.queryExecution().toString()
     assert highlights.approximate_lists(points.limit(0), "e").count() == 0
+    ragged = spark.createDataFrame([(0, [1.0, 0.0]), (1, [1.0]), (2, [0.0, 1.0, 0.0])], "point_id long, e array<double>")
+    with pytest.raises(Exception, match="different lengths"):
+        highlights.approximate_lists(ragged, "e", depth=1).collect()
