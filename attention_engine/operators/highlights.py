@@ -27,7 +27,9 @@ DEPTH = 4096
 MAX_FULL = 20_000
 MAX_EXHAUSTIVE = 25
 #: Rows and owners of a tile of vectors, and its distances that are in memory at once.
-TILE_ROWS, TILE_OWNERS, TILE_CELLS = 8192, 8192, 1 << 21
+TILE_ROWS, TILE_OWNERS, TILE_CELLS = 16384, 16384, 1 << 21
+#: Rows of a lane, of which the smallest distance is taken first.
+LANE = 64
 SEARCH = "session_id long, slot int, point_id long, list_rank int, sim double, scans int, swaps int, diversity_before double, diversity_km double"
 
 
@@ -123,9 +125,8 @@ def _vectors(column: pa.ChunkedArray) -> np.ndarray:
     return flat.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(flat), -1)
 
 
-def nearest_in_tile(owners: np.ndarray, a: np.ndarray, ids: np.ndarray, b: np.ndarray, directions: np.ndarray, bucket: float, depth: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(owner, point_id, distance, met) for the vectors ``a`` of owners and ``b`` of rows: the ``depth`` nearest rows that share a bucket with an owner, or, where fewer do, those and the nearest of all."""
-    mine, theirs = (np.floor(v @ directions / bucket) for v in (a, b))
+def _measured(owners: np.ndarray, a: np.ndarray, ids: np.ndarray, b: np.ndarray, mine: np.ndarray, theirs: np.ndarray, depth: int) -> list[tuple]:
+    """``nearest_in_tile`` with buckets of all pairs compared."""
     square = (b * b).sum(axis=1)
     stripe, out = max(1, TILE_CELLS // len(b)), []
     for at in range(0, len(a), stripe):
@@ -134,7 +135,7 @@ def nearest_in_tile(owners: np.ndarray, a: np.ndarray, ids: np.ndarray, b: np.nd
         slack = 1e-9 * (1 + (part * part).sum(axis=1) + square.max())  # products are rounded, so what comes close is measured again
         other = owners[at : at + stripe, None] != ids
         shared = np.zeros(near.shape, bool)
-        for t in range(directions.shape[1]):
+        for t in range(mine.shape[1]):
             shared |= mine[at : at + stripe, t, None] == theirs[:, t]
         shared &= other
         enough = shared.sum(axis=1) >= depth
@@ -153,6 +154,64 @@ def nearest_in_tile(owners: np.ndarray, a: np.ndarray, ids: np.ndarray, b: np.nd
             else:
                 first = first[(np.arange(len(first)) < depth) | met[first]]
             out.append((np.full(len(first), owners[at + i]), ids[hit[first]], far[first], met[first]))
+    return out
+
+
+def _screened(owners: np.ndarray, a: np.ndarray, ids: np.ndarray, b: np.ndarray, mine: np.ndarray, theirs: np.ndarray, depth: int) -> tuple[list[tuple], np.ndarray]:
+    """(lists, which owners have none yet): buckets are compared only for the rows nearest by rounded products.
+
+    Rows are dealt into lanes. All rows nearer than ``bound``, the largest of an owner's
+    smallest lane minima, lie in those lanes; if ``depth`` of them share a bucket and are
+    nearer than ``bound`` by more than rounding, no other row can be in the list.
+    """
+    kind = np.float32 if max(np.abs(a).max(), np.abs(b).max()) < 1e15 else float
+    lanes, few = -(-len(b) // LANE), 2 * depth + 4
+    todo = np.ones(len(a), bool)
+    if lanes <= few:
+        return [], todo
+    square, own = (b * b).sum(axis=1), (a * a).sum(axis=1)
+    rows = np.zeros((lanes * LANE, b.shape[1] + 1), kind)
+    rows[: len(b), :-1], rows[: len(b), -1], rows[len(b) :, -1] = b, square, np.inf
+    asked = np.c_[-2 * a, np.ones(len(a))].astype(kind)
+    slack = 4 * (b.shape[1] + 3) * np.finfo(kind).eps * (own + square.max())
+    stripe, out = max(1, TILE_CELLS // len(rows)), []
+    for at in range(0, len(a), stripe):
+        near = asked[at : at + stripe] @ rows.T  # less the owner's square
+        low = near.reshape(len(near), LANE, lanes).min(axis=1)
+        lane = np.argpartition(low, few - 1, axis=1)[:, :few]
+        bound = np.take_along_axis(low, lane, axis=1).max(axis=1)
+        place = (lane[:, None, :] + lanes * np.arange(LANE)[:, None]).reshape(len(near), -1)
+        i, j = np.nonzero(np.take_along_axis(near, place, axis=1) <= bound[:, None])
+        j = place[i, j]
+        i, j = i[j < len(b)] + at, j[j < len(b)]
+        met = (owners[i] != ids[j]) & (mine[i] == theirs[j]).any(axis=1)
+        i, j = i[met], j[met]
+        far = np.sqrt(((b[j] - a[i]) ** 2).sum(axis=1))
+        order = np.lexsort((ids[j], np.round(far, 12), i))
+        i, j, far = i[order], j[order], far[order]
+        rank = np.arange(len(i)) - np.searchsorted(i, i)
+        sure = (far + 1e-11) ** 2 < bound[i - at].astype(float) + own[i] - slack[i]
+        todo[i[(rank == depth - 1) & sure]] = False
+        keep = (rank < depth) & ~todo[i]
+        out.append((owners[i[keep]], ids[j[keep]], far[keep], np.ones(int(keep.sum()), bool)))
+    return out, todo
+
+
+def nearest_in_tile(owners: np.ndarray, a: np.ndarray, ids: np.ndarray, b: np.ndarray, directions: np.ndarray, bucket: float, depth: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(owner, point_id, distance, met) for the vectors ``a`` of owners and ``b`` of rows: the ``depth`` nearest rows that share a bucket with an owner, or, where fewer do, those and the nearest of all. Vectors that aren't finite are in no list and have none."""
+    here, there = (np.isfinite(v).all(axis=1) for v in (a, b))
+    owners, a, ids, b = owners[here], a[here], ids[there], b[there]
+    out = [(owners[:0], ids[:0], np.zeros(0), np.zeros(0, bool))]
+    if len(a) and len(b):
+        # of equal vectors only the first by id can be in a list
+        same = np.unique((b + 0.0).view(np.dtype((np.void, b.shape[1] * 8))).ravel(), return_inverse=True)[1]
+        order = np.lexsort((ids, same))
+        rank = np.arange(len(order)) - np.searchsorted(same[order], same[order])
+        order = order[rank < depth + np.unique(ids, return_counts=True)[1].max()]
+        ids, b = ids[order], b[order]
+        mine, theirs = (np.floor(v @ directions / bucket) for v in (a, b))
+        quick, todo = _screened(owners, a, ids, b, mine, theirs, depth)
+        out += quick + _measured(owners[todo], a[todo], ids, b, mine[todo], theirs, depth)
     return tuple(np.concatenate(c) for c in zip(*out, strict=True))
 
 
@@ -165,9 +224,10 @@ def approximate_lists(points: DataFrame, column: str, owners: DataFrame | None =
 
     Owners and rows meet in tiles of bounded size, in which a pair is told once by its
     buckets in all tables and measured by a product of matrices; a tile hands on ``depth``
-    rows an owner.
+    rows an owner. Tiles grow with owners x rows. A point without a vector has no list.
     """
-    rows = points.where(F.col(column).isNotNull()).select("point_id", F.col(column).cast("array<double>").alias("e"))
+    e = F.col(column) if points.schema[column].dataType.simpleString() == "array<float>" else F.col(column).cast("array<double>")
+    rows = points.where(F.col(column).isNotNull()).select("point_id", e.alias("e"))
     asked = rows if owners is None else rows.join(owners.select("point_id").distinct(), "point_id", "left_semi")
     first = rows.select(F.size("e").alias("n")).first()
     directions = np.random.default_rng(7).normal(size=(first.n if first else 1, tables))
